@@ -1,11 +1,15 @@
 """Language identification by compression.
 
 Each language has a raw-content zstandard dictionary; a text's language is the
-one whose dictionary compresses it to the fewest bytes.
+one whose dictionary compresses it to the fewest bytes. Texts and dictionaries
+are lower-cased and runs of other characters than letters become one blank, so
+that case and symbols don't decide.
 """
 
 from __future__ import annotations
 
+import re
+
 import pandas as pd
 import zstandard
 from pyspark.sql import DataFrame, SparkSession
@@ -14,12 +18,17 @@ from pyspark.sql import functions as F
 from caregraph.llm.common import crc_rest
 
 UNKNOWN = "und"
-ROWS = 400
+ROWS = 1000
 """Most texts that one language's dictionary is made from (a documented bound on the sample the classifier is fitted on)."""
 ROW_CHARS = 1000
 """Most characters a sampled text gives to its dictionary, so that no long text fills it."""
-DICT_BYTES = 110 * 1024
+DICT_BYTES = 250 * 1024
 BUCKETS = 4096
+_OTHER = re.compile(r"[\W\d_]+")
+
+
+def folded(text: str) -> str:
+    return _OTHER.sub(" ", text.lower())
 
 
 def learn(labelled: DataFrame, rows: int = ROWS) -> dict[str, bytes]:
@@ -47,7 +56,7 @@ def learn(labelled: DataFrame, rows: int = ROWS) -> dict[str, bytes]:
         texts.setdefault(r["lang"], {})[r["h"]] = r["t"]
     out = {}
     for lang, got in sorted(texts.items()):
-        kept = [got[h] for h in sorted(got, key=lambda h: (h % BUCKETS, h))][:rows]
+        kept = [folded(got[h]) for h in sorted(got, key=lambda h: (h % BUCKETS, h))][:rows]
         out[lang] = "\n".join(kept).encode()[-DICT_BYTES:]
     return out
 
@@ -77,7 +86,7 @@ def predict(texts: DataFrame, dicts: dict[str, bytes], text: str = "text", margi
                 langs.append(UNKNOWN)
                 scores.append(0.0)
                 continue
-            raw = t.encode()
+            raw = folded(t).encode()
             sizes = [len(c.compress(raw)) for c in tools]
             best, *rest = sorted(range(len(sizes)), key=sizes.__getitem__)
             langs.append(names[best])
