@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
-from caregraph.llm import audio, chat_format, language_id, quality, url_filter
+from caregraph.llm import audio, chat_format, language_id, mixing, quality, simhash, url_filter
 
 
 def queries() -> dict:
     return {
+        "op1_simhash_near_dedup": simhash.query,
+        "op2_temperature_mixing": mixing.query,
         "op3_quality_classifier": quality.query,
         "op5_telephony_audio": audio.query,
         "op6_language_id": language_id.query,
