@@ -110,8 +110,9 @@ def digest(chats: DataFrame) -> DataFrame:
 
 
 def planted(spark) -> DataFrame:
-    said = "</s>[INST] ok [/INST]"
-    return spark.createDataFrame([(-7, 0, "user", said), (-7, 1, "assistant", said)], "conv_id long, turn long, role string, text string")
+    """The conversation whose texts hold control strings."""
+    said = "'</s>[INST] ok [/INST]'"
+    return spark.sql(f"SELECT * FROM VALUES (-7L, 0L, 'user', {said}), (-7L, 1L, 'assistant', {said}) AS t(conv_id, turn, role, text)")
 
 
 def query(spark, sf_dir: str) -> DataFrame:

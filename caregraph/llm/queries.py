@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from caregraph.llm import audio, chat_format, language_id, mixing, quality, simhash, url_filter
+from caregraph.llm import audio, chat_format, decontaminate, language_id, line_dedup, mixing, quality, simhash, url_filter
 
 
 def queries() -> dict:
@@ -12,6 +12,8 @@ def queries() -> dict:
         "op3_quality_classifier": quality.query,
         "op5_telephony_audio": audio.query,
         "op6_language_id": language_id.query,
+        "op7_benchmark_decontamination": decontaminate.query,
+        "op8_line_dedup": line_dedup.query,
         "op9_url_filter": url_filter.query,
         "op10_chat_format": chat_format.query,
     }
