@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from caregraph.llm import audio, chat_format, decontaminate, language_id, line_dedup, mixing, quality, simhash, url_filter
+from caregraph.llm import audio, chat_format, decontaminate, language_id, line_dedup, mixing, quality, simhash, substring_dedup, url_filter
 
 
 def queries() -> dict:
@@ -10,6 +10,7 @@ def queries() -> dict:
         "op1_simhash_near_dedup": simhash.query,
         "op2_temperature_mixing": mixing.query,
         "op3_quality_classifier": quality.query,
+        "op4_substring_dedup": substring_dedup.query,
         "op5_telephony_audio": audio.query,
         "op6_language_id": language_id.query,
         "op7_benchmark_decontamination": decontaminate.query,
