@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from caregraph.queries import graph
+from caregraph.queries import graph, link
 
-MODULES = (graph,)
+MODULES = (graph, link)
 
 
 def queries() -> dict:
