@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from caregraph.queries import graph, link
+from caregraph.queries import graph, link, ops, work
 
-MODULES = (graph, link)
+MODULES = (graph, link, work, ops)
 
 
 def queries() -> dict:
