@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from caregraph.queries import graph, link, ops, work
+from caregraph.queries import graph, link, ops, text, work
 
-MODULES = (graph, link, work, ops)
+MODULES = (graph, link, work, ops, text)
 
 
 def queries() -> dict:
