@@ -25,6 +25,7 @@ EDITS = 2
 FUZZY_CHARS = 24
 """Shorter lines count as the same only if they are equal."""
 PARITY = (1 << 48) - 1
+SIFT_BITS = 1 << 22
 
 
 def normal(line: Column) -> Column:
@@ -97,41 +98,65 @@ def _sign(line: str) -> int:
     return int.from_bytes(np.packbits(odd.astype(np.uint8)).tobytes(), "big") | min(len(line), 0x7FFF) << 48
 
 
-def _postings(lines: DataFrame, edits: int) -> DataFrame:
-    """(key, id, sig, probe) of ``lines`` (id, line)."""
+def _postings(lines: DataFrame, edits: int, probe: bool) -> DataFrame:
+    """(key, id, sig): index entries of ``lines`` (id, line), or what they look up. A task gives a line that it meets again only once, so frequent lines arrive once a task."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        plans: dict[int, tuple] = {}
+        plans: dict[int, list] = {}
+        met: set[int] = set()
         for batch in batches:
-            keys, counts = [], []
-            for line in batch["line"]:
+            keys, counts, ids, signs = [], [], [], []
+            for i, line in zip(batch["id"], batch["line"], strict=True):
+                if i in met:
+                    continue
+                if len(met) > 500_000:
+                    met.clear()
+                met.add(i)
                 n = len(line)
                 if n not in plans:
                     if len(plans) > 20_000:
                         plans.clear()
-                    plans[n] = ([(f"{n},{k},".encode(), at, at + size) for k, (at, size) in enumerate(segments(n, edits))], [(f"{m},{k},".encode(), at, at + size) for m, k, at, size in probes(n, edits)])
-                own, looked = plans[n]
-                raw = [xxhash.xxh64_intdigest(p + line[a:b].encode()) for p, a, b in own]
-                raw += {xxhash.xxh64_intdigest(p + line[a:b].encode()): 0 for p, a, b in looked}
+                    parts = probes(n, edits) if probe else ((n, k, at, size) for k, (at, size) in enumerate(segments(n, edits)))
+                    plans[n] = [(f"{m},{k},".encode(), at, at + size) for m, k, at, size in parts]
+                raw = {xxhash.xxh64_intdigest(p + line[a:b].encode()) for p, a, b in plans[n]}
                 keys += raw
-                counts.append((len(own), len(raw) - len(own)))
-            each = [a + b for a, b in counts]
-            yield pd.DataFrame({
-                "key": np.array(keys, np.uint64).view(np.int64),
-                "id": np.repeat(batch["id"].to_numpy(np.int64), each),
-                "sig": np.repeat(np.array([_sign(x) for x in batch["line"]], np.int64), each),
-                "probe": np.repeat(np.tile([False, True], len(counts)), [x for c in counts for x in c]),
-            })
+                counts.append(len(raw))
+                ids.append(i)
+                signs.append(_sign(line))
+            yield pd.DataFrame({"key": np.array(keys, np.uint64).view(np.int64), "id": np.repeat(np.array(ids, np.int64), counts), "sig": np.repeat(np.array(signs, np.int64), counts)})
 
-    return lines.select("id", "line").mapInPandas(run, "key long, id long, sig long, probe boolean")
+    return lines.select("id", "line").mapInPandas(run, "key long, id long, sig long")
+
+
+def _sifted(df: DataFrame, ids: DataFrame) -> DataFrame:
+    """Rows of ``df`` whose id may be in ``ids``: all that are, and by chance some others.
+
+    The ids are held in a bitmap of SIFT_BITS bits, whatever their number.
+    """
+    slot = F.pmod(F.col("id"), F.lit(SIFT_BITS))
+    words = ids.select(slot.alias("n")).distinct().groupBy(F.shiftright("n", 5).cast("int").alias("w")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), (F.col("n") % 32).cast("int"))).alias("v"))
+    bits = np.zeros(SIFT_BITS // 32, np.uint32)
+    for r in words.toLocalIterator():
+        bits[r["w"]] = r["v"]
+    shared = df.sparkSession.sparkContext.broadcast(bits)
+
+    @F.pandas_udf("boolean")
+    def held(n: pd.Series) -> pd.Series:
+        k = n.to_numpy(np.int64)
+        return pd.Series((shared.value[k >> 5] >> (k & 31).astype(np.uint32) & 1).astype(bool))
+
+    return df.where(held(slot))
 
 
 def edit_links(lines: DataFrame, edits: int = EDITS) -> DataFrame:
-    """(a, b): keys of different lines within ``edits`` edits, each pair once, from ``lines`` (key, line) without repeats."""
+    """(a, b): keys of different lines within ``edits`` edits, each pair once, from ``lines`` (key, line), which may repeat.
+
+    Texts aren't shuffled for the join: its rows are hashes, and only lines that
+    met another are fetched to be verified.
+    """
     lines = lines.withColumn("id", F.xxhash64("line"))
-    post = _postings(lines, edits)
-    own = post.where("not probe").select("key", F.col("id").alias("i"), F.col("sig").alias("s"))
-    seen = post.where("probe").select("key", F.col("id").alias("j"), F.col("sig").alias("t"))
+    own = _postings(lines, edits, False).distinct().select("key", F.col("id").alias("i"), F.col("sig").alias("s"))
+    seen = _postings(lines, edits, True).select("key", F.col("id").alias("j"), F.col("sig").alias("t"))
     n, m = F.shiftright("s", 48), F.shiftright("t", 48)
     apart = F.bit_count(F.col("s").bitwiseXOR(F.col("t")).bitwiseAND(F.lit(PARITY)))
     met = own.join(seen, "key").where(((n < m) | ((n == m) & (F.col("i") < F.col("j")))) & (apart <= 2 * edits)).select("i", "j").distinct()
@@ -142,7 +167,7 @@ def edit_links(lines: DataFrame, edits: int = EDITS) -> DataFrame:
 
     met = saved(met)
     ends = met.select(F.explode(F.array("i", "j")).alias("id")).distinct()
-    some = saved(lines.join(ends, "id", "left_semi"))
+    some = saved(_sifted(lines, ends).groupBy("id", "key", "line").agg(F.lit(1).alias("one")).drop("one"))
     pairs = met.join(some.select(F.col("id").alias("i"), F.col("key").alias("a"), F.col("line").alias("x")), "i").join(some.select(F.col("id").alias("j"), F.col("key").alias("b"), F.col("line").alias("y")), "j")
     return pairs.where(close("x", "y")).select("a", "b")
 
@@ -166,8 +191,9 @@ def classes(docs: DataFrame, edits: int = EDITS) -> DataFrame:
     A class is what links join, equal lines counting as one; ``place``: of its
     first occurrence; ``links``: how many different lines this line links to.
     """
-    lines = occurrences(docs).groupBy("key", "norm").agg(F.count("*").alias("n"), F.min("place").alias("place"))
-    links = saved(edit_links(lines.where(F.length("norm") >= FUZZY_CHARS).select("key", F.col("norm").alias("line")), edits))
+    occ = occurrences(docs)
+    lines = occ.groupBy("key").agg(F.count("*").alias("n"), F.min("place").alias("place"))
+    links = saved(edit_links(occ.where(F.length("norm") >= FUZZY_CHARS).select("key", F.col("norm").alias("line")), edits))
     roots = components(links)
     degree = links.select(F.explode(F.array("a", "b")).alias("key")).groupBy("key").agg(F.count("*").alias("links"))
     tied = roots.select(F.col("node").alias("key"), "root").join(degree, "key")
