@@ -10,7 +10,10 @@ from caregraph.operators import events as ev_mod
 from caregraph.queries.base import EVENTS, STABBED, sql
 from caregraph.sources.records import table
 
-W = Window.partitionBy("patient_id").orderBy("begin_ts", "event_id")
+
+def W():
+    """A patient's events in order."""
+    return Window.partitionBy("patient_id").orderBy("begin_ts", "event_id")
 
 
 def ev(spark: SparkSession, d: str, *kinds: str) -> DataFrame:
@@ -184,10 +187,10 @@ QUERIES = {
     "op_agg_pivot": pivot,
     "op_agg_unpivot": unpivot,
     "op_win_rank": lambda s, d: ev(s, d, "assay").select("event_id", F.rank().over(Window.partitionBy("patient_id").orderBy("result")).cast("long").alias("r"), F.dense_rank().over(Window.partitionBy("patient_id").orderBy("result")).cast("long").alias("dr"), F.round(F.percent_rank().over(Window.partitionBy("patient_id").orderBy("result")), 6).alias("pr")),
-    "op_win_ntile": lambda s, d: ev(s, d).select("event_id", F.ntile(4).over(W).cast("long").alias("q")),
-    "op_win_lag_lead": lambda s, d: ev(s, d).select("event_id", F.lag("event_id").over(W).alias("prev"), F.lead("event_id", 2).over(W).alias("next2")),
-    "op_win_first_last": lambda s, d: ev(s, d).select("event_id", F.first("event_id").over(W).alias("f"), F.last("prompt", ignorenulls=True).over(W.rowsBetween(Window.unboundedPreceding, 0)).alias("p")),
-    "op_win_rows_frame": lambda s, d: ev(s, d, "assay").select("event_id", F.round(F.sum("result").over(W.rowsBetween(-2, 0)), 4).alias("last3")),
+    "op_win_ntile": lambda s, d: ev(s, d).select("event_id", F.ntile(4).over(W()).cast("long").alias("q")),
+    "op_win_lag_lead": lambda s, d: ev(s, d).select("event_id", F.lag("event_id").over(W()).alias("prev"), F.lead("event_id", 2).over(W()).alias("next2")),
+    "op_win_first_last": lambda s, d: ev(s, d).select("event_id", F.first("event_id").over(W()).alias("f"), F.last("prompt", ignorenulls=True).over(W().rowsBetween(Window.unboundedPreceding, 0)).alias("p")),
+    "op_win_rows_frame": lambda s, d: ev(s, d, "assay").select("event_id", F.round(F.sum("result").over(W().rowsBetween(-2, 0)), 4).alias("last3")),
     "op_win_range_frame": lambda s, d: ev(s, d, "assay").select("event_id", F.count("*").over(Window.partitionBy("patient_id").orderBy(F.datediff("begin_ts", F.lit("1970-01-01"))).rangeBetween(-30, 0)).alias("n30")),
     "op_win_suffix_min": lambda s, d: relations.successor_bounds(ev(s, d)).select("event_id", "m"),
     "op_topk_global": lambda s, d: ev(s, d, "assay").orderBy(F.desc("result"), "event_id").limit(20).select("event_id", "result"),

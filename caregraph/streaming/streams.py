@@ -19,10 +19,10 @@ EDGE_ROW = "patient_id long, src string, dst string, op int"
 
 
 def source(spark: SparkSession, path: str, files_per_trigger: int = 1) -> DataFrame:
-    """A folder of ``events`` files as a stream; a file that isn't a folder is read through its parent with a name filter."""
+    """A folder of ``events`` files, or one file, as a stream. The path is given as a pattern of itself, which a stream takes for either."""
     schema = spark.read.parquet(path).schema
-    folder, _, name = path.rstrip("/").rpartition("/")
-    return spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger).option("pathGlobFilter", name).parquet(folder)
+    path = path.rstrip("/")
+    return spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger).parquet(f"{path[:-1]}[{path[-1]}]")
 
 
 def with_watermark(stream: DataFrame, col: str = "ts", delay: str = "1 day") -> DataFrame:
