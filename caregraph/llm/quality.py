@@ -165,8 +165,8 @@ def fit(x: np.ndarray, y: np.ndarray, names: list[str]) -> Ensemble:
 def train(labelled: DataFrame, rows: int = SAMPLE_ROWS) -> Ensemble:
     """From (text, quality) rows; null labels are left out. At most ``rows`` rows reach the driver, those whose texts' hashes come first, and only their statistics."""
     named = statistics(F.col("text"))
-    drawn = labelled.where("quality is not null").withColumn("h", F.xxhash64("text", "quality")).orderBy("h").limit(rows)
-    got = drawn.select(*(c.cast("double").alias(k) for k, c in named.items()), F.col("quality").cast("double").alias("__cg_y")).collect()
+    stats = labelled.where("quality is not null").select(*(c.cast("double").alias(k) for k, c in named.items()), F.col("quality").cast("double").alias("__cg_y"), F.xxhash64("text", "quality").alias("__cg_h"))
+    got = stats.orderBy("__cg_h", *named).limit(rows).drop("__cg_h").collect()
     x = np.array([r[:-1] for r in got], float).reshape(len(got), len(named))
     y = np.array([r[-1] for r in got], float)
     order = np.lexsort(np.hstack([x, y[:, None]]).T)  # results don't depend on the order of collect
@@ -182,9 +182,10 @@ def score(docs: DataFrame, model: Ensemble, text: str = "text", out: str = "scor
 
 
 def learned(spark: SparkSession, sf_dir: str, docs: DataFrame) -> Ensemble:
-    """From the labelled rows that the contract leaves for learning."""
-    labels = spark.read.parquet(f"{sf_dir}/labels.parquet").where(crc_rest(F.col("doc_id"), 5) != 0).select("doc_id", "quality")
-    return train(docs.select("doc_id", "text").join(labels, "doc_id").select("text", "quality"))
+    """From the labelled rows that the contract leaves for learning; at most SAMPLE_ROWS labels are drawn, so they can be broadcast to the documents and no text is shuffled."""
+    labels = spark.read.parquet(f"{sf_dir}/labels.parquet").where((crc_rest(F.col("doc_id"), 5) != 0) & F.col("doc_id").isNotNull() & F.col("quality").isNotNull())
+    drawn = labels.select("doc_id", "quality").orderBy(F.xxhash64("doc_id"), "doc_id", "quality").limit(SAMPLE_ROWS)
+    return train(docs.select("doc_id", "text").join(F.broadcast(drawn), "doc_id").select("text", "quality"))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
