@@ -86,9 +86,11 @@ def adpcm_encode(pcm: np.ndarray, align: int = 256) -> bytes:
     per = (align - 4) * 2 + 1
     n = max(1, -(-len(pcm) // per))
     x = np.pad(pcm.astype(np.int32), (0, n * per - len(pcm)), mode="edge" if len(pcm) else "constant").reshape(n, per)
-    value, index = x[:, 0].copy(), np.zeros(n, np.int32)
+    # A block starts at the step that fits its changes.
+    value, index = x[:, 0].copy(), np.clip(np.searchsorted(STEPS, np.abs(np.diff(x, axis=1)).mean(axis=1)), 0, 88).astype(np.int32)
     out = np.zeros((n, align), np.uint8)
     out[:, :2] = value.astype("<i2").view(np.uint8).reshape(n, 2)
+    out[:, 2] = index
     codes = np.empty((n, per - 1), np.uint8)
     for k in range(1, per):
         step = STEPS[index]
