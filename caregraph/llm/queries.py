@@ -21,4 +21,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op10_chat_format": chat_format.SQL}
+    return {"op9_url_filter": url_filter.sql(), "op10_chat_format": chat_format.SQL}

@@ -5,8 +5,8 @@ decided train two smoothed variable-order Markov models of characters, one for
 accepted and one for blocked URLs; every other URL is judged by the difference
 of the two log-likelihoods, divided by its length, against a calibrated cut.
 
-Characters are folded into an alphabet of 48 symbols before counting, so a model
-of order two has at most 48**3 rows: that is the bound under which it is
+Characters are folded into the alphabet of SYMBOLS before counting, so a model
+of order two has at most len(SYMBOLS)**3 rows: that is the bound under which it is
 broadcast. All counts come from all URLs.
 """
 
@@ -105,6 +105,33 @@ def filter_urls(pages: DataFrame, rules: list[tuple[str, str, str]] = RULES) ->
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return filter_urls(spark.read.parquet(f"{sf_dir}/pages.parquet").select("page_id", "url"))
+    return filter_urls(spark.read.parquet(f"{sf_dir}/pages.parquet").select("page_id", "url")).drop("llr")
 
 
+def sql(rules: list[tuple[str, str, str]] = RULES) -> str:
+    """The query's oracle for DuckDB."""
+    ordered = sorted(rules, key=lambda r: (-len(r[1]) - len(r[2]), r))
+    case = lambda out: "CASE " + " ".join(f"WHEN (host = '{h}' OR ends_with(host, '.{h}')) AND starts_with(path, '{p}') THEN '{out((s, h, p))}'" for s, h, p in ordered) + " END"
+    known = "".join("\\" + c if c in "[]-^$" else c for c in SYMBOLS).replace("'", "''")
+    steps, prob = [], {"g": f"{1.0 / len(SYMBOLS)!r}", "b": f"{1.0 / len(SYMBOLS)!r}"}
+    joins = []
+    for k in range(ORDER + 1):
+        steps.append(f"t{k} AS (SELECT substr(gram, {ORDER + 1 - k}, {k + 1}) AS t, sum(g) AS g, sum(b) AS b FROM cnt GROUP BY 1), c{k} AS (SELECT substr(gram, {ORDER + 1 - k}, {k}) AS c, sum(g) AS g, sum(b) AS b FROM cnt GROUP BY 1)")
+        joins.append(f"JOIN t{k} ON t{k}.t = substr(cnt.gram, {ORDER + 1 - k}, {k + 1}) JOIN c{k} ON c{k}.c = substr(cnt.gram, {ORDER + 1 - k}, {k})")
+        prob = {x: f"((t{k}.{x} + {WEIGHT} * {prob[x]}) / (c{k}.{x} + {WEIGHT}))" for x in "gb"}
+    gram = f"unnest(list_transform(range(1, length(line) - {ORDER} + 1), lambda i: substr(line, i, {ORDER + 1})))"
+    return f"""
+WITH u0 AS (SELECT url, count(*) AS n, coalesce(url, '') AS v FROM pages GROUP BY url),
+u1 AS (SELECT *, translate(regexp_extract(v, '(?s)^.*?://([^/?#]*)', 1), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host, regexp_extract(v, '(?s)^.*?://[^/?#]*([^?#]*)', 1) AS path,
+         '{"^" * ORDER}' || regexp_replace(regexp_replace(lower(v), '[0-9]', '0', 'g'), '[^{known}]', '*', 'g') || '^' AS line FROM u0),
+u AS (SELECT *, {case(lambda r: r[1] + r[2])} AS rule, {case(lambda r: r[0])} AS said FROM u1),
+kg AS (SELECT n, said = 'allow' AS good, {gram} AS gram FROM u WHERE said IS NOT NULL),
+cnt AS (SELECT gram, sum(CASE WHEN good THEN n ELSE 0 END) AS g, sum(CASE WHEN good THEN 0 ELSE n END) AS b FROM kg GROUP BY 1),
+{", ".join(steps)},
+model AS (SELECT cnt.gram, ln({prob["g"]}) - ln({prob["b"]}) AS llr FROM cnt {" ".join(joins)}),
+pos AS (SELECT url, {gram} AS gram FROM u),
+sc AS (SELECT url, avg(coalesce(llr, 0)) AS llr FROM pos LEFT JOIN model USING (gram) GROUP BY url),
+cut AS (SELECT (sum(sc.llr * n) FILTER (WHERE said = 'allow') / sum(n) FILTER (WHERE said = 'allow') + sum(sc.llr * n) FILTER (WHERE said = 'block') / sum(n) FILTER (WHERE said = 'block')) / 2 AS cut
+        FROM u JOIN sc ON u.url IS NOT DISTINCT FROM sc.url)
+SELECT page_id, host, path, rule, coalesce(said, CASE WHEN sc.llr < cut.cut THEN 'block' ELSE 'allow' END) AS verdict
+FROM pages p JOIN u ON p.url IS NOT DISTINCT FROM u.url JOIN sc ON u.url IS NOT DISTINCT FROM sc.url CROSS JOIN cut"""
