@@ -32,6 +32,19 @@ def candidates(mentions: DataFrame, terms: DataFrame, blocking: str = "type", th
     return pairs
 
 
+def minhash_candidates(mentions: DataFrame, terms: DataFrame, distance: float = 0.8, tables: int = 8, q: int = 2, seed: int = 7) -> DataFrame:
+    """(kind, mention, label): pairs whose q-gram sets collide in one of ``tables`` MinHash tables; approximate, for vocabularies too large for exact blocking."""
+    from pyspark.ml.feature import HashingTF, MinHashLSH
+
+    tf = HashingTF(numFeatures=1 << 16, binary=True, inputCol="grams", outputCol="f")
+    grams = lambda c: F.transform(F.sequence(F.lit(1), F.greatest(F.length(c) - (q - 1), F.lit(1))), lambda i: F.substring(F.col(c), i, F.lit(q)))
+    m = tf.transform(mentions.select("kind", "mention").distinct().where("mention <> ''").withColumn("grams", grams("mention")))
+    t = tf.transform(terms.select("kind", "label").distinct().where("label <> ''").withColumn("grams", grams("label")))
+    model = MinHashLSH(inputCol="f", outputCol="h", numHashTables=tables, seed=seed).fit(t)
+    near = model.approxSimilarityJoin(m, t, distance)
+    return near.where(F.col("datasetA.kind") == F.col("datasetB.kind")).select("datasetA.kind", "datasetA.mention", "datasetB.label").distinct()
+
+
 def scored(pairs: DataFrame, scorer: str = "mean", prune: float | None = None) -> DataFrame:
     """``pairs`` with lev, jac, lcs and score. ``prune`` leaves out pairs whose Jaccard similarity and lengths can't exceed it, before the costly two."""
     a, b = F.col("mention"), F.col("label")

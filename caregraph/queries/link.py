@@ -163,6 +163,7 @@ QUERIES = {
     "link_exact": lambda s, d: shown(links(s, d, "exact")).where("score = 1"),
     "link_pruned": lambda s, d: shown(linking.best(linking.scored(linking.candidates(records.mentions(s, d), vocab.terms(s, d), "length", 0.6), prune=0.6)).where("score > 0.6")),
     "link_gram_blocking": lambda s, d: linking.candidates(records.mentions(s, d), vocab.terms(s, d), "gram").groupBy("kind").agg(F.count("*").alias("pairs")),
+    "link_minhash": lambda s, d: shown(linking.best(linking.scored(linking.minhash_candidates(records.mentions(s, d), vocab.terms(s, d))))),
     "link_score_curve": lambda s, d: calibrate.score_curve(links(s, d)).select("kind", "mention", F.round("score", 6).alias("score"), F.col("pos").cast("long").alias("pos")),
     "cal_sample": lambda s, d: calibrate.sample(links(s, d)).select("kind", "mention", F.col("pos").cast("long").alias("pos")),
     "cal_votes": lambda s, d: marks(s, d).select("kind", "mention", "truth", F.round(calibrate.agreement(F.col("votes")), 6).alias("agreement")),
