@@ -56,10 +56,10 @@ def crc_rest(doc_id: Column, mod: int) -> Column:
     return F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % mod, F.lit(-1)).cast("int")
 
 
-def text_key(text: Column) -> Column:
-    """Two 64-bit hashes of a text, as one binary of 16 bytes; null counts as empty."""
-    t = F.coalesce(text, F.lit(""))
-    return F.unhex(F.concat(F.lpad(F.hex(F.xxhash64(t)), 16, "0"), F.lpad(F.hex(F.xxhash64(F.lit(1), t)), 16, "0")))
+def text_key(*parts: Column) -> Column:
+    """Two 64-bit hashes of a row's columns, as one struct; a null differs from an empty text."""
+    nulls = [p.isNull() for p in parts]
+    return F.struct(F.xxhash64(*nulls, *parts).alias("h1"), F.xxhash64(F.lit(1), *nulls, *parts).alias("h2"))
 
 
 def components(edges: DataFrame) -> DataFrame:

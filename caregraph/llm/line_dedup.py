@@ -174,7 +174,7 @@ def edit_links(lines: DataFrame, edits: int = EDITS) -> DataFrame:
 
 def doc_key(docs: DataFrame) -> Column:
     """A document: its id and text. Rows that share both are one."""
-    return text_key(F.concat_ws("\x01", F.coalesce(docs["doc_id"].cast("string"), F.lit("\x02")), F.coalesce(docs["text"], F.lit(""))))
+    return text_key(docs["doc_id"], F.coalesce(docs["text"], F.lit("")))
 
 
 def occurrences(docs: DataFrame) -> DataFrame:
@@ -185,15 +185,16 @@ def occurrences(docs: DataFrame) -> DataFrame:
     return named.withColumn("key", text_key(F.col("norm"))).withColumn("place", place.cast("decimal(38,0)"))
 
 
-def classes(docs: DataFrame, edits: int = EDITS) -> DataFrame:
+def classes(docs: DataFrame, places: DataFrame, edits: int = EDITS) -> DataFrame:
     """(key, place, links) of every line whose class occurs more than once.
 
     A class is what links join, equal lines counting as one; ``place``: of its
     first occurrence; ``links``: how many different lines this line links to.
+    ``places`` are the occurrences of ``docs`` without texts.
     """
-    occ = occurrences(docs)
-    lines = occ.groupBy("key").agg(F.count("*").alias("n"), F.min("place").alias("place"))
-    links = saved(edit_links(occ.where(F.length("norm") >= FUZZY_CHARS).select("key", F.col("norm").alias("line")), edits))
+    lines = places.groupBy("key").agg(F.count("*").alias("n"), F.min("place").alias("place"))
+    texts = occurrences(docs).where(F.length("norm") >= FUZZY_CHARS).select("key", F.col("norm").alias("line"))
+    links = saved(edit_links(texts, edits))
     roots = components(links)
     degree = links.select(F.explode(F.array("a", "b")).alias("key")).groupBy("key").agg(F.count("*").alias("links"))
     tied = roots.select(F.col("node").alias("key"), "root").join(degree, "key")
@@ -204,8 +205,10 @@ def classes(docs: DataFrame, edits: int = EDITS) -> DataFrame:
 
 def decisions(docs: DataFrame, edits: int = EDITS) -> DataFrame:
     """(dk, repeats, dropped): for each document with repeated lines, (pos, class_doc, class_line, links) of those, and the positions of those that aren't their class's first."""
-    which = saved(classes(docs, edits)).select("key", F.col("place").alias("first"), "links")
-    occ = occurrences(docs).select("dk", "pos", "key", "place").join(which, "key")
+    # Where lines stand, without their texts, is written once and read by both steps.
+    places = saved(occurrences(docs).select("dk", "pos", "key", "place"))
+    which = saved(classes(docs, places, edits)).select("key", F.col("place").alias("first"), "links")
+    occ = places.join(which, "key")
     late = F.coalesce(F.col("first") != F.col("place"), F.col("first").isNotNull())
     # place = doc_id * 2**31 + pos, undone.
     doc = F.floor(F.col("first") / F.lit(2**31).cast("decimal(11,0)")).cast("long")
