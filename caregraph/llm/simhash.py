@@ -31,6 +31,8 @@ SEED = 42
 BITS_APART = 4
 LANES = 12
 """64-bit lanes of a wide fingerprint."""
+KEYS = 2 * LANES
+"""Index keys of a wide fingerprint: as many as its min-wise hashes."""
 
 
 def position_groups(positions: int, shared: int) -> list[tuple[int, ...]]:
@@ -82,19 +84,32 @@ def fingerprint(text: str | None, size: int) -> int:
 _ODD = (np.arange(1, LANES + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)) | np.uint64(1)
 
 
-def wide_fingerprint(text: str | None, size: int) -> list[int]:
-    """LANES * 64 bits, as signed 64-bit numbers; every lane mixes a shingle's hash with its own factor."""
+def wide_fingerprint(text: str | None, size: int) -> tuple[list[int], list[int]]:
+    """LANES * 64 bits, as signed 64-bit numbers, and KEYS index keys.
+
+    Every lane mixes a shingle's hash with its own factor. A lane's least and
+    greatest value over all shingles are two min-wise hashes: two texts agree in
+    one with their similarity as probability. A key is a positional byte with two of them.
+    """
     s = shingles(text, size)
     if not s:
-        return [0] * LANES
+        return [0] * LANES, [0]
     h = np.frombuffer(b"".join([xxhash.xxh64_digest(x, SEED) for x in s]), ">u8").astype(np.uint64)
     total = np.zeros(LANES * 64, np.int64)
+    least, most = np.full(LANES, 2**64 - 1, np.uint64), np.zeros(LANES, np.uint64)
     for at in range(0, len(h), 2048):
         x = h[at : at + 2048, None] * _ODD
         x = (x ^ (x >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9)
         x ^= x >> np.uint64(32)
+        least, most = np.minimum(least, x.min(axis=0)), np.maximum(most, x.max(axis=0))
         total += np.unpackbits(x.view(np.uint8).reshape(len(x), -1), axis=1).sum(axis=0, dtype=np.int32)
-    return np.packbits(total * 2 > len(h)).view("<i8").tolist()
+    bits = np.packbits(total * 2 > len(h))
+    ends = np.concatenate([least, most])
+    raw = np.empty((KEYS, 3), np.uint64)
+    raw[:, 0] = bits[: KEYS * 4 : 4].astype(np.uint64) + np.arange(KEYS, dtype=np.uint64) * np.uint64(256)
+    raw[:, 1], raw[:, 2] = ends, np.roll(ends, 7)
+    keys = [xxhash.xxh64_intdigest(r.tobytes(), SEED) for r in raw]
+    return bits.view("<i8").tolist(), np.array(keys, np.uint64).view(np.int64).tolist()
 
 
 def fingerprints(docs: DataFrame, size: int = 4, text: str = "text") -> Column:
@@ -106,9 +121,10 @@ def fingerprints(docs: DataFrame, size: int = 4, text: str = "text") -> Column:
 
 
 def wide_fingerprints(text: str, size: int) -> Column:
-    @F.pandas_udf("array<long>")
-    def run(col: pd.Series) -> pd.Series:
-        return pd.Series([wide_fingerprint(t, size) for t in col], dtype=object)
+    @F.pandas_udf("fp array<long>, keys array<long>")
+    def run(col: pd.Series) -> pd.DataFrame:
+        both = [wide_fingerprint(t, size) for t in col]
+        return pd.DataFrame({"fp": pd.Series([f for f, _ in both], dtype=object), "keys": pd.Series([k for _, k in both], dtype=object)})
 
     return run(F.col(text))
 
@@ -125,28 +141,53 @@ def byte_of(x: Column, k: int) -> Column:
     return F.shiftrightunsigned(x, 8 * k).bitwiseAND(F.lit(255))
 
 
-def linked(nodes: DataFrame, near: Callable[[Column, Column], Column], verify: Callable[[DataFrame], DataFrame] = lambda e: e) -> DataFrame:
+def linked(nodes: DataFrame, near: Callable[[Column, Column], Column], whole: DataFrame | None = None, close: Callable[[Column, Column], Column] | None = None) -> DataFrame:
     """(node, root) of all nodes with a link, from ``nodes`` (node, sig, keys).
 
     ``keys``: the array of a node's index keys. ``near`` judges two ``sig``
-    inside the join; ``verify`` keeps the true ones of pairs (a, b).
+    inside the joins; where it only sifts, ``close`` judges two ``fp`` of
+    ``whole`` (node, fp). Then groups of near copies of one text, which link to
+    it but not to each other, are likely: a second round of links goes to each
+    key's node with most links so far.
     """
+
+    def verified(pairs: DataFrame) -> DataFrame:
+        pairs = pairs.distinct()
+        if whole is None:
+            return pairs
+        fa, fb = (whole.select(F.col("node").alias(k), F.col("fp").alias("f" + k)) for k in "ab")
+        return pairs.join(fa, "a").join(fb, "b").where(close(F.col("fa"), F.col("fb"))).select("a", "b")
+
     post = nodes.select(F.explode("keys").alias("key"), "node", "sig")
     w = Window.partitionBy("key").orderBy("node")
     met = post.select("node", "sig", F.lag(F.struct("node", "sig")).over(w).alias("o1"), F.first(F.struct("node", "sig")).over(w).alias("o2"))
     by = met.select("node", "sig", F.explode(F.array("o1", "o2")).alias("o"))
-    star = by.where((F.col("o.node") != F.col("node")) & near(F.col("sig"), F.col("o.sig"))).select(F.col("o.node").alias("a"), F.col("node").alias("b")).distinct()
-    star = saved(verify(star))
+    star = by.where((F.col("o.node") != F.col("node")) & near(F.col("sig"), F.col("o.sig"))).select(F.col("o.node").alias("a"), F.col("node").alias("b"))
+    star = saved(verified(star))
     first = components(star)
     held = nodes.join(first, "node", "left").select("node", "sig", "keys", F.coalesce("root", "node").alias("comp"))
+    if whole is not None:
+        degree = star.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count("*").alias("links"))
+        post = held.join(degree, "node", "left").select(F.explode("keys").alias("key"), "node", "sig", "comp", F.coalesce("links", F.lit(0)).alias("links"))
+        w = Window.partitionBy("key").orderBy(F.desc("links"), "node")
+        met = post.select("node", "sig", "comp", F.first(F.struct("node", "sig", "comp")).over(w).alias("o"))
+        more = met.where((F.col("o.comp") != F.col("comp")) & near(F.col("sig"), F.col("o.sig"))).select(F.col("o.node").alias("a"), F.col("node").alias("b"))
+        star = star.unionByName(saved(verified(more)))
+        first = components(star)
+        held = nodes.join(first, "node", "left").select("node", "sig", "keys", F.coalesce("root", "node").alias("comp"))
     post = saved(held.select(F.explode("keys").alias("key"), "node", "sig", "comp"))
     sizes = post.groupBy("key", "comp").agg(F.count("*").alias("n"))
     main = sizes.groupBy("key").agg(F.max(F.struct("n", "comp")).alias("m"), F.count("*").alias("comps")).where("comps > 1").select("key", F.col("m.comp").alias("main"))
     some = post.join(main, "key")
+    judge = near
+    if whole is not None:
+        # Few keys are left open, so their rows can carry whole fingerprints and the join itself decides.
+        some = saved(some.join(whole, "node").withColumn("sig", F.struct("sig", "fp")).drop("fp"))
+        judge = lambda s, t: near(s["sig"], t["sig"]) & close(s["fp"], t["fp"])
     left = some.where("comp <> main").select("key", F.col("node").alias("a"), F.col("sig").alias("s"), F.col("comp").alias("ca"))
     right = some.select("key", F.col("node").alias("b"), F.col("sig").alias("t"), F.col("comp").alias("cb"))
-    pairs = left.join(right, "key").where((F.col("ca") != F.col("cb")) & near(F.col("s"), F.col("t")))
-    rest = verify(pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
+    pairs = left.join(right, "key").where((F.col("ca") != F.col("cb")) & judge(F.col("s"), F.col("t")))
+    rest = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
     return components(star.unionByName(rest))
 
 
@@ -182,31 +223,31 @@ def similar_components(docs: DataFrame, size: int = 5, similarity: float = 0.8)
     Similar texts differ in too many of 64 bits for a guarantee, so fingerprints
     are wide (LANES * 64 bits). A pair's share of differing bits estimates the
     angle between its shingle sets and so their similarity; pairs are kept up to
-    one standard deviation past the limit. The index is keyed by pairs of
-    adjacent positional bytes: at similarity 0.8, 97 of 100 pairs meet under a
-    key, at 0.85 over 99. Null and empty texts are one group.
+    one standard deviation past the limit. A positional byte alone is too common
+    at this similarity, and so are two: index keys hold one byte and two min-wise
+    hashes, so that texts without a common shingle never meet, however many
+    there are. At similarity 0.8, 98 of 100 pairs meet under one of the KEYS
+    keys, at 0.85 over 99. Null and empty texts are one group.
     """
     bits = LANES * 64
     share = math.acos(2 * similarity / (1 + similarity)) / math.pi
     most = int(bits * share + math.sqrt(bits * share * (1 - share)))
     least_equal = int(bits / 8 * (1 - share) ** 8 * 0.45)
-    rows = saved(docs.select("doc_id", wide_fingerprints("text", size).alias("fp")).withColumn("node", F.xxhash64("fp")))
-    wide = rows.groupBy("node").agg(F.first("fp").alias("fp"), F.min("doc_id").alias("least"))
+    both = docs.select("doc_id", wide_fingerprints("text", size).alias("w")).select("doc_id", "w.fp", "w.keys")
+    rows = saved(both.withColumn("node", F.xxhash64("fp")))
+    wide = rows.groupBy("node").agg(F.first("fp").alias("fp"), F.min("keys").alias("keys"), F.min("doc_id").alias("least"))
     nodes = saved(wide)
 
-    def verify(pairs: DataFrame) -> DataFrame:
-        fa, fb = (nodes.select(F.col("node").alias(k), F.col("fp").alias("f" + k)) for k in "ab")
-        both = pairs.join(fa, "a").join(fb, "b")
-        shared = F.aggregate(F.zip_with("fa", "fb", equal_bytes), F.lit(0), lambda s, x: s + x)
-        apart = F.aggregate(F.zip_with("fa", "fb", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda s, x: s + x)
-        return both.where((shared >= least_equal) & (apart <= most)).select("a", "b")
+    def close(a: Column, b: Column) -> Column:
+        shared = sum((equal_bytes(a[k], b[k]) for k in range(LANES)), F.lit(0))
+        apart = sum((F.bit_count(a[k].bitwiseXOR(b[k])) for k in range(LANES)), F.lit(0))
+        return (apart <= most) & (shared >= least_equal)
 
-    slot = lambda k: F.shiftrightunsigned(F.col("fp")[k // 4], 16 * (k % 4)).bitwiseAND(F.lit(65535)) + F.lit(k * 65536)
     # The first lane alone rules out most chance meetings: 64 bits, allowed four standard deviations past the mean.
     loose = int(64 * share + 4 * math.sqrt(64 * share * (1 - share)))
-    index = nodes.select("node", F.element_at("fp", 1).alias("sig"), F.array(*(slot(k) for k in range(LANES * 4))).alias("keys"))
-    roots = linked(index, lambda a, b: F.bit_count(a.bitwiseXOR(b)) <= loose, verify)
-    fps = wide.select("node", "least").join(roots, "node", "left").select("node", "least", F.coalesce("root", "node").alias("root"))
+    index = nodes.select("node", F.element_at("fp", 1).alias("sig"), "keys")
+    roots = linked(index, lambda a, b: F.bit_count(a.bitwiseXOR(b)) <= loose, nodes.select("node", "fp"), close)
+    fps = nodes.select("node", "least").join(roots, "node", "left").select("node", "least", F.coalesce("root", "node").alias("root"))
     ids = fps.groupBy("root").agg(F.min("least").alias("component_id"))
     return rows.select("doc_id", "node").join(fps.join(ids, "root").select("node", "component_id"), "node").select("doc_id", "component_id")
 

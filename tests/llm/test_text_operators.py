@@ -351,3 +351,19 @@ def test_chats_round_trip(spark):
     plain = next(r for r in got if r["conv_id"] == 4)
     assert not next(r for r in got if r["conv_id"] is None)["escaped"] and "a\nb" in plain["formatted"]
     assert chat_format.format_chats(d.limit(0)).count() == 0
+
+
+def test_near_copies_of_one_text_join_through_it(spark):
+    rng = random.Random(5)
+    base = [f"w{rng.randrange(10**6)}" for _ in range(200)]
+    rows = [(0, " ".join(base))]
+    for k in range(1, 40):  # two edits each: similar to the base, less so to each other
+        words = list(base)
+        for at in rng.sample(range(200), 2):
+            words[at] = f"x{k}"
+        rows.append((k, " ".join(words)))
+    rows += [(100 + k, " ".join(f"y{rng.randrange(10**6)}" for _ in range(200))) for k in range(20)]
+    rows += [(200, None), (201, ""), (0, rows[0][1])]
+    got = Counter((r["doc_id"], r["component_id"]) for r in simhash.similar_components(spark.createDataFrame(rows, "doc_id long, text string")).collect())
+    want = Counter((d, 0 if d < 40 else 200 if d >= 200 else d) for d, _ in rows)
+    assert got == want
