@@ -12,9 +12,12 @@ import atexit
 import tempfile
 import uuid
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+SIFT_BITS = 1 << 22
 _LOCAL: dict[str, str] = {}
 
 
@@ -62,6 +65,27 @@ def text_key(*parts: Column) -> Column:
     return F.struct(F.xxhash64(*nulls, *parts).alias("h1"), F.xxhash64(F.lit(1), *nulls, *parts).alias("h2"))
 
 
+def maybe_in(ids: DataFrame, of: Column) -> Column:
+    """True where the 64-bit ``of`` is in ``ids`` (one column), and by chance elsewhere.
+
+    The ids are held in a bitmap of SIFT_BITS bits, whatever their number: rows
+    that it rules out needn't be shuffled to a join with ``ids``.
+    """
+    slot = F.pmod(F.col(ids.columns[0]), F.lit(SIFT_BITS))
+    words = ids.select(slot.alias("n")).distinct().groupBy(F.shiftright("n", 5).cast("int").alias("w")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), (F.col("n") % 32).cast("int"))).alias("v"))
+    bits = np.zeros(SIFT_BITS // 32, np.uint32)
+    for r in words.toLocalIterator():
+        bits[r["w"]] = r["v"]
+    shared = ids.sparkSession.sparkContext.broadcast(bits)
+
+    @F.pandas_udf("boolean")
+    def held(n: pd.Series) -> pd.Series:
+        k = n.to_numpy(np.int64)
+        return pd.Series((shared.value[k >> 5] >> (k & 31).astype(np.uint32) & 1).astype(bool))
+
+    return held(F.pmod(of, F.lit(SIFT_BITS)))
+
+
 def components(edges: DataFrame) -> DataFrame:
     """(node, root) of every node with an edge; root: the component's least node.
 

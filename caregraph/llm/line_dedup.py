@@ -19,13 +19,12 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from caregraph.llm.common import components, saved, text_key
+from caregraph.llm.common import components, maybe_in, saved, text_key
 
 EDITS = 2
 FUZZY_CHARS = 24
 """Shorter lines count as the same only if they are equal."""
 PARITY = (1 << 48) - 1
-SIFT_BITS = 1 << 22
 
 
 def normal(line: Column) -> Column:
@@ -128,26 +127,6 @@ def _postings(lines: DataFrame, edits: int, probe: bool) -> DataFrame:
     return lines.select("id", "line").mapInPandas(run, "key long, id long, sig long")
 
 
-def _sifted(df: DataFrame, ids: DataFrame) -> DataFrame:
-    """Rows of ``df`` whose id may be in ``ids``: all that are, and by chance some others.
-
-    The ids are held in a bitmap of SIFT_BITS bits, whatever their number.
-    """
-    slot = F.pmod(F.col("id"), F.lit(SIFT_BITS))
-    words = ids.select(slot.alias("n")).distinct().groupBy(F.shiftright("n", 5).cast("int").alias("w")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), (F.col("n") % 32).cast("int"))).alias("v"))
-    bits = np.zeros(SIFT_BITS // 32, np.uint32)
-    for r in words.toLocalIterator():
-        bits[r["w"]] = r["v"]
-    shared = df.sparkSession.sparkContext.broadcast(bits)
-
-    @F.pandas_udf("boolean")
-    def held(n: pd.Series) -> pd.Series:
-        k = n.to_numpy(np.int64)
-        return pd.Series((shared.value[k >> 5] >> (k & 31).astype(np.uint32) & 1).astype(bool))
-
-    return df.where(held(slot))
-
-
 def edit_links(lines: DataFrame, edits: int = EDITS) -> DataFrame:
     """(a, b): keys of different lines within ``edits`` edits, each pair once, from ``lines`` (key, line), which may repeat.
 
@@ -167,7 +146,7 @@ def edit_links(lines: DataFrame, edits: int = EDITS) -> DataFrame:
 
     met = saved(met)
     ends = met.select(F.explode(F.array("i", "j")).alias("id")).distinct()
-    some = saved(_sifted(lines, ends).groupBy("id", "key", "line").agg(F.lit(1).alias("one")).drop("one"))
+    some = saved(lines.where(maybe_in(ends, F.col("id"))).groupBy("id", "key", "line").agg(F.lit(1).alias("one")).drop("one"))
     pairs = met.join(some.select(F.col("id").alias("i"), F.col("key").alias("a"), F.col("line").alias("x")), "i").join(some.select(F.col("id").alias("j"), F.col("key").alias("b"), F.col("line").alias("y")), "j")
     return pairs.where(close("x", "y")).select("a", "b")
 

@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from caregraph.llm.common import components, saved
+from caregraph.llm.common import components, maybe_in, saved
 
 SEED = 42
 BITS_APART = 4
@@ -260,10 +260,12 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group stays: the one with the smallest id. Rows that share an id are one document, of which one row stays; rows without an id stay."""
     groups = saved(similar_components(docs.select("doc_id", "text")))
-    gone = groups.where("component_id <> doc_id").select("doc_id").distinct()
-    kept = docs.join(gone, "doc_id", "left_anti")
+    gone = saved(groups.where("component_id <> doc_id").select("doc_id").distinct())
+    # Texts of documents that the bitmap rules out aren't shuffled.
+    maybe = maybe_in(gone.select(F.xxhash64("doc_id")), F.xxhash64("doc_id"))
+    kept = docs.where(~maybe).unionByName(docs.where(maybe).join(gone, "doc_id", "left_anti").select(docs.columns))
     again = groups.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").select("doc_id")
     if again.isEmpty():
         return kept
-    twice = kept.join(again, "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return kept.join(again, "doc_id", "left_anti").unionByName(twice)
+    twice = kept.join(again, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(docs.columns)
+    return kept.join(again, "doc_id", "left_anti").select(docs.columns).unionByName(twice)
