@@ -256,6 +256,31 @@ def test_leaks_on_the_table(spark, sf, table):
     assert exact <= got and exact
 
 
+def test_leaks_that_are_frequent_or_heavily_edited(spark, words):
+    r = random.Random(8)
+    item = words(15).split()
+    assert len(set(item)) == 15
+    texts = []
+    for k in range(70):  # no run of four words stays, but the score is over the limit
+        w = list(item)
+        for j in (3, 7, 11):
+            w[j] = f"x{k}y{j}"
+        w.insert(14, f"z{k}")
+        texts.append(" ".join([words(20), *w, words(20)]))
+    for k in range(60):  # 60 copies of two different seeds of four words
+        w = list(item)
+        for j in (0, 5, 10, 11, 12)[: 4 + k % 2]:
+            w[j] = f"u{k}v{j}"
+        texts.append(" ".join([words(30), *w, words(3)]))
+    for _ in range(60):
+        texts.append(" ".join(x for w in item for x in ([w] if r.random() < 0.6 else [w, "q"] if r.random() < 0.5 else ["p"])))
+    texts.append(" q ".join(item))
+    want = {k for k, t in enumerate(texts) if decontaminate.align(t.split(), item)[0] >= 15}
+    got = {x["doc_id"]: x for x in decontaminate.find_leaks(docs(spark, *texts), spark.createDataFrame([(1, " ".join(item))], "item_id long, text string")).collect()}
+    assert set(got) == want and len(want) > 150
+    assert all(got[k]["score"] == decontaminate.align(texts[k].split(), item)[0] / 30 for k in want)
+
+
 # 8 lines
 
 
