@@ -91,20 +91,25 @@ def within(a: str, b: str, edits: int = EDITS) -> bool:
 
 
 def _sign(line: str) -> int:
-    """Length above 48 bits of character count parities."""
+    """48 bits of character count parities."""
     codes = np.frombuffer(line.encode("utf-32-le"), "<u4") % 47
     odd = np.bincount(codes, minlength=48) & 1
-    return int.from_bytes(np.packbits(odd.astype(np.uint8)).tobytes(), "big") | min(len(line), 0x7FFF) << 48
+    return int.from_bytes(np.packbits(odd.astype(np.uint8)).tobytes(), "big")
 
 
 def _postings(lines: DataFrame, edits: int, probe: bool) -> DataFrame:
-    """(key, id, sig): index entries of ``lines`` (id, line), or what they look up. A task gives a line that it meets again only once, so frequent lines arrive once a task."""
+    """(key, id, sig): index entries of ``lines`` (id, line), or what they look up.
+
+    Above the parities, a probe's ``sig`` tells by how much its line is longer than
+    the indexed length, so lines may have any length. A task gives a line that it meets again only once, so
+    frequent lines arrive once a task.
+    """
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         plans: dict[int, list] = {}
         met: set[int] = set()
         for batch in batches:
-            keys, counts, ids, signs = [], [], [], []
+            keys, gaps, counts, ids, signs = [], [], [], [], []
             for i, line in zip(batch["id"], batch["line"], strict=True):
                 if i in met:
                     continue
@@ -116,13 +121,14 @@ def _postings(lines: DataFrame, edits: int, probe: bool) -> DataFrame:
                     if len(plans) > 20_000:
                         plans.clear()
                     parts = probes(n, edits) if probe else ((n, k, at, size) for k, (at, size) in enumerate(segments(n, edits)))
-                    plans[n] = [(f"{m},{k},".encode(), at, at + size) for m, k, at, size in parts]
-                raw = {xxhash.xxh64_intdigest(p + line[a:b].encode()) for p, a, b in plans[n]}
+                    plans[n] = [(f"{m},{k},".encode(), at, at + size, n - m) for m, k, at, size in parts]
+                raw = {xxhash.xxh64_intdigest(p + line[a:b].encode()): gap for p, a, b, gap in plans[n]}
                 keys += raw
+                gaps += raw.values()
                 counts.append(len(raw))
                 ids.append(i)
                 signs.append(_sign(line))
-            yield pd.DataFrame({"key": np.array(keys, np.uint64).view(np.int64), "id": np.repeat(np.array(ids, np.int64), counts), "sig": np.repeat(np.array(signs, np.int64), counts)})
+            yield pd.DataFrame({"key": np.array(keys, np.uint64).view(np.int64), "id": np.repeat(np.array(ids, np.int64), counts), "sig": np.repeat(np.array(signs, np.int64), counts) | np.array(gaps, np.int64) << 48})
 
     return lines.select("id", "line").mapInPandas(run, "key long, id long, sig long")
 
@@ -136,9 +142,10 @@ def edit_links(lines: DataFrame, edits: int = EDITS) -> DataFrame:
     lines = lines.withColumn("id", F.xxhash64("line"))
     own = _postings(lines, edits, False).distinct().select("key", F.col("id").alias("i"), F.col("sig").alias("s"))
     seen = _postings(lines, edits, True).select("key", F.col("id").alias("j"), F.col("sig").alias("t"))
-    n, m = F.shiftright("s", 48), F.shiftright("t", 48)
+    # A probe of an equal length meets each pair from both sides, one of a lesser length only from the longer line's.
+    longer = F.shiftright("t", 48) > 0
     apart = F.bit_count(F.col("s").bitwiseXOR(F.col("t")).bitwiseAND(F.lit(PARITY)))
-    met = own.join(seen, "key").where(((n < m) | ((n == m) & (F.col("i") < F.col("j")))) & (apart <= 2 * edits)).select("i", "j").distinct()
+    met = own.join(seen, "key").where((longer | (F.col("i") < F.col("j"))) & (apart <= 2 * edits)).select("i", "j").distinct()
 
     @F.pandas_udf("boolean")
     def close(a: pd.Series, b: pd.Series) -> pd.Series:

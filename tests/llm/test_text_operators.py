@@ -321,6 +321,17 @@ def test_edit_join_against_bruteforce(spark, words):
     assert got == {tuple(sorted(p)) for p in combinations(lines, 2) if distance(*p) <= 2}
 
 
+def test_edit_join_of_very_long_lines(spark):
+    r = random.Random(6)
+    texts = []
+    for k in range(8):  # which line of a pair has the greater hash is chance
+        a = "".join(r.choice("abcdefgh ") for _ in range(40_000))
+        texts += [a, a[:17_000] + "x" * (1 + k % 2) + a[17_000:]]
+    lines = spark.createDataFrame(list(enumerate(texts)), "key long, line string")
+    got = {tuple(sorted((x["a"], x["b"]))) for x in line_dedup.edit_links(lines).collect()}
+    assert got == {(2 * k, 2 * k + 1) for k in range(8)}
+
+
 def test_line_dedup(spark, words):
     a, b, c = words(9), words(9), words(9)
     d = docs(spark, f"{a}\n{b}", f"{c}\n\n {a.upper()} \n{b[:-1]}", None, "", f"{a}\n{a}").unionByName(spark.createDataFrame([(None, a, None, None, 5), (1, f"{c}\n\n {a.upper()} \n{b[:-1]}", "x", "y", 1)], DOCS)).withColumn("links", F.lit("clash"))
