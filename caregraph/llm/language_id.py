@@ -12,7 +12,7 @@ import re
 
 import pandas as pd
 import zstandard
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from caregraph.llm.common import crc_rest
@@ -21,7 +21,7 @@ UNKNOWN = "und"
 ROWS = 1000
 """Most texts that one language's dictionary is made from (a documented bound on the sample the classifier is fitted on)."""
 ROW_CHARS = 1000
-"""Most characters a sampled text gives to its dictionary, so that no long text fills it."""
+"""Most characters a sampled text gives to its dictionary, so that no long text fills it; they start at a place that the text's hash chooses."""
 DICT_BYTES = 250 * 1024
 BUCKETS = 4096
 _OTHER = re.compile(r"[\W\d_]+")
@@ -43,7 +43,7 @@ def learn(labelled: DataFrame, rows: int = ROWS) -> dict[str, bytes]:
     cuts: dict[str, list[int]] = {}
     for r in sorted(by.collect(), key=lambda r: (r["lang"], r["b"])):
         had = cuts.setdefault(r["lang"], [0, -1])
-        if had[0] < rows:
+        if had[0] < 1.25 * rows:  # counts are approximate
             cuts[r["lang"]] = [had[0] + r["n"], r["b"]]
     if not cuts:
         return {}
@@ -51,8 +51,11 @@ def learn(labelled: DataFrame, rows: int = ROWS) -> dict[str, bytes]:
     for lang, (_, last) in cuts.items():
         held = held | ((F.col("lang") == lang) & (F.pmod("h", F.lit(BUCKETS)) <= last))
     texts: dict[str, dict[int, str]] = {}
-    sample = drawn.where(held).select("lang", "h", F.substring("text", 1, ROW_CHARS).alias("t")).dropDuplicates(["lang", "h"])
-    for r in sample.orderBy(F.pmod("h", F.lit(BUCKETS)), "h").limit(2 * rows * len(cuts)).collect():
+    at = F.pmod(F.xxhash64(F.lit(1), "text"), F.greatest(F.length("text") - ROW_CHARS, F.lit(0)) + 1) + 1
+    sample = drawn.where(held).select("lang", "h", F.substr("text", at.cast("int"), F.lit(ROW_CHARS)).alias("t")).dropDuplicates(["lang", "h"])
+    # Each language has its own limit, so none crowds out another.
+    first = F.row_number().over(Window.partitionBy("lang").orderBy(F.pmod("h", F.lit(BUCKETS)), "h"))
+    for r in sample.withColumn("k", first).where(F.col("k") <= rows).collect():
         texts.setdefault(r["lang"], {})[r["h"]] = r["t"]
     out = {}
     for lang, got in sorted(texts.items()):

@@ -222,6 +222,21 @@ def test_language_awkward(spark):
     assert language_id.learn(d.limit(0)) == {} and language_id.predict(d, {}).where("lang_pred <> 'und'").count() == 0
 
 
+def test_big_languages_leave_rare_ones_their_sample(spark, words, monkeypatch):
+    monkeypatch.setattr(language_id, "BUCKETS", 8)
+    rare = [words(4) for _ in range(5)]
+    rows = [(words(4), lang) for lang in ("aa", "bb") for _ in range(600)] + [(t, "zz") for t in rare]
+    got = language_id.learn(spark.createDataFrame(rows, "text string, lang string"), 5)
+    assert set(got["zz"].decode().split("\n")) == set(rare)
+    assert all(len(got[k].decode().split("\n")) == 5 for k in ("aa", "bb"))
+
+
+def test_samples_are_not_prefixes(spark, words):
+    texts = ["x" * 2000 + " " + words(900) for _ in range(20)]
+    got = language_id.learn(spark.createDataFrame([(t, "aa") for t in texts], "text string, lang string"))["aa"].decode()
+    assert any(set(part) - {"x"} for part in got.split("\n"))
+
+
 # 7 decontamination
 
 
