@@ -72,12 +72,38 @@ def contains(spark: SparkSession, d: str) -> DataFrame:
     return docs.join(F.broadcast(items), F.contains("text", "item")).select("doc_id", "item_id")
 
 
+GRAM = 3
+"""A line and an item are scored if they share a run of so many words, or all of an item with fewer."""
+
+
+def _words(c):
+    """Lower-cased words; other characters only part them."""
+    return F.filter(F.split(F.regexp_replace(F.lower(c), r"(?U)[\W_]+", " "), " "), lambda w: w != "")
+
+
+def _grams(w, n: int):
+    """Different runs of n words."""
+    return F.when(F.size(w) >= n, F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.size(w) - n + 1, F.lit(1))), lambda i: F.array_join(F.slice(w, i, n), " "))))
+
+
+def text_pairs(lines: DataFrame, items: DataFrame) -> DataFrame:
+    """(mention, item_id, label): all lines (mention) and items (item_id, label) that share a run of GRAM words at any place, or hold all words of a shorter item."""
+    line = lines.where("mention is not null").select("mention", F.md5("mention").alias("line"), _words(F.col("mention")).alias("w"))
+    item = items.select("item_id", "label", _words(F.col("label")).alias("w")).where(F.size("w") > 0).withColumn("n", F.least(F.size("w"), F.lit(GRAM)))
+    met = None
+    for n in [r["n"] for r in item.select("n").distinct().collect()]:  # at most GRAM values
+        own = item.where(F.col("n") == n).select("item_id", F.explode(_grams(F.col("w"), n)).alias("g"))
+        some = line.select("line", F.explode(_grams(F.col("w"), n)).alias("g")).join(own, "g").select("line", "item_id").distinct()
+        met = some if met is None else met.unionByName(some)
+    if met is None:
+        return line.select("mention").crossJoin(items.limit(0).select("item_id", "label"))
+    return met.join(line.select("line", "mention"), "line").join(items.select("item_id", "label"), "item_id").select("mention", "item_id", "label")
+
+
 def text_matches(spark: SparkSession, d: str) -> DataFrame:
-    """Document lines against items that share their first 12 characters, by the Arrow form of the subsequence."""
-    line = records.table(spark, d, "documents", "text").select(F.explode(F.split("text", "\n")).alias("mention")).where("length(mention) >= 40").distinct()
-    item = records.table(spark, d, "benchmark").select(F.col("text").alias("label"))
-    key = lambda c: F.lower(F.substring(c, 1, 12)).alias("k")
-    both = line.select("mention", key("mention")).join(item.select("label", key("label")), "k")
+    """Document lines against items that they share words with, by the Arrow form of the subsequence."""
+    line = records.table(spark, d, "documents", "text").select(F.explode(F.split("text", "\n")).alias("mention")).distinct()
+    both = text_pairs(line, records.table(spark, d, "benchmark").select("item_id", F.col("text").alias("label")))
     a, b = F.col("mention"), F.col("label")
     return both.select(F.md5("mention").alias("line_md5"), F.length(a).alias("line_chars"), F.length(b).alias("item_chars"), F.round(sim.lcs_sim(a, b, long=True), 6).alias("sim"))
 

@@ -62,3 +62,24 @@ def test_sampling_methods(spark, sf):
 def test_perfect_auc(spark):
     df = spark.createDataFrame([(0.1, 0), (0.2, 0), (0.9, 1)], "s double, l int")
     assert calibrate.roc_auc(df, "s", "l").first()["auc"] == 1.0
+
+
+def test_lines_meet_items_at_any_place(spark, sf):
+    import re
+
+    from caregraph.queries import link
+
+    lines = [r["mention"] for r in spark.read.parquet(f"{sf}/documents.parquet").selectExpr("explode(split(text, '\\n')) AS mention").distinct().collect()]
+    items = [(r["item_id"], r["text"]) for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()] + [(-1, "of the"), (-2, "...")]
+    words = lambda t: [w for w in re.split(r"[\W_]+", t.lower()) if w]
+    runs = lambda w, n: {tuple(w[k : k + n]) for k in range(len(w) - n + 1)}
+    want = set()
+    for i, t in items:
+        n = min(3, len(words(t)))
+        own = runs(words(t), n) if n else set()
+        want |= {(m, i) for m in lines if own & runs(words(m), n)} if n else set()
+    got = link.text_pairs(spark.createDataFrame([(m,) for m in lines], "mention string"), spark.createDataFrame(items, "item_id long, label string"))
+    got = [(r["mention"], r["item_id"]) for r in got.collect()]
+    assert set(got) == want and len(got) == len(want)
+    assert {(m, i) for i, t in items for m in lines if i >= 0 and t in m} <= want
+    assert link.text_matches(spark, sf).count() == len({p for p in want if p[1] >= 0})
