@@ -17,7 +17,9 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-SIFT_BITS = 1 << 22
+SIFT_BITS = 1 << 26
+"""Most bits of a bitmap that is broadcast."""
+SIFT_RATIO = 8
 _LOCAL: dict[str, str] = {}
 
 
@@ -66,16 +68,21 @@ def text_key(*parts: Column) -> Column:
 
 
 def maybe_in(ids: DataFrame, of: Column) -> Column:
-    """True where the 64-bit ``of`` is in ``ids`` (one column), and by chance elsewhere.
+    """True where the 64-bit ``of`` is in ``ids`` (one column, read twice), and by chance elsewhere.
 
-    The ids are held in a bitmap of SIFT_BITS bits, whatever their number: rows
-    that it rules out needn't be shuffled to a join with ``ids``.
+    The ids are counted and held in a bitmap of some SIFT_RATIO bits each: rows
+    that it rules out needn't be shuffled to a join with ``ids``. Where it would take
+    more than SIFT_BITS bits it is given up, and all rows go to the join.
     """
-    slot = F.pmod(F.col(ids.columns[0]), F.lit(SIFT_BITS))
-    words = ids.select(slot.alias("n")).distinct().groupBy(F.shiftright("n", 5).cast("int").alias("w")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), (F.col("n") % 32).cast("int"))).alias("v"))
-    bits = np.zeros(SIFT_BITS // 32, np.uint32)
-    for r in words.toLocalIterator():
-        bits[r["w"]] = r["v"]
+    n = ids.count()
+    size = max(1 << 16, 1 << (SIFT_RATIO * n - 1).bit_length()) if n else 32
+    if size > SIFT_BITS:
+        return of.isNotNull()
+    slot = F.pmod(F.col(ids.columns[0]), F.lit(size))
+    words = ids.where(F.col(ids.columns[0]).isNotNull()).groupBy(F.shiftright(slot, 5).cast("int").alias("w")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), (slot % 32).cast("int"))).alias("v"))
+    held_words = words.toArrow()
+    bits = np.zeros(size // 32, np.uint32)
+    bits[held_words["w"].to_numpy()] = held_words["v"].to_numpy().astype(np.uint32)
     shared = ids.sparkSession.sparkContext.broadcast(bits)
 
     @F.pandas_udf("boolean")
@@ -83,7 +90,7 @@ def maybe_in(ids: DataFrame, of: Column) -> Column:
         k = n.to_numpy(np.int64)
         return pd.Series((shared.value[k >> 5] >> (k & 31).astype(np.uint32) & 1).astype(bool))
 
-    return held(F.pmod(of, F.lit(SIFT_BITS)))
+    return held(F.pmod(of, F.lit(size)))
 
 
 def components(edges: DataFrame) -> DataFrame:

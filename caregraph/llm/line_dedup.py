@@ -6,16 +6,20 @@ index with those of its substrings that could be a segment of a line of its own
 or a shorter length. Lines that meet are sifted by the parity of their
 characters' counts (an edit changes two at most), and verified by a banded
 bit-parallel edit distance. Equal lines are one; the join is over different lines.
+
+A segment that very many lines share isn't joined as it is: what is left of two
+lines without the segment they share is again within t edits, so it is cut and
+looked up in the same way, until few enough lines meet or LEVELS is reached.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import cache
 from os.path import commonprefix
 
 import numpy as np
 import pandas as pd
-import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -25,6 +29,14 @@ EDITS = 2
 FUZZY_CHARS = 24
 """Shorter lines count as the same only if they are equal."""
 PARITY = (1 << 48) - 1
+OWN = 1 << 60
+PAIRS = 50_000
+"""Lines that share a segment are joined if they make no more pairs than this; else what is left of them is cut again."""
+LEVELS = 6
+CHARS = 1 << 20
+"""Characters that a task hashes at once (or one line, if it is longer)."""
+ROWS = 200_000
+"""Most rows of one key that a task holds before it passes them on to the next level."""
 
 
 def normal(line: Column) -> Column:
@@ -34,26 +46,40 @@ def normal(line: Column) -> Column:
 
 def segments(n: int, edits: int = EDITS) -> list[tuple[int, int]]:
     """(start, length) of the edits + 1 segments of a line of n characters; the last ones are longer by one."""
-    base, long = divmod(n, edits + 1)
-    out, at = [], 0
-    for k in range(edits + 1):
-        size = base + (k > edits - long)
-        out.append((at, size))
-        at += size
-    return out
+    return [_segment(n, k, edits) for k in range(edits + 1)]
 
 
-def probes(n: int, edits: int = EDITS) -> Iterator[tuple[int, int, int, int]]:
-    """(indexed length, segment, start, size) of the substrings that a line of n characters looks up.
+def _segment(n, k: int, edits: int):
+    """(start, length) of segment k; n is a number or an array."""
+    base, long = n // (edits + 1), n % (edits + 1)
+    shorter = edits + 1 - long
+    return k * base + np.maximum(0, k - shorter), base + (k >= shorter)
+
 
-    Start positions are those that leave enough edits on both sides: k edits at
-    most before segment k, and edits - k after it, given the lengths' difference.
+@cache
+def windows(edits: int = EDITS) -> tuple[tuple[int, int, int], ...]:
+    """(gap, segment, offset) of all substrings that a line looks up, gap being by how much the indexed line is shorter.
+
+    Offsets are those that leave enough edits on both sides: k edits at most
+    before segment k, and edits - k after it, given the lengths' difference.
+    A line's own segments are those of gap and offset 0.
     """
-    for gap in range(min(edits, n) + 1):
-        for k, (at, size) in enumerate(segments(n - gap, edits)):
-            for off in range(max(-k, gap - (edits - k)), min(k, gap + edits - k) + 1):
-                if 0 <= at + off <= n - size:
-                    yield n - gap, k, at + off, size
+    return tuple((gap, k, off) for gap in range(edits + 1) for k in range(edits + 1) for off in range(max(-k, gap - (edits - k)), min(k, gap + edits - k) + 1))
+
+
+def place(n, window: tuple[int, int, int], edits: int = EDITS):
+    """(start, length) of a window's substring in a line of n characters; out of the line where there is none."""
+    gap, k, off = window
+    at, size = _segment(n - gap, k, edits)
+    return at + off, size
+
+
+def probes(n: int, edits: int = EDITS) -> Iterator[tuple[int, int, int, int]]:
+    """(indexed length, segment, start, size) of the substrings that a line of n characters looks up."""
+    for w in windows(edits):
+        at, size = place(n, w, edits)
+        if w[0] <= n and 0 <= at <= n - size:
+            yield n - w[0], w[1], int(at), int(size)
 
 
 def within(a: str, b: str, edits: int = EDITS) -> bool:
@@ -86,72 +112,257 @@ def within(a: str, b: str, edits: int = EDITS) -> bool:
             ok = full & ((1 << (hi + 1)) - 1 if hi >= 0 else 0)
             r &= ok & ~((1 << max(lo, 0)) - 1)
             new.append(r)
+        if not new[edits]:
+            return False
         rows = new
     return bool(rows[edits] >> (len(b) - len(a) + edits) & 1)
 
 
+_BASE = np.uint64(0x9E3779B97F4A7C15)
+_BACK = np.uint64(pow(0x9E3779B97F4A7C15, -1, 2**64))
+
+
+@cache
+def _powers(size: int) -> tuple[np.ndarray, np.ndarray]:
+    """Powers of the hash's base and of its inverse, modulo 2**64."""
+    return tuple(np.concatenate([np.ones(1, np.uint64), np.multiply.accumulate(np.full(size, b, np.uint64))]) for b in (_BASE, _BACK))
+
+
+def _mixed(x: np.ndarray) -> np.ndarray:
+    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return x ^ (x >> np.uint64(31))
+
+
+class Lines:
+    """Some lines' characters as one array, with sums from which any substring's hash follows."""
+
+    def __init__(self, texts: list[str]) -> None:
+        self.size = np.fromiter(map(len, texts), np.int64, len(texts))
+        self.start = np.cumsum(self.size) - self.size
+        self.codes = np.frombuffer("".join(texts).encode("utf-32-le", "surrogatepass"), "<u4")
+        self.up, self.down = _powers(1 << max(CHARS - 1, len(self.codes)).bit_length())
+        self.sums = np.zeros(len(self.codes) + 1, np.uint64)
+        np.cumsum(_mixed(self.codes.astype(np.uint64) + _BASE) * self.up[: len(self.codes)], out=self.sums[1:])
+
+    def hashes(self, which: np.ndarray, at: np.ndarray, size: np.ndarray) -> np.ndarray:
+        a = self.start[which] + at
+        return (self.sums[a + size] - self.sums[a]) * self.down[a]
+
+    def signs(self) -> np.ndarray:
+        """48 bits of character count parities for each line."""
+        n = len(self.size)
+        at = np.repeat(np.arange(n), self.size) * 48 + (self.codes % 47).astype(np.int64)
+        odd = (np.bincount(at, minlength=n * 48) & 1).astype(np.uint8).reshape(n, 48)
+        out = np.zeros((n, 8), np.uint8)
+        out[:, :6] = np.packbits(odd, axis=1)
+        return out.view("<i8")[:, 0]
+
+    def keys(self, before: np.ndarray, gaps: np.ndarray, edits: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(line, window, key) of what the lines look up, each after its own key ``before``; ``gaps``: the only gap a line looks up, -1 for all."""
+        which, window, keys = [], [], []
+        for p, w in enumerate(windows(edits)):
+            at, size = place(self.size, w, edits)
+            ok = np.flatnonzero((self.size >= w[0]) & (at >= 0) & (at + size <= self.size) & ((gaps < 0) | (gaps == w[0])))
+            tag = _mixed(((self.size[ok] - w[0]) * 64 + w[1]).astype(np.uint64) ^ before[ok])
+            which.append(ok)
+            window.append(np.full(len(ok), p, np.int64))
+            keys.append(_mixed(self.hashes(ok, at[ok], size[ok]) ^ tag))
+        return np.concatenate(which), np.concatenate(window), np.concatenate(keys).view(np.int64)
+
+
 def _sign(line: str) -> int:
-    """48 bits of character count parities."""
-    codes = np.frombuffer(line.encode("utf-32-le"), "<u4") % 47
-    odd = np.bincount(codes, minlength=48) & 1
-    return int.from_bytes(np.packbits(odd.astype(np.uint8)).tobytes(), "big")
+    return int(Lines([line]).signs()[0])
 
 
-def _postings(lines: DataFrame, edits: int, probe: bool) -> DataFrame:
-    """(key, id, sig): index entries of ``lines`` (id, line), or what they look up.
+def _groups(texts: list[str]) -> Iterator[tuple[int, int]]:
+    """Ranges of lines of at most CHARS characters together."""
+    at = n = 0
+    for k, t in enumerate(texts):
+        if n and n + len(t) > CHARS:
+            yield at, k
+            at, n = k, 0
+        n += len(t)
+    if at < len(texts):
+        yield at, len(texts)
 
-    Above the parities, a probe's ``sig`` tells by how much its line is longer than
-    the indexed length, so lines may have any length. A task gives a line that it meets again only once, so
-    frequent lines arrive once a task.
+
+def _own(window: np.ndarray, edits: int) -> np.ndarray:
+    own = np.array([w[0] == w[2] == 0 for w in windows(edits)])
+    return own[window]
+
+
+def _gap(window: np.ndarray, edits: int) -> np.ndarray:
+    return np.array([w[0] for w in windows(edits)], np.int64)[window]
+
+
+def _postings(lines: DataFrame, edits: int) -> DataFrame:
+    """(key, id, sig) of all that ``lines`` (id, line) look up, index entries among them.
+
+    ``sig``: 48 bits of parities, the gap from bit 48, the window from bit 50, and OWN on
+    index entries. A task gives a line that it meets again only once, so frequent lines arrive once a task.
     """
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        plans: dict[int, list] = {}
         met: set[int] = set()
         for batch in batches:
-            keys, gaps, counts, ids, signs = [], [], [], [], []
-            for i, line in zip(batch["id"], batch["line"], strict=True):
-                if i in met:
-                    continue
-                if len(met) > 500_000:
-                    met.clear()
-                met.add(i)
-                n = len(line)
-                if n not in plans:
-                    if len(plans) > 20_000:
-                        plans.clear()
-                    parts = probes(n, edits) if probe else ((n, k, at, size) for k, (at, size) in enumerate(segments(n, edits)))
-                    plans[n] = [(f"{m},{k},".encode(), at, at + size, n - m) for m, k, at, size in parts]
-                raw = {xxhash.xxh64_intdigest(p + line[a:b].encode()): gap for p, a, b, gap in plans[n]}
-                keys += raw
-                gaps += raw.values()
-                counts.append(len(raw))
-                ids.append(i)
-                signs.append(_sign(line))
-            yield pd.DataFrame({"key": np.array(keys, np.uint64).view(np.int64), "id": np.repeat(np.array(ids, np.int64), counts), "sig": np.repeat(np.array(signs, np.int64), counts) | np.array(gaps, np.int64) << 48})
+            if len(met) > 500_000:
+                met.clear()
+            fresh = {i: line for i, line in zip(batch["id"].tolist(), batch["line"], strict=True) if i not in met}
+            met |= fresh.keys()
+            ids, texts = np.array(list(fresh), np.int64), list(fresh.values())
+            for lo, hi in _groups(texts):
+                held = Lines(texts[lo:hi])
+                n = hi - lo
+                which, window, keys = held.keys(np.zeros(n, np.uint64), np.full(n, -1), edits)
+                sig = held.signs()[which] | _gap(window, edits) << 48 | window << 50 | np.where(_own(window, edits), OWN, 0)
+                yield pd.DataFrame({"key": keys, "id": ids[lo:hi][which], "sig": sig})
 
     return lines.select("id", "line").mapInPandas(run, "key long, id long, sig long")
 
 
+def _deeper(hot: DataFrame, lines: DataFrame, edits: int) -> DataFrame:
+    """(key, id, sig, path) of the next level: what is left of the lines of ``hot`` (id, key, sig, path) without the windows of their paths, cut and looked up."""
+    by = hot.groupBy("id").agg(F.collect_set(F.struct("key", "sig", "path")).alias("held"))
+    texts = lines.where(maybe_in(hot.select("id").distinct(), F.col("id"))).groupBy("id", "line").agg(F.lit(1).alias("one")).select("id", "line")
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        plan = windows(edits)
+        for batch in batches:
+            ids, before, sigs, paths, rest = [], [], [], [], []
+
+            def rows() -> Iterator[pd.DataFrame]:
+                id_, key, sig, path = (np.array(x, np.int64) for x in (ids, before, sigs, paths))
+                for lo, hi in _groups(rest):
+                    s = sig[lo:hi]
+                    which, window, keys = Lines(rest[lo:hi]).keys(key[lo:hi].view(np.uint64), s >> 48 & 3, edits)
+                    own = (s[which] >= OWN) & _own(window, edits)
+                    yield pd.DataFrame({"key": keys, "id": id_[lo:hi][which], "sig": s[which] & PARITY | _gap(window, edits) << 48 | window << 50 | np.where(own, OWN, 0), "path": path[lo:hi][which]})
+
+            size = 0
+            for i, line, held in zip(batch["id"], batch["line"], batch["held"], strict=True):
+                for h in held:
+                    text, path = line, h["path"] << 8 | (h["sig"] >> 50 & 255) + 1
+                    for k in range(path.bit_length() // 8 * 8, -1, -8):
+                        if path >> k & 255:
+                            at, n = place(len(text), plan[(path >> k & 255) - 1], edits)
+                            text = text[:at] + text[at + n :]
+                    for out, x in zip((ids, before, sigs, paths, rest), (i, h["key"], h["sig"], path, text), strict=True):
+                        out.append(x)
+                    size += len(text)
+                if size > CHARS:
+                    yield from rows()
+                    ids, before, sigs, paths, rest = [], [], [], [], []
+                    size = 0
+            yield from rows()
+
+    return by.join(texts, "id").select("id", "line", "held").mapInPandas(run, "key long, id long, sig long, path long")
+
+
+def _meet(rows: DataFrame, edits: int, last: bool) -> DataFrame:
+    """(i, j) of lines that meet under a key and pass the sift, and (key, i, sig, path) of rows under keys that more than PAIRS pairs would meet in (none if ``last``).
+
+    Rows arrive sorted by key, index entries first, so a task streams them and
+    holds one key at a time; of a crowded key it holds ROWS rows at most before it passes them on.
+    """
+    deep = "path" in rows.columns
+
+    def pairs(start: np.ndarray, end: np.ndarray, owns: np.ndarray, ids: np.ndarray, sig: np.ndarray) -> Iterator[pd.DataFrame]:
+        """Each index entry with all rows of its key; ranges of rows by key."""
+        own = np.repeat(start, owns) + _counted(owns)
+        size = np.repeat(end - start, owns)
+        cuts = np.searchsorted(np.cumsum(size), np.arange(1, int(size.sum()) // 2_000_000 + 1) * 2_000_000)
+        for part in np.split(np.arange(len(own)), np.unique(cuts)):
+            if not len(part):
+                continue
+            a = np.repeat(own[part], size[part])
+            b = np.repeat(np.repeat(start, owns)[part], size[part]) + _counted(size[part])
+            i, j, s, t = ids[a], ids[b], sig[a], sig[b]
+            # A probe of an equal length meets each pair from both sides, one of a lesser length only from the longer line's.
+            ok = (i != j) & ((t >> 48 & 3 > 0) | (i < j)) & (np.bitwise_count((s ^ t) & PARITY) <= 2 * edits)
+            if ok.any():
+                yield pd.DataFrame({"i": i[ok], "j": j[ok]}).drop_duplicates().assign(key=None, sig=0, path=0)
+
+    def passed(key: np.ndarray, ids: np.ndarray, sig: np.ndarray, path: np.ndarray) -> pd.DataFrame:
+        return pd.DataFrame({"i": ids, "j": 0, "key": key, "sig": sig, "path": path})
+
+    def whole(key: np.ndarray, ids: np.ndarray, sig: np.ndarray, path: np.ndarray) -> Iterator[pd.DataFrame]:
+        """Rows of whole keys."""
+        if not len(key):
+            return
+        start = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
+        end = np.r_[start[1:], len(key)]
+        owns = np.add.reduceat((sig >= OWN).astype(np.int64), start)
+        some = (owns > 0) & (end - start > 1)
+        start, end, owns = start[some], end[some], owns[some]
+        crowded = (owns * (end - start) > PAIRS) & (not last)
+        yield from pairs(start[~crowded], end[~crowded], owns[~crowded], ids, sig)
+        for lo, hi in zip(start[crowded], end[crowded], strict=True):
+            yield passed(key[lo:hi], ids[lo:hi], sig[lo:hi], path[lo:hi])
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        held: list[np.ndarray] | None = None
+        streaming = None
+        for batch in batches:
+            cols = [batch[c].to_numpy(np.int64) for c in ("key", "id", "sig")]
+            cols.append(batch["path"].to_numpy(np.int64) if deep else np.zeros(len(batch), np.int64))
+            if not len(batch):
+                continue
+            same = np.r_[False, np.logical_and.reduce([c[1:] == c[:-1] for c in cols])]
+            cols = [c[~same] for c in cols]
+            if streaming is not None:
+                n = int(np.searchsorted(cols[0] != streaming, True))
+                yield passed(*(c[:n] for c in cols))
+                cols = [c[n:] for c in cols]
+                if not len(cols[0]):
+                    continue
+                streaming = None
+            if held is not None:
+                cols = [np.concatenate(x) for x in zip(held, cols, strict=True)]
+            at = int(np.flatnonzero(np.r_[True, cols[0][1:] != cols[0][:-1]])[-1])
+            yield from whole(*(c[:at] for c in cols))
+            held = [c[at:] for c in cols]
+            if held[2][0] < OWN:  # no index entry under this key
+                held = [c[:1] for c in held]
+            elif len(held[0]) > ROWS and not last:
+                yield passed(*held)
+                streaming, held = int(held[0][0]), None
+        if held is not None:
+            yield from whole(*held)
+
+    sorted_rows = rows.repartition("key").sortWithinPartitions("key", F.desc("sig"), "id")
+    return sorted_rows.mapInPandas(run, "i long, j long, key long, sig long, path long")
+
+
+def _counted(n: np.ndarray) -> np.ndarray:
+    """0 .. n - 1 for each n, one after the other."""
+    return np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+
+
 def edit_links(lines: DataFrame, edits: int = EDITS) -> DataFrame:
-    """(a, b): keys of different lines within ``edits`` edits, each pair once, from ``lines`` (key, line), which may repeat.
+    """(a, b): keys of different lines within ``edits`` edits (3 at most), each pair once, from ``lines`` (key, line), which may repeat.
 
     Texts aren't shuffled for the join: its rows are hashes, and only lines that
     met another are fetched to be verified.
     """
+    if not 0 <= edits <= 3:
+        raise ValueError("up to 3 edits")
     lines = lines.withColumn("id", F.xxhash64("line"))
-    own = _postings(lines, edits, False).distinct().select("key", F.col("id").alias("i"), F.col("sig").alias("s"))
-    seen = _postings(lines, edits, True).select("key", F.col("id").alias("j"), F.col("sig").alias("t"))
-    # A probe of an equal length meets each pair from both sides, one of a lesser length only from the longer line's.
-    longer = F.shiftright("t", 48) > 0
-    apart = F.bit_count(F.col("s").bitwiseXOR(F.col("t")).bitwiseAND(F.lit(PARITY)))
-    met = own.join(seen, "key").where((longer | (F.col("i") < F.col("j"))) & (apart <= 2 * edits)).select("i", "j").distinct()
+    rows, met = _postings(lines, edits), None
+    for level in range(LEVELS):
+        out = saved(_meet(rows, edits, level == LEVELS - 1))
+        found = out.where("key is null").select("i", "j")
+        met = found if met is None else met.unionByName(found)
+        hot = out.where("key is not null").select(F.col("i").alias("id"), "key", "sig", "path")
+        if hot.isEmpty():
+            break
+        rows = _deeper(hot, lines, edits)
 
     @F.pandas_udf("boolean")
     def close(a: pd.Series, b: pd.Series) -> pd.Series:
         return pd.Series([within(x, y, edits) for x, y in zip(a, b, strict=True)], dtype=bool)
 
-    met = saved(met)
+    met = saved(met.distinct())
     ends = met.select(F.explode(F.array("i", "j")).alias("id")).distinct()
     some = saved(lines.where(maybe_in(ends, F.col("id"))).groupBy("id", "key", "line").agg(F.lit(1).alias("one")).drop("one"))
     pairs = met.join(some.select(F.col("id").alias("i"), F.col("key").alias("a"), F.col("line").alias("x")), "i").join(some.select(F.col("id").alias("j"), F.col("key").alias("b"), F.col("line").alias("y")), "j")

@@ -418,3 +418,24 @@ def test_near_copies_of_one_text_join_through_it(spark):
     got = Counter((r["doc_id"], r["component_id"]) for r in simhash.similar_components(spark.createDataFrame(rows, "doc_id long, text string")).collect())
     want = Counter((d, 0 if d < 40 else 200 if d >= 200 else d) for d, _ in rows)
     assert got == want
+
+
+def test_edit_join_of_crowded_segments(spark, monkeypatch):
+    r = random.Random(9)
+    head = "the same half of forty characters is in "
+
+    def edited(x):
+        x = list(x)
+        for _ in range(r.randint(1, 3)):
+            k = r.randrange(len(x))
+            x[k : k + r.randint(0, 1)] = r.choice(["", "a", "b"])
+        return "".join(x)
+
+    lines = [head + "".join(r.choice("0123456789abcdef") for _ in range(40)) for _ in range(300)]
+    lines = list(dict.fromkeys(lines + [edited(x) for x in lines[:100]]))
+    df = spark.createDataFrame([(x, x) for x in lines], "key string, line string")
+    want = {tuple(sorted(p)) for p in combinations(lines, 2) if abs(len(p[0]) - len(p[1])) < 3 and distance(*p) <= 2}
+    for pairs, rows in ((50_000, 200_000), (20, 10), (0, 3)):
+        monkeypatch.setattr(line_dedup, "PAIRS", pairs)
+        monkeypatch.setattr(line_dedup, "ROWS", rows)
+        assert {tuple(sorted((x["a"], x["b"]))) for x in line_dedup.edit_links(df).collect()} == want
