@@ -24,6 +24,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from caregraph.llm.common import components, maybe_in, saved, text_key
+from caregraph.llm.rolling import Runs, codes_of, counted, mixed
 
 EDITS = 2
 FUZZY_CHARS = 24
@@ -118,36 +119,14 @@ def within(a: str, b: str, edits: int = EDITS) -> bool:
     return bool(rows[edits] >> (len(b) - len(a) + edits) & 1)
 
 
-_BASE = np.uint64(0x9E3779B97F4A7C15)
-_BACK = np.uint64(pow(0x9E3779B97F4A7C15, -1, 2**64))
-
-
-@cache
-def _powers(size: int) -> tuple[np.ndarray, np.ndarray]:
-    """Powers of the hash's base and of its inverse, modulo 2**64."""
-    return tuple(np.concatenate([np.ones(1, np.uint64), np.multiply.accumulate(np.full(size, b, np.uint64))]) for b in (_BASE, _BACK))
-
-
-def _mixed(x: np.ndarray) -> np.ndarray:
-    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
-    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
-    return x ^ (x >> np.uint64(31))
-
-
 class Lines:
     """Some lines' characters as one array, with sums from which any substring's hash follows."""
 
     def __init__(self, texts: list[str]) -> None:
         self.size = np.fromiter(map(len, texts), np.int64, len(texts))
         self.start = np.cumsum(self.size) - self.size
-        self.codes = np.frombuffer("".join(texts).encode("utf-32-le", "surrogatepass"), "<u4")
-        self.up, self.down = _powers(1 << max(CHARS - 1, len(self.codes)).bit_length())
-        self.sums = np.zeros(len(self.codes) + 1, np.uint64)
-        np.cumsum(_mixed(self.codes.astype(np.uint64) + _BASE) * self.up[: len(self.codes)], out=self.sums[1:])
-
-    def hashes(self, which: np.ndarray, at: np.ndarray, size: np.ndarray) -> np.ndarray:
-        a = self.start[which] + at
-        return (self.sums[a + size] - self.sums[a]) * self.down[a]
+        self.codes = codes_of("".join(texts))
+        self.runs = Runs(self.codes)
 
     def signs(self) -> np.ndarray:
         """48 bits of character count parities for each line."""
@@ -164,10 +143,10 @@ class Lines:
         for p, w in enumerate(windows(edits)):
             at, size = place(self.size, w, edits)
             ok = np.flatnonzero((self.size >= w[0]) & (at >= 0) & (at + size <= self.size) & ((gaps < 0) | (gaps == w[0])))
-            tag = _mixed(((self.size[ok] - w[0]) * 64 + w[1]).astype(np.uint64) ^ before[ok])
+            tag = mixed(((self.size[ok] - w[0]) * 64 + w[1]).astype(np.uint64) ^ before[ok])
             which.append(ok)
             window.append(np.full(len(ok), p, np.int64))
-            keys.append(_mixed(self.hashes(ok, at[ok], size[ok]) ^ tag))
+            keys.append(mixed(self.runs.of(self.start[ok] + at[ok], size[ok]) ^ tag))
         return np.concatenate(which), np.concatenate(window), np.concatenate(keys).view(np.int64)
 
 
@@ -269,14 +248,14 @@ def _meet(rows: DataFrame, edits: int, last: bool) -> DataFrame:
 
     def pairs(start: np.ndarray, end: np.ndarray, owns: np.ndarray, ids: np.ndarray, sig: np.ndarray) -> Iterator[pd.DataFrame]:
         """Each index entry with all rows of its key; ranges of rows by key."""
-        own = np.repeat(start, owns) + _counted(owns)
+        own = np.repeat(start, owns) + counted(owns)
         size = np.repeat(end - start, owns)
         cuts = np.searchsorted(np.cumsum(size), np.arange(1, int(size.sum()) // 2_000_000 + 1) * 2_000_000)
         for part in np.split(np.arange(len(own)), np.unique(cuts)):
             if not len(part):
                 continue
             a = np.repeat(own[part], size[part])
-            b = np.repeat(np.repeat(start, owns)[part], size[part]) + _counted(size[part])
+            b = np.repeat(np.repeat(start, owns)[part], size[part]) + counted(size[part])
             i, j, s, t = ids[a], ids[b], sig[a], sig[b]
             # A probe of an equal length meets each pair from both sides, one of a lesser length only from the longer line's.
             ok = (i != j) & ((t >> 48 & 3 > 0) | (i < j)) & (np.bitwise_count((s ^ t) & PARITY) <= 2 * edits)
@@ -334,11 +313,6 @@ def _meet(rows: DataFrame, edits: int, last: bool) -> DataFrame:
     return sorted_rows.mapInPandas(run, "i long, j long, key long, sig long, path long")
 
 
-def _counted(n: np.ndarray) -> np.ndarray:
-    """0 .. n - 1 for each n, one after the other."""
-    return np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
-
-
 def edit_links(lines: DataFrame, edits: int = EDITS) -> DataFrame:
     """(a, b): keys of different lines within ``edits`` edits (3 at most), each pair once, from ``lines`` (key, line), which may repeat.
 

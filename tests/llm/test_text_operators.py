@@ -439,3 +439,110 @@ def test_edit_join_of_crowded_segments(spark, monkeypatch):
         monkeypatch.setattr(line_dedup, "PAIRS", pairs)
         monkeypatch.setattr(line_dedup, "ROWS", rows)
         assert {tuple(sorted((x["a"], x["b"]))) for x in line_dedup.edit_links(df).collect()} == want
+
+
+# recall against all pairs
+
+
+def test_passages_against_all_pairs(spark, words):
+    """Planted passages, edited to several identities, and passages whose parts stand in other documents too."""
+    r = random.Random(12)
+
+    def edited(p, share):
+        q = list(p)
+        for k in r.sample(range(len(p)), int(len(p) * (1 - share))):
+            q[k] = words(1)
+        return q
+
+    texts, want = [], {}
+    for share, size, least in ((1.0, 51, 1.0), (0.95, 60, 1.0), (0.9, 60, 0.95), (0.85, 60, 0.9), (0.82, 100, 0.95)):
+        for _ in range(30):
+            p = words(size).split()
+            texts.append(words(40) + " " + " ".join(p) + " " + words(30))
+            texts.append(words(20) + "\n" + " ".join(edited(p, share)) + " " + words(30))
+            want.setdefault((share, size, least), []).append((len(texts) - 1, len(texts) - 2))
+    x, y = words(30), words(30)
+    at = len(texts)
+    texts += [f"{x} {words(40)}", f"{words(30)} {y}", f"{words(20)} {x} {y} {words(5)}", f"{x} {words(50)}", f"{y} {words(60)}", f"{words(7)} {x} {y} {words(9)}"]
+    texts += [words(30) + " buy now click here" * 100, words(12) + " buy now click here" * 100]
+    clean = len(texts)
+    texts += [words(200) for _ in range(20)]
+    got = substring_dedup.find_passages(docs(spark, *texts)).collect()
+    pairs = {(g["doc_id"], g["of_doc"]) for g in got}
+    for (_, _, least), planted in want.items():
+        assert sum(p in pairs for p in planted) >= least * len(planted)
+    assert (at + 5, at + 2) in pairs and (at + 7, at + 6) in pairs
+    assert all(g["doc_id"] < clean for g in got)
+
+
+def test_exact_passages_of_the_table(spark, table):
+    """Every run of 51 words that an earlier document has is covered, by brute force over all runs."""
+    rows = sorted((r["doc_id"], substring_dedup.words_of(r["text"])) for r in table.select("doc_id", "text").collect())
+    covered = {}
+    for g in substring_dedup.find_passages(table).collect():
+        covered.setdefault(g["doc_id"], set()).update(range(g["first_word"], g["end_word"]))
+    seen, missed, n = set(), 0, 0
+    for doc_id, w in rows:
+        own = [tuple(w[k : k + 51]) for k in range(len(w) - 50)]
+        for k, run in enumerate(own):
+            if run in seen:
+                n += 1
+                missed += not set(range(k, k + 51)) <= covered.get(doc_id, set())
+        seen.update(own)
+    assert n > 100 and missed <= 0.02 * n
+
+
+def test_passages_of_crowded_batches(spark, words, monkeypatch):
+    p = words(60)
+    texts = [words(10 + k % 7) + " " + p + " " + words(5) for k in range(90)]
+    d = docs(spark, *texts).coalesce(1)
+    for hot, held in ((16, 10**6), (3, 10**6), (10**6, 20)):
+        monkeypatch.setattr(substring_dedup, "HOT", hot)
+        monkeypatch.setattr(substring_dedup, "HELD", held)
+        got = substring_dedup.find_passages(d).collect()
+        assert {g["doc_id"] for g in got} == set(range(1, 90)) and all(g["of_doc"] < g["doc_id"] for g in got)
+        assert all(g["end_word"] - g["first_word"] >= 60 for g in got)
+
+
+def test_removal_counts_words_as_the_search_does(spark):
+    d = docs(spark, "a b c d  e\n", None, "")
+    spans = spark.createDataFrame([(0, 1, 3), (2, 0, 1)], "doc_id long, first_word int, end_word int")
+    assert {r["doc_id"]: r["text"] for r in substring_dedup.remove(d, spans).collect()} == {0: "a d  e\n", 1: None, 2: ""}
+
+
+def test_near_recall_at_the_limit(spark):
+    """Pairs at a similarity of 0.8 to 0.85 are linked, pairs below aren't."""
+    r = random.Random(3)
+    new = lambda n: [f"w{r.randrange(10**6)}" for _ in range(n)]
+    texts, pairs = [], {}
+    for size in (60, 200, 600):
+        for _ in range(60):
+            p = new(size)
+            for _ in range(200):
+                q = list(p)
+                for k in r.sample(range(size), r.randint(1, max(1, size // 40))):
+                    q[k] = new(1)[0]
+                q += new(r.randint(0, size // 8))
+                same = simhash.jaccard(" ".join(p), " ".join(q), 5)
+                if 0.74 <= same < 0.85:
+                    break
+            texts += [" ".join(p), " ".join(q)]
+            pairs[len(texts) - 2] = same
+    got = {x["doc_id"]: x["component_id"] for x in simhash.similar_components(docs(spark, *texts)).collect()}
+    near = [k for k, s in pairs.items() if s >= 0.8]
+    assert len(near) > 60 and sum(got[k + 1] == k for k in near) >= 0.95 * len(near)
+    assert all(got[k + 1] == k + 1 for k, s in pairs.items() if s < 0.8)
+
+
+def test_near_stage_judges_texts_not_ids(spark, sf):
+    t, u = "a b c d e f g h", "other words that are quite unlike them all"
+    x = spark.createDataFrame([(1, t, "x"), (2, t, "y"), (2, u, "z"), (None, t, "n"), (3, None, "q"), (4, "", "q"), (4, "", "r")], "doc_id long, text string, __cg_x string")
+    got = {tuple(r) for r in simhash.stage(spark, x, sf).collect()}
+    assert got == {(1, t, "x"), (2, u, "z"), (3, None, "q"), (None, t, "n")}
+    assert simhash.stage(spark, x.limit(0), sf).count() == 0
+
+
+def test_crowded_index_keys(spark, monkeypatch, table):
+    want = {(r["doc_id"], r["component_id"]) for r in simhash.near_components(table).collect()}
+    monkeypatch.setattr(simhash, "CROWD", 4)
+    assert {(r["doc_id"], r["component_id"]) for r in simhash.near_components(table).collect()} == want
