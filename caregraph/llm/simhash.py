@@ -31,6 +31,8 @@ SEED = 42
 BITS_APART = 4
 LANES = 12
 """64-bit lanes of a wide fingerprint."""
+CROWD = 100_000
+"""Nodes under one key that one task puts in order."""
 KEYS = 2 * LANES
 """Index keys of a wide fingerprint: as many as its min-wise hashes."""
 
@@ -90,11 +92,12 @@ def wide_fingerprint(text: str | None, size: int) -> tuple[list[int], list[int]]
     Every lane mixes a shingle's hash with its own factor. A lane's least and
     greatest value over all shingles are two min-wise hashes: two texts agree in
     one with their similarity as probability. A key is a positional byte with two of them.
+    Shingles count once, as the similarity is that of sets.
     """
     s = shingles(text, size)
     if not s:
         return [0] * LANES, [0]
-    h = np.frombuffer(b"".join([xxhash.xxh64_digest(x, SEED) for x in s]), ">u8").astype(np.uint64)
+    h = np.frombuffer(b"".join([xxhash.xxh64_digest(x, SEED) for x in set(s)]), ">u8").astype(np.uint64)
     total = np.zeros(LANES * 64, np.int64)
     least, most = np.full(LANES, 2**64 - 1, np.uint64), np.zeros(LANES, np.uint64)
     for at in range(0, len(h), 2048):
@@ -141,14 +144,32 @@ def byte_of(x: Column, k: int) -> Column:
     return F.shiftrightunsigned(x, 8 * k).bitwiseAND(F.lit(255))
 
 
-def linked(nodes: DataFrame, near: Callable[[Column, Column], Column], whole: DataFrame | None = None, close: Callable[[Column, Column], Column] | None = None) -> DataFrame:
+def _neighbours(post: DataFrame) -> DataFrame:
+    """``post`` (key, node, sig) with an array ``o`` of (node, sig): the node before it under its key, and the key's first.
+
+    A key that more than CROWD nodes have is split into parts of about half of that
+    by the node's hash; each part has its own order, and the parts' first nodes are put in order again.
+    """
+    many = post.groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") > CROWD)
+    ways = F.coalesce(F.ceil(F.col("n") / (CROWD // 2)), F.lit(1)).cast("long")
+    parts = post.join(many, "key", "left").select("key", "node", "sig", F.pmod(F.xxhash64("node"), ways).alias("part"), F.col("n").isNotNull().alias("split"))
+    w = Window.partitionBy("key", "part").orderBy("node")
+    own = F.struct("node", "sig")
+    met = parts.select("key", "node", "sig", "split", F.lag(own).over(w).alias("o1"), F.first(own).over(w).alias("o2"))
+    heads = met.where("split and o1 is null").select("key", "node", "sig")
+    w = Window.partitionBy("key").orderBy("node")
+    again = heads.select("node", "sig", F.array(F.lag(own).over(w), F.first(own).over(w)).alias("o"))
+    return met.select("node", "sig", F.array("o1", "o2").alias("o")).unionByName(again)
+
+
+def linked(nodes: DataFrame, near: Callable[[Column, Column], Column], whole: DataFrame | None = None, close: Callable[[Column, Column], Column] | None = None, verify: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
     """(node, root) of all nodes with a link, from ``nodes`` (node, sig, keys).
 
     ``keys``: the array of a node's index keys. ``near`` judges two ``sig``
     inside the joins; where it only sifts, ``close`` judges two ``fp`` of
-    ``whole`` (node, fp). Then groups of near copies of one text, which link to
-    it but not to each other, are likely: a second round of links goes to each
-    key's node with most links so far.
+    ``whole`` (node, fp), and ``verify`` keeps those of pairs (a, b) that hold.
+    Then groups of near copies of one text, which link to it but not to each
+    other, are likely: a second round of links goes to each key's node with most links so far.
     """
 
     def verified(pairs: DataFrame) -> DataFrame:
@@ -156,22 +177,21 @@ def linked(nodes: DataFrame, near: Callable[[Column, Column], Column], whole: Da
         if whole is None:
             return pairs
         fa, fb = (whole.select(F.col("node").alias(k), F.col("fp").alias("f" + k)) for k in "ab")
-        return pairs.join(fa, "a").join(fb, "b").where(close(F.col("fa"), F.col("fb"))).select("a", "b")
+        return verify(pairs.join(fa, "a").join(fb, "b").where(close(F.col("fa"), F.col("fb"))))
 
     post = nodes.select(F.explode("keys").alias("key"), "node", "sig")
-    w = Window.partitionBy("key").orderBy("node")
-    met = post.select("node", "sig", F.lag(F.struct("node", "sig")).over(w).alias("o1"), F.first(F.struct("node", "sig")).over(w).alias("o2"))
-    by = met.select("node", "sig", F.explode(F.array("o1", "o2")).alias("o"))
-    star = by.where((F.col("o.node") != F.col("node")) & near(F.col("sig"), F.col("o.sig"))).select(F.col("o.node").alias("a"), F.col("node").alias("b"))
+    by = _neighbours(post).select("node", "sig", F.explode("o").alias("o"))
+    star = by.where((F.col("o.node") != F.col("node")) & near(F.col("sig"), F.col("o.sig"))).select(F.least("o.node", "node").alias("a"), F.greatest("o.node", "node").alias("b"))
     star = saved(verified(star))
     first = components(star)
     held = nodes.join(first, "node", "left").select("node", "sig", "keys", F.coalesce("root", "node").alias("comp"))
     if whole is not None:
         degree = star.select(F.explode(F.array("a", "b")).alias("node")).groupBy("node").agg(F.count("*").alias("links"))
         post = held.join(degree, "node", "left").select(F.explode("keys").alias("key"), "node", "sig", "comp", F.coalesce("links", F.lit(0)).alias("links"))
-        w = Window.partitionBy("key").orderBy(F.desc("links"), "node")
-        met = post.select("node", "sig", "comp", F.first(F.struct("node", "sig", "comp")).over(w).alias("o"))
-        more = met.where((F.col("o.comp") != F.col("comp")) & near(F.col("sig"), F.col("o.sig"))).select(F.col("o.node").alias("a"), F.col("node").alias("b"))
+        # The best-linked node of a key, by an aggregate that runs before the shuffle.
+        best = post.groupBy("key").agg(F.max(F.struct("links", (-F.col("node")).alias("turn"), "node", "sig", "comp")).alias("o"), F.count("*").alias("n")).where("n > 1").select("key", "o")
+        met = post.join(best, "key")
+        more = met.where((F.col("o.comp") != F.col("comp")) & near(F.col("sig"), F.col("o.sig"))).select(F.least("o.node", "node").alias("a"), F.greatest("o.node", "node").alias("b"))
         star = star.unionByName(saved(verified(more)))
         first = components(star)
         held = nodes.join(first, "node", "left").select("node", "sig", "keys", F.coalesce("root", "node").alias("comp"))
@@ -181,14 +201,14 @@ def linked(nodes: DataFrame, near: Callable[[Column, Column], Column], whole: Da
     some = post.join(main, "key")
     judge = near
     if whole is not None:
-        # Few keys are left open, so their rows can carry whole fingerprints and the join itself decides.
+        # Few keys are left open, so their rows can carry whole fingerprints and the join itself sifts.
         some = saved(some.join(whole, "node").withColumn("sig", F.struct("sig", "fp")).drop("fp"))
         judge = lambda s, t: near(s["sig"], t["sig"]) & close(s["fp"], t["fp"])
     left = some.where("comp <> main").select("key", F.col("node").alias("a"), F.col("sig").alias("s"), F.col("comp").alias("ca"))
     right = some.select("key", F.col("node").alias("b"), F.col("sig").alias("t"), F.col("comp").alias("cb"))
     pairs = left.join(right, "key").where((F.col("ca") != F.col("cb")) & judge(F.col("s"), F.col("t")))
     rest = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    return components(star.unionByName(rest))
+    return components(star.unionByName(rest if verify is None else saved(verified(rest))))
 
 
 def near_components(docs: DataFrame, size: int = 4, apart: int = BITS_APART) -> DataFrame:
@@ -217,39 +237,69 @@ def near_components(docs: DataFrame, size: int = 4, apart: int = BITS_APART) ->
     return rows.join(named, rows["fp"] == named["node"]).select("doc_id", "fp", "component_id")
 
 
-def similar_components(docs: DataFrame, size: int = 5, similarity: float = 0.8) -> DataFrame:
-    """(doc_id, component_id) of rows in groups of texts whose word shingles have a Jaccard similarity of about ``similarity`` or more.
+def jaccard(a: str | None, b: str | None, size: int) -> float:
+    """Of the texts' sets of word shingles; two texts without words are alike."""
+    x, y = set(shingles(a, size)), set(shingles(b, size))
+    return len(x & y) / len(x | y) if x or y else 1.0
+
+
+def similar_groups(docs: DataFrame, size: int = 5, similarity: float = 0.8) -> DataFrame:
+    """(doc_id, text_hash, component): groups of texts whose sets of word shingles have a Jaccard similarity of ``similarity`` or more, one row for each row of ``docs``.
 
     Similar texts differ in too many of 64 bits for a guarantee, so fingerprints
     are wide (LANES * 64 bits). A pair's share of differing bits estimates the
-    angle between its shingle sets and so their similarity; pairs are kept up to
-    one standard deviation past the limit. A positional byte alone is too common
+    angle between its shingle sets and so their similarity: pairs past three standard
+    deviations of the limit are out, those as far within it are in, and between
+    them the texts' exact similarity decides. A positional byte alone is too common
     at this similarity, and so are two: index keys hold one byte and two min-wise
     hashes, so that texts without a common shingle never meet, however many
     there are. At similarity 0.8, 98 of 100 pairs meet under one of the KEYS
-    keys, at 0.85 over 99. Null and empty texts are one group.
+    keys, at 0.85 over 99. Null and empty texts are one group; ``text_hash`` tells them apart.
     """
     bits = LANES * 64
     share = math.acos(2 * similarity / (1 + similarity)) / math.pi
-    most = int(bits * share + math.sqrt(bits * share * (1 - share)))
-    least_equal = int(bits / 8 * (1 - share) ** 8 * 0.45)
-    both = docs.select("doc_id", wide_fingerprints("text", size).alias("w")).select("doc_id", "w.fp", "w.keys")
+    slack = 3 * math.sqrt(bits * share * (1 - share))
+    sure, most = int(bits * share - slack), int(bits * share + slack)
+    least_equal = int(bits / 8 * (1 - share) ** 8 * 0.35)
+    docs = docs.select("doc_id", "text", F.xxhash64(F.col("text").isNull(), "text").alias("text_hash"))
+    both = docs.select("doc_id", "text_hash", wide_fingerprints("text", size).alias("w")).select("doc_id", "text_hash", "w.fp", "w.keys")
     rows = saved(both.withColumn("node", F.xxhash64("fp")))
-    wide = rows.groupBy("node").agg(F.first("fp").alias("fp"), F.min("keys").alias("keys"), F.min("doc_id").alias("least"))
-    nodes = saved(wide)
+    nodes = saved(rows.groupBy("node").agg(F.first("fp").alias("fp"), F.min("keys").alias("keys"), F.min("text_hash").alias("text_hash")))
+
+    def apart(a: Column, b: Column) -> Column:
+        return sum((F.bit_count(a[k].bitwiseXOR(b[k])) for k in range(LANES)), F.lit(0))
 
     def close(a: Column, b: Column) -> Column:
         shared = sum((equal_bytes(a[k], b[k]) for k in range(LANES)), F.lit(0))
-        apart = sum((F.bit_count(a[k].bitwiseXOR(b[k])) for k in range(LANES)), F.lit(0))
-        return (apart <= most) & (shared >= least_equal)
+        return (apart(a, b) <= most) & (shared >= least_equal)
+
+    @F.pandas_udf("boolean")
+    def alike(a: pd.Series, b: pd.Series) -> pd.Series:
+        return pd.Series([jaccard(x, y, size) >= similarity for x, y in zip(a, b, strict=True)], dtype=bool)
+
+    def verify(pairs: DataFrame) -> DataFrame:
+        """Of (a, b, fa, fb), the (a, b) that are sure or whose texts are similar; only texts of the others are fetched, one for each node."""
+        pairs = saved(pairs.select("a", "b", (apart(F.col("fa"), F.col("fb")) <= sure).alias("sure")))
+        open_ = pairs.where("not sure").select("a", "b")
+        ends = open_.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(nodes.select("node", "text_hash"), "node")
+        ends = saved(ends)
+        texts = docs.where(maybe_in(ends.select("text_hash"), F.col("text_hash"))).groupBy("text_hash", "text").agg(F.lit(1).alias("one"))
+        held = saved(ends.join(texts, "text_hash").select("node", "text"))
+        ta, tb = (held.select(F.col("node").alias(k), F.col("text").alias("t" + k)) for k in "ab")
+        return pairs.where("sure").select("a", "b").unionByName(open_.join(ta, "a").join(tb, "b").where(alike("ta", "tb")).select("a", "b"))
 
     # The first lane alone rules out most chance meetings: 64 bits, allowed four standard deviations past the mean.
     loose = int(64 * share + 4 * math.sqrt(64 * share * (1 - share)))
     index = nodes.select("node", F.element_at("fp", 1).alias("sig"), "keys")
-    roots = linked(index, lambda a, b: F.bit_count(a.bitwiseXOR(b)) <= loose, nodes.select("node", "fp"), close)
-    fps = nodes.select("node", "least").join(roots, "node", "left").select("node", "least", F.coalesce("root", "node").alias("root"))
-    ids = fps.groupBy("root").agg(F.min("least").alias("component_id"))
-    return rows.select("doc_id", "node").join(fps.join(ids, "root").select("node", "component_id"), "node").select("doc_id", "component_id")
+    roots = linked(index, lambda a, b: F.bit_count(a.bitwiseXOR(b)) <= loose, nodes.select("node", "fp"), close, verify)
+    return rows.select("doc_id", "text_hash", "node").join(roots, "node", "left").select("doc_id", "text_hash", F.coalesce("root", "node").alias("component"))
+
+
+def similar_components(docs: DataFrame, size: int = 5, similarity: float = 0.8) -> DataFrame:
+    """(doc_id, component_id) of ``similar_groups``; component_id is the smallest non-null doc_id reachable, null only where all are null."""
+    rows = saved(similar_groups(docs, size, similarity))
+    ids = rows.groupBy("component").agg(F.min("doc_id").alias("component_id"))
+    return rows.join(ids, "component").select("doc_id", "component_id")
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -258,14 +308,26 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group stays: the one with the smallest id. Rows that share an id are one document, of which one row stays; rows without an id stay."""
-    groups = saved(similar_components(docs.select("doc_id", "text")))
-    gone = saved(groups.where("component_id <> doc_id").select("doc_id").distinct())
+    """One document of each group stays: the one with the smallest id, of several texts under that id the one whose hash comes first.
+
+    A document is an id with a text: rows that share both are one, of which one
+    stays; other texts under a dropped document's id are judged by themselves.
+    Rows without an id stay, as does all of an empty table; null and empty texts are one group. Very long texts and other columns are nothing special.
+    """
+    rows = saved(similar_groups(docs.select("doc_id", "text")).where("doc_id is not null"))
+    first = rows.groupBy("component").agg(F.min(F.struct("doc_id", "text_hash")).alias("first"), F.count("*").alias("n")).where("n > 1")
+    late = rows.join(first, "component").where((F.col("first.doc_id") != F.col("doc_id")) | (F.col("first.text_hash") != F.col("text_hash")))
+    gone = saved(late.select("doc_id", "text_hash").distinct().withColumn("row", F.xxhash64("doc_id", "text_hash")))
     # Texts of documents that the bitmap rules out aren't shuffled.
-    maybe = maybe_in(gone.select(F.xxhash64("doc_id")), F.xxhash64("doc_id"))
-    kept = docs.where(~maybe).unionByName(docs.where(maybe).join(gone, "doc_id", "left_anti").select(docs.columns))
-    again = groups.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").select("doc_id")
+    named = docs.withColumn("__cg_h", F.xxhash64(F.col("text").isNull(), "text"))
+    maybe = F.col("doc_id").isNotNull() & maybe_in(gone.select("row"), F.xxhash64("doc_id", "__cg_h"))
+    less = gone.select("doc_id", F.col("text_hash").alias("__cg_h"))
+    kept = named.where(~maybe).unionByName(named.where(maybe).join(less, ["doc_id", "__cg_h"], "left_anti").select(named.columns))
+    again = rows.groupBy("doc_id", "text_hash").agg(F.count("*").alias("n")).where("n > 1").select("doc_id", F.col("text_hash").alias("__cg_h"))
+    again = saved(again)
     if again.isEmpty():
-        return kept
-    twice = kept.join(again, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(docs.columns)
-    return kept.join(again, "doc_id", "left_anti").select(docs.columns).unionByName(twice)
+        return kept.select(docs.columns)
+    twice = kept.join(again, ["doc_id", "__cg_h"], "left_semi").select(named.columns)
+    plain = [f.name for f in docs.schema if f.dataType.typeName() not in ("map", "variant")]
+    one = twice.groupBy("doc_id", "__cg_h").agg(F.min_by(F.struct(*docs.columns), F.xxhash64(*plain)).alias("r")).select("r.*")
+    return kept.join(again, ["doc_id", "__cg_h"], "left_anti").select(docs.columns).unionByName(one)
