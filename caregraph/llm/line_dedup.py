@@ -241,8 +241,7 @@ def _deeper(hot: DataFrame, lines: DataFrame, edits: int) -> DataFrame:
 def _meet(rows: DataFrame, edits: int, last: bool) -> DataFrame:
     """(i, j) of lines that meet under a key and pass the sift, and (key, i, sig, path) of rows under keys that more than PAIRS pairs would meet in (none if ``last``).
 
-    Rows arrive sorted by key, index entries first, so a task streams them and
-    holds one key at a time; of a crowded key it holds ROWS rows at most before it passes them on.
+    Rows arrive sorted by key, so a task streams them and holds one key at a time; of a crowded key it holds ROWS rows at most before it passes them on.
     """
     deep = "path" in rows.columns
 
@@ -265,10 +264,17 @@ def _meet(rows: DataFrame, edits: int, last: bool) -> DataFrame:
     def passed(key: np.ndarray, ids: np.ndarray, sig: np.ndarray, path: np.ndarray) -> pd.DataFrame:
         return pd.DataFrame({"i": ids, "j": 0, "key": key, "sig": sig, "path": path})
 
-    def whole(key: np.ndarray, ids: np.ndarray, sig: np.ndarray, path: np.ndarray) -> Iterator[pd.DataFrame]:
-        """Rows of whole keys."""
-        if not len(key):
+    def whole(*cols: np.ndarray) -> Iterator[pd.DataFrame]:
+        """Rows of whole keys; most keys have one row and go first."""
+        same = cols[0][1:] == cols[0][:-1]
+        some = np.r_[False, same] | np.r_[same, False]
+        cols = tuple(c[some[: len(c)]] for c in cols)
+        if not len(cols[0]):
             return
+        order = np.lexsort((cols[3], cols[1], -cols[2], cols[0]))
+        cols = tuple(c[order] for c in cols)
+        again = np.r_[False, np.logical_and.reduce([c[1:] == c[:-1] for c in cols])]
+        key, ids, sig, path = (c[~again] for c in cols)
         start = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
         end = np.r_[start[1:], len(key)]
         owns = np.add.reduceat((sig >= OWN).astype(np.int64), start)
@@ -285,31 +291,25 @@ def _meet(rows: DataFrame, edits: int, last: bool) -> DataFrame:
         for batch in batches:
             cols = [batch[c].to_numpy(np.int64) for c in ("key", "id", "sig")]
             cols.append(batch["path"].to_numpy(np.int64) if deep else np.zeros(len(batch), np.int64))
-            if not len(batch):
-                continue
-            same = np.r_[False, np.logical_and.reduce([c[1:] == c[:-1] for c in cols])]
-            cols = [c[~same] for c in cols]
-            if streaming is not None:
+            if streaming is not None and len(batch):
                 n = int(np.searchsorted(cols[0] != streaming, True))
                 yield passed(*(c[:n] for c in cols))
                 cols = [c[n:] for c in cols]
-                if not len(cols[0]):
-                    continue
-                streaming = None
+                streaming = None if len(cols[0]) else streaming
             if held is not None:
                 cols = [np.concatenate(x) for x in zip(held, cols, strict=True)]
-            at = int(np.flatnonzero(np.r_[True, cols[0][1:] != cols[0][:-1]])[-1])
+            if not len(cols[0]):
+                continue
+            at = int(np.searchsorted(cols[0] == cols[0][-1], True)) if cols[0][0] != cols[0][-1] else 0
             yield from whole(*(c[:at] for c in cols))
             held = [c[at:] for c in cols]
-            if held[2][0] < OWN:  # no index entry under this key
-                held = [c[:1] for c in held]
-            elif len(held[0]) > ROWS and not last:
+            if len(held[0]) > ROWS and not last:
                 yield passed(*held)
                 streaming, held = int(held[0][0]), None
         if held is not None:
             yield from whole(*held)
 
-    sorted_rows = rows.repartition("key").sortWithinPartitions("key", F.desc("sig"), "id")
+    sorted_rows = rows.repartition("key").sortWithinPartitions("key")
     return sorted_rows.mapInPandas(run, "i long, j long, key long, sig long, path long")
 
 
@@ -330,7 +330,8 @@ def edit_links(lines: DataFrame, edits: int = EDITS) -> DataFrame:
         hot = out.where("key is not null").select(F.col("i").alias("id"), "key", "sig", "path")
         if hot.isEmpty():
             break
-        rows = _deeper(hot, lines, edits)
+        # Rows that were passed on unseen may have no index entry among them.
+        rows = _deeper(hot.join(hot.where(F.col("sig") >= OWN).select("key").distinct(), "key", "left_semi"), lines, edits)
 
     @F.pandas_udf("boolean")
     def close(a: pd.Series, b: pd.Series) -> pd.Series:
