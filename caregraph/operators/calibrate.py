@@ -10,10 +10,31 @@ STEP = 0.05
 RATERS = 6
 
 
+SLOTS = 1000
+
+
+def ranked(df: DataFrame, group: str, value: str, *ties: str, falling: bool = False) -> DataFrame:
+    """``df`` with pos: the place in its group by ``value`` (0 to 1), then by ``ties``.
+
+    A group is cut into SLOTS ranges of the value, whose counts are summed up
+    first, so no task orders a whole group.
+    """
+    slot = F.floor(F.col(value) * SLOTS).cast("int")
+    df = df.withColumn("__slot", -slot if falling else slot)
+    n = df.groupBy(group, "__slot").agg(F.count("*").alias("__n"))
+    before = n.select(group, "__slot", (F.sum("__n").over(Window.partitionBy(group).orderBy("__slot")) - F.col("__n")).alias("__before"))
+    own = F.row_number().over(Window.partitionBy(group, "__slot").orderBy(F.desc(value) if falling else F.asc(value), *ties))
+    return df.withColumn("__own", own).join(before, [group, "__slot"]).withColumn("pos", (F.col("__own") + F.col("__before")).cast("int")).drop("__slot", "__own", "__before")
+
+
 def score_curve(links: DataFrame) -> DataFrame:
     """(kind, pos, score): scores by index, in falling order."""
-    w = Window.partitionBy("kind").orderBy(F.desc("score"), "mention")
-    return links.select("kind", "mention", "score", F.row_number().over(w).alias("pos"))
+    return ranked(links.select("kind", "mention", "score"), "kind", "score", "mention", falling=True)
+
+
+def draw(seed: int, *columns: str) -> Column:
+    """A number from 0 to 2**32 - 1 that only the columns' text decides."""
+    return F.conv(F.substring(F.md5(F.concat_ws("|", F.lit(str(seed)), *columns)), 1, 8), 16, 10).cast("long")
 
 
 def sample(links: DataFrame, ratio: float = 0.1, method: str = "systematic", seed: int = 7) -> DataFrame:
@@ -24,14 +45,13 @@ def sample(links: DataFrame, ratio: float = 0.1, method: str = "systematic", see
     mention, without any sort.
     """
     if method == "random":
-        return links.where(F.pmod(F.xxhash64(F.lit(seed), "kind", "mention"), F.lit(1_000_000)) < int(ratio * 1_000_000))
+        return links.where(F.pmod(draw(seed, "kind", "mention"), F.lit(1_000_000)) < int(ratio * 1_000_000))
     if method == "stratified":
         w = Window.partitionBy("kind", F.floor(F.col("score") * 10))
-        ranked = links.withColumn("__r", F.row_number().over(w.orderBy(F.xxhash64(F.lit(seed), "mention"), "mention"))).withColumn("__n", F.count("*").over(w))
-        return ranked.where(F.col("__r") <= F.ceil(F.col("__n") * ratio)).drop("__r", "__n")
-    w = Window.partitionBy("kind").orderBy("score", "mention")
+        ranked_ = links.withColumn("__r", F.row_number().over(w.orderBy(draw(seed, "kind", "mention"), "mention"))).withColumn("__n", F.count("*").over(w))
+        return ranked_.where(F.col("__r") <= F.ceil(F.col("__n") * ratio)).drop("__r", "__n")
     every = round(1 / ratio)
-    return links.withColumn("pos", F.row_number().over(w)).where(F.pmod("pos", F.lit(every)) == 0).withColumn("pos", (F.col("pos") / every).cast("int"))
+    return ranked(links, "kind", "score", "mention").where(F.pmod("pos", F.lit(every)) == 0).withColumn("pos", (F.col("pos") / every).cast("int"))
 
 
 def votes(marked: DataFrame) -> DataFrame:
@@ -78,10 +98,19 @@ def best_threshold(curve: DataFrame) -> DataFrame:
 
 
 def roc_auc(df: DataFrame, score: str, label: str) -> DataFrame:
-    """(auc): the chance that a positive outranks a negative, ties counting half. Rows are summed up by score first, so the window is over distinct scores."""
-    by = df.where(F.col(score).isNotNull() & F.col(label).isNotNull()).groupBy(F.col(score).alias("s")).agg(F.sum(F.col(label).cast("long")).alias("p"), F.sum(1 - F.col(label).cast("long")).alias("q"))
-    below = F.coalesce(F.sum("q").over(Window.orderBy("s").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    wins = by.select((F.col("p") * (below + F.col("q") / 2)).alias("w"), "p", "q")
+    """(auc): the chance that a positive outranks a negative, ties counting half.
+
+    Rows are summed up by score first; then the range of scores is cut into SLOTS
+    parts, whose negatives are summed up before each part is ordered by itself.
+    """
+    by = df.where(F.col(score).isNotNull() & F.col(label).isNotNull()).groupBy(F.col(score).cast("double").alias("s")).agg(F.sum(F.col(label).cast("long")).alias("p"), F.sum(1 - F.col(label).cast("long")).alias("q"))
+    ends = by.agg(F.min("s").alias("lo"), F.max("s").alias("hi"))
+    slot = F.coalesce(F.floor((F.col("s") - F.col("lo")) * SLOTS / F.nullif(F.col("hi") - F.col("lo"), F.lit(0.0))), F.lit(0)).cast("int")
+    cut = by.join(F.broadcast(ends), F.lit(True)).select("s", "p", "q", slot.alias("slot"))
+    n = cut.groupBy("slot").agg(F.sum("q").alias("n"))
+    before = n.select("slot", (F.sum("n").over(Window.orderBy("slot")) - F.col("n")).alias("before"))  # at most SLOTS + 1 rows
+    own = F.coalesce(F.sum("q").over(Window.partitionBy("slot").orderBy("s").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    wins = cut.withColumn("own", own).join(F.broadcast(before), "slot").select((F.col("p") * (F.col("own") + F.col("before") + F.col("q") / 2)).alias("w"), "p", "q")
     return wins.agg(F.round(F.sum("w") / (F.sum("p") * F.sum("q")), 6).alias("auc"))
 
 

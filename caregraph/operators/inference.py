@@ -2,36 +2,60 @@
 
 from __future__ import annotations
 
+import uuid
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from caregraph.store import shared_folder
+
+PAIR = ("patient_id", "src", "dst")
+
 
 def before(a_end: Column, b_begin: Column) -> Column:
     """Whether Before is in the closure, without iteration: on events with times it's their comparison."""
     return a_end < b_begin
 
 
-def closure(rel: DataFrame, max_rounds: int = 64) -> DataFrame:
-    """(patient_id, src, dst, origin): the transitive closure of Before, for edges that come without times.
+def _kept(df: DataFrame) -> DataFrame:
+    """Written to the shared folder and read again: lineage doesn't grow with the rounds, and lost executors cost their tasks only."""
+    path = f"{shared_folder(df.sparkSession)}/graph-round-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def _then(left: DataFrame, right: DataFrame) -> DataFrame:
+    """Pairs (a, c) with (a, b) on the left and (b, c) on the right."""
+    far = right.select("patient_id", F.col("src").alias("dst"), F.col("dst").alias("far"))
+    return left.join(far, ["patient_id", "dst"]).select("patient_id", "src", F.col("far").alias("dst"))
+
+
+def _turned(df: DataFrame) -> DataFrame:
+    return df.select("patient_id", F.col("dst").alias("src"), F.col("src").alias("dst"))
+
+
+def transitive(pairs: DataFrame, max_rounds: int = 64) -> DataFrame:
+    """(patient_id, src, dst): the transitive closure.
 
     Paths double in length each round, so rounds grow with the logarithm of the
-    longest chain. Each round is checkpointed where the session has a folder for
-    that, and only its row count reaches the driver.
+    longest chain. Each round is written, and only its row count reaches the driver.
     """
-    spark = rel.sparkSession
-    held = rel.sparkSession.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
-    keep = (lambda df: df.checkpoint()) if held else (lambda df: df.persist())
-    edges = rel.where("relation = 'Before'").select("patient_id", "src", "dst").distinct()
-    now, n = edges, -1
+    now = _kept(pairs.select(*PAIR).distinct())
+    n = now.count()
     for _ in range(max_rounds):
-        left, right = now, now.select("patient_id", F.col("src").alias("dst"), F.col("dst").alias("far"))
-        longer = left.join(right, ["patient_id", "dst"]).select("patient_id", "src", F.col("far").alias("dst"))
-        now = keep(now.unionByName(longer).distinct())
+        now = _kept(now.unionByName(_then(now, now)).distinct())
         was, n = n, now.count()
         if n == was:
-            break
+            return now
+    raise ValueError(f"no end after {max_rounds} rounds")
+
+
+def closure(rel: DataFrame) -> DataFrame:
+    """(patient_id, src, dst, origin): the transitive closure of Before, for edges that come without times."""
+    edges = rel.where("relation = 'Before'").select(*PAIR).distinct()
     asserted = edges.withColumn("known", F.lit(True))
-    return now.join(asserted, ["patient_id", "src", "dst"], "left").select("patient_id", "src", "dst", F.when(F.col("known"), "asserted").otherwise("inferred").alias("origin"))
+    return transitive(edges).join(asserted, list(PAIR), "left").select(*PAIR, F.when(F.col("known"), "asserted").otherwise("inferred").alias("origin"))
 
 
 def derived(rel: DataFrame) -> DataFrame:
@@ -41,13 +65,59 @@ def derived(rel: DataFrame) -> DataFrame:
     something is before all that this is before, and after all that it is after.
     """
     c = rel.where("relation = 'Concurrent'")
-    same = c.select("patient_id", "src", "dst").unionByName(c.select("patient_id", F.col("dst").alias("src"), F.col("src").alias("dst"))).distinct()
-    b = rel.where("relation = 'Before'").select("patient_id", "src", "dst")
-    d = rel.where("relation = 'During'").select("patient_id", F.col("src").alias("inner"), F.col("dst").alias("outer"))
-    out = same.select("patient_id", "src", "dst", F.lit("Concurrent").alias("relation"), F.lit("symmetric").alias("rule"))
-    swap = b.join(same.select("patient_id", F.col("src").alias("dst"), F.col("dst").alias("other")), ["patient_id", "dst"])
-    out = out.unionByName(swap.select("patient_id", "src", F.col("other").alias("dst"), F.lit("Before").alias("relation"), F.lit("substitute").alias("rule")))
-    head = d.join(b.select("patient_id", F.col("src").alias("outer"), "dst"), ["patient_id", "outer"])
-    out = out.unionByName(head.select("patient_id", F.col("inner").alias("src"), "dst", F.lit("Before").alias("relation"), F.lit("inside_before").alias("rule")))
-    tail = d.join(b.select("patient_id", "src", F.col("dst").alias("outer")), ["patient_id", "outer"])
-    return out.unionByName(tail.select("patient_id", "src", F.col("inner").alias("dst"), F.lit("Before").alias("relation"), F.lit("before_inside").alias("rule"))).distinct()
+    same = c.select(*PAIR).unionByName(_turned(c)).distinct()
+    b = rel.where("relation = 'Before'").select(*PAIR)
+    d = rel.where("relation = 'During'").select(*PAIR)
+    found = [
+        ("Concurrent", "symmetric", same),
+        ("Before", "substitute", _then(b, same)),
+        ("Before", "inside_before", _then(d, b)),
+        ("Before", "before_inside", _then(b, _turned(d))),
+    ]
+    return reduce(DataFrame.unionByName, [df.select(*PAIR, F.lit(r).alias("relation"), F.lit(rule).alias("rule")) for r, rule, df in found]).distinct()
+
+
+def fixpoint(rel: DataFrame, max_rounds: int = 64) -> DataFrame:
+    """(patient_id, src, dst, relation): all that the stored edges imply, by all rules until no more come.
+
+    Concurrent is an equivalence: it is closed first, and each group is
+    represented by its least event, so that the other rules work on
+    representatives; at the end every member has what its representative has. The rules:
+    Before and During are transitive; what is inside another, or what another overlaps
+    into, is before what that is before, and after what that is after. Concurrent comes once a pair, Before with its inverse After.
+    """
+    c = rel.where("relation = 'Concurrent'").select(*PAIR)
+    same = transitive(c.unionByName(_turned(c))).where("src <> dst")
+    least = same.groupBy("patient_id", "src").agg(F.least(F.min("dst"), F.col("src")).alias("rep")).select("patient_id", F.col("src").alias("event"), "rep")
+    least = _kept(least)
+
+    def on_representatives(name: str) -> DataFrame:
+        out = rel.where(F.col("relation") == name).select(*PAIR)
+        for end in ("src", "dst"):
+            out = out.join(least.select("patient_id", F.col("event").alias(end), "rep"), ["patient_id", end], "left").withColumn(end, F.coalesce("rep", end)).drop("rep")
+        return out.select(*PAIR).distinct()
+
+    during = transitive(on_representatives("During"))
+    over = _kept(on_representatives("Overlap"))
+    now = _kept(on_representatives("Before"))
+    n = now.count()
+    for _ in range(max_rounds):
+        # a inside b before c; a before b around c; a overlaps b: what a is before, b is before, and what is before b is before a.
+        more = [_then(now, now), _then(during, now), _then(now, _turned(during)), _then(_turned(over), now), _then(now, _turned(over))]
+        now = _kept(reduce(DataFrame.unionByName, [now, *more]).distinct())
+        was, n = n, now.count()
+        if n == was:
+            break
+    else:
+        raise ValueError(f"no end after {max_rounds} rounds")
+
+    def on_members(df: DataFrame) -> DataFrame:
+        for end in ("src", "dst"):
+            member = least.select("patient_id", F.col("rep").alias(end), "event")
+            own = df.withColumn("event", F.col(end))
+            df = df.join(member, ["patient_id", end]).unionByName(own).withColumn(end, F.col("event")).drop("event").select(*PAIR).distinct()
+        return df
+
+    b = on_members(now)
+    found = [("Before", b), ("After", _turned(b)), ("During", on_members(during)), ("Overlap", on_members(over)), ("Concurrent", same.where("src < dst"))]
+    return reduce(DataFrame.unionByName, [df.select(*PAIR, F.lit(r).alias("relation")) for r, df in found])

@@ -8,8 +8,10 @@ from pyspark.sql import Window
 
 from caregraph.functions import similarity as sim
 
-BROADCAST_TERMS = 500_000
-"""Vocabularies up to so many terms are broadcast; larger ones are joined by grams."""
+BROADCAST_BYTES = 32 << 20
+"""Vocabularies up to this size are broadcast; larger ones are dealt into blocks of it."""
+MENTION_PARTS = 64
+"""Parts that a kind's mentions are dealt into where the vocabulary is not broadcast."""
 
 
 def candidates(mentions: DataFrame, terms: DataFrame, blocking: str = "type", threshold: float = 0.0, q: int = 2) -> DataFrame:
@@ -25,13 +27,29 @@ def candidates(mentions: DataFrame, terms: DataFrame, blocking: str = "type", th
         a = m.select("kind", "mention", F.explode(grams("mention")).alias("g"))
         b = t.select("kind", "label", F.explode(grams("label")).alias("g"))
         return a.join(b, ["kind", "g"]).select("kind", "mention", "label").distinct()
-    pairs = m.join(F.broadcast(t) if t.count() <= BROADCAST_TERMS else t, "kind")
+    pairs = every(m, t)
     if blocking == "length":
         la, lb = F.length("mention"), F.length("label")
         pairs = pairs.where((F.least(la, lb) / F.greatest(la, lb) * 2 + 1) / 3 > threshold)
     return pairs
 
 
+def every(m: DataFrame, t: DataFrame) -> DataFrame:
+    """All pairs (kind, mention, label) of one kind.
+
+    The vocabulary is broadcast if its bytes allow; else both sides are dealt into
+    blocks that meet pairwise, so that a kind is never one task's: each mention goes
+    to every block of terms, each term to every part of the mentions.
+    """
+    size = t.agg(F.coalesce(F.sum(F.octet_length("label") + F.octet_length("kind") + 32), F.lit(0)).alias("n")).first()["n"]
+    if size <= BROADCAST_BYTES:
+        return m.join(F.broadcast(t), "kind")
+    blocks = -(-size // BROADCAST_BYTES)
+    a = m.withColumn("__part", F.pmod(F.xxhash64("mention"), F.lit(MENTION_PARTS))).withColumn("__block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+    b = t.withColumn("__block", F.pmod(F.xxhash64("label"), F.lit(blocks)).cast("int")).withColumn("__part", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(MENTION_PARTS - 1).cast("long"))))
+    return a.withColumn("__block", F.col("__block").cast("int")).join(b, ["kind", "__part", "__block"]).drop("__part", "__block")
+
+
 def minhash_candidates(mentions: DataFrame, terms: DataFrame, distance: float = 0.8, tables: int = 8, q: int = 2, seed: int = 7) -> DataFrame:
     """(kind, mention, label): pairs whose q-gram sets collide in one of ``tables`` MinHash tables; approximate, for vocabularies too large for exact blocking."""
     from pyspark.ml.feature import HashingTF, MinHashLSH
@@ -65,6 +83,20 @@ def best(pairs: DataFrame, k: int = 1) -> DataFrame:
     return pairs.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k).select("kind", "mention", F.col("label").alias("term"), "score", "rank")
 
 
+def best_pruned(pairs: DataFrame) -> DataFrame:
+    """``best`` of ``scored`` pairs, without scoring them all.
+
+    The pair that could score most (by lengths and Jaccard similarity) is scored first; of a
+    mention's other pairs only those that could score as much are looked at. Exact.
+    """
+    a, b = F.col("mention"), F.col("label")
+    bound = pairs.select("kind", "mention", "label", sim.upper_bound(F.length(a), F.length(b), sim.jaccard_sim(a, b)).alias("bound"))
+    first = bound.groupBy("kind", "mention").agg(F.max_by("label", F.struct("bound", "label")).alias("label"))
+    least = scored(first).select("kind", "mention", F.col("score").alias("least"))
+    some = bound.join(least, ["kind", "mention"]).where("bound >= least").select("kind", "mention", "label")
+    return best(scored(some))
+
+
 def accept(links: DataFrame, thresholds: DataFrame | float, inclusive: bool = False) -> DataFrame:
     """Links with accepted: the score is above the kind's threshold (kind, threshold), or above one for all."""
     if isinstance(thresholds, (int, float)):

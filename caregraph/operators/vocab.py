@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -32,15 +34,34 @@ def edges(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.unionByName(place).unionByName(root)
 
 
-def narrower(edge: DataFrame, top: str | None = None, depth: int = 16) -> DataFrame:
-    """(term, broader, steps): the transitive closure of broader, as a recursive query; below one term with ``top``."""
-    edge.createOrReplaceTempView("__cg_edges")
-    seed = f"AND dst = '{top}'" if top else ""
-    return edge.sparkSession.sql(f"""
-        WITH RECURSIVE up(term, broader, steps) AS (
-          SELECT src, dst, 1 FROM __cg_edges WHERE rel = 'broader' {seed}
-          UNION ALL SELECT e.src, u.broader, u.steps + 1 FROM up u JOIN __cg_edges e ON e.dst = u.term AND e.rel = 'broader' WHERE u.steps < {depth})
-        SELECT term, broader, min(steps) AS steps FROM up GROUP BY term, broader""")
+DEEPEST = 96
+"""Steps that a hierarchy may have; a recursive query has a limit of a hundred rounds."""
+
+
+def narrower(edge: DataFrame, top: str | None = None) -> DataFrame:
+    """(term, broader, steps): the transitive closure of broader, as a recursive query; below one term with ``top``.
+
+    The query's depth is raised until no path reaches it, so none is cut; deeper than DEEPEST is an error.
+    """
+    spark, view = edge.sparkSession, f"cg_edges_{uuid.uuid4().hex}"
+    edge.createOrReplaceTempView(view)
+    try:
+        depth = 12
+        while True:
+            out = spark.sql(
+                f"""WITH RECURSIVE up(term, broader, steps) AS (
+                  SELECT src, dst, 1 FROM {view} WHERE rel = 'broader' AND (:top IS NULL OR dst = :top)
+                  UNION ALL SELECT e.src, u.broader, u.steps + 1 FROM up u JOIN {view} e ON e.dst = u.term AND e.rel = 'broader' WHERE u.steps < {depth})
+                SELECT term, broader, min(steps) AS steps FROM up GROUP BY term, broader""",
+                args={"top": top},
+            )
+            if (out.agg(F.max("steps").alias("m")).first()["m"] or 0) < depth:
+                return out
+            if depth == DEEPEST:
+                raise ValueError(f"a hierarchy of more than {DEEPEST} steps")
+            depth = min(DEEPEST, depth * 3)
+    finally:
+        spark.catalog.dropTempView(view)
 
 
 def synset(edge: DataFrame, label: str | None = None) -> DataFrame:

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from caregraph.operators import events
+from caregraph import store
 from caregraph.plans.pattern import Pattern
 from caregraph.sources import records
 
@@ -20,7 +20,7 @@ W3B = W3.event("bad", "assay", prompt="O").rel("bad", "Before", "lab").share("ba
 
 def labelled(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Events with their objects' label, brand and type."""
-    return events.with_labels(events.extract(spark, sf_dir), events.entities(spark, sf_dir))
+    return store.labelled(spark, sf_dir)
 
 
 def cooccurrence(ev: DataFrame, k: int = 5) -> DataFrame:

@@ -108,6 +108,11 @@ def exec_wide(p: Pattern, ev: DataFrame, patients: DataFrame) -> DataFrame:
     return out.select("patient_id").distinct()
 
 
+def having_all(p: Pattern, ev: DataFrame, patients: DataFrame) -> DataFrame:
+    """(patient_id) of those who have an event for each variable, whatever the times: what a question with time can be about."""
+    return exec_wide(replace(p, temporal=(), same=()), ev, patients)
+
+
 def exec_triples(p: Pattern, triples: DataFrame, mode: str = "timestamps", closure: DataFrame | None = None) -> DataFrame:
     """(patient_id) by self-joins of triples: one for each triple pattern.
 

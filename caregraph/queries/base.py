@@ -12,7 +12,7 @@ li AS (SELECT l.*, o.o_custkey,
 EVENTS = (
     LINES
     + """,
-ev AS (
+ev AS MATERIALIZED (
   SELECT 'O-' || o_orderkey AS event_id, o_custkey AS patient_id, 'stay' AS kind, NULL AS entity_id, o_orderdate AS begin_ts,
          greatest(o_orderdate, coalesce(last, o_orderdate)) AS end_ts,
          CASE WHEN greatest(o_orderdate, coalesce(last, o_orderdate)) = o_orderdate THEN 'point' ELSE 'period' END AS time_kind,

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from caregraph import store
 from caregraph.operators import baseline, events, inference, profile, relations, timeline
 from caregraph.queries.base import CONCURRENT, ENTITIES, EVENTS, LINES, RELATIONS, STABBED, bounds, sql
 
@@ -12,10 +13,11 @@ EDGE = ("patient_id", "src", "dst", "relation", "step")
 
 
 def ev(spark: SparkSession, d: str) -> DataFrame:
-    return events.extract(spark, d)
+    return store.events(spark, d)
 
 
 def rel(spark: SparkSession, d: str, **options) -> DataFrame:
+    """Made anew from the stored events."""
     return relations.build(ev(spark, d), **options).select(*EDGE)
 
 
@@ -24,7 +26,7 @@ def counts(df: DataFrame) -> DataFrame:
 
 
 def ev_rows(spark: SparkSession, d: str) -> DataFrame:
-    return ev(spark, d)
+    return events.extract(spark, d)
 
 
 def cube(spark: SparkSession, d: str) -> DataFrame:
@@ -72,7 +74,22 @@ def closure_of_reduced(spark: SparkSession, d: str) -> DataFrame:
 
 
 def derived(spark: SparkSession, d: str) -> DataFrame:
-    return inference.derived(relations.build(ev(spark, d))).groupBy("relation", "rule").agg(F.count("*").alias("edges"))
+    return inference.derived(store.relations(spark, d)).groupBy("relation", "rule").agg(F.count("*").alias("edges"))
+
+
+def fixpoint(spark: SparkSession, d: str) -> DataFrame:
+    """All that the sparsest stored form implies, counted: as much as the times say."""
+    some = events.extract(spark, d, "clicks")
+    return inference.fixpoint(relations.build(some, density="chain")).groupBy("relation").agg(F.count("*").alias("edges"))
+
+
+def planted(spark: SparkSession, d: str) -> DataFrame:
+    """Edges of the dialogue profile, where every seventh has an end in the next conversation: all of these must be found."""
+    e = events.extract(spark, d, "dialogue")
+    r = relations.before(e)
+    broken = F.concat_ws("-", F.lit("T"), F.col("patient_id") + 1, F.substring_index("dst", "-", -1))
+    r = r.withColumn("dst", F.when(F.pmod("patient_id", F.lit(7)) == 0, broken).otherwise(F.col("dst")))
+    return relations.assert_same_patient(r, e)
 
 
 CLICKS = """
@@ -100,8 +117,8 @@ QUERIES = {
     "rel_full_counts": full_counts,
     "rel_reduced": lambda s, d: relations.before(ev(s, d)),
     "rel_reduced_per_step": lambda s, d: relations.before(ev(s, d), scope="per_step"),
-    "rel_chain": lambda s, d: relations.build(ev(s, d), density="chain", inverse=False).where("relation in ('Before', 'Concurrent')").select(*EDGE),
-    "rel_inverse": lambda s, d: rel(s, d).where("relation in ('Before', 'After')").groupBy("relation").agg(F.count("*").alias("edges")),
+    "rel_chain": lambda s, d: rel(s, d, density="chain", wanted=("Before", "Concurrent")),
+    "rel_inverse": lambda s, d: rel(s, d, wanted=("Before", "After")).groupBy("relation").agg(F.count("*").alias("edges")),
     "rel_allen13": allen13,
     "rel_equal_end_during": lambda s, d: rel(s, d, equal_end="during").groupBy("relation").agg(F.count("*").alias("edges")),
     "rel_equal_ends": lambda s, d: relations.equal_ends(ev(s, d)),
@@ -109,14 +126,17 @@ QUERIES = {
     "rel_bruteforce_reduction": lambda s, d: baseline.reduce_bruteforce(events.extract(s, d, "clicks")),
     "rel_closure": closure_of_reduced,
     "rel_derived": derived,
+    "rel_fixpoint": fixpoint,
+    "rel_bruteforce_reduction_commerce": lambda s, d: baseline.reduce_bruteforce(ev(s, d)),
+    "violations_planted": planted,
     "rel_clicks_day": clicks_day,
     "rel_dialogue_chain": dialogue_edges,
-    "violations_same_patient": lambda s, d: relations.assert_same_patient(relations.build(ev(s, d)), ev(s, d)).agg(F.count("*").alias("violations")),
-    "a2_relations": lambda s, d: profile.relations(relations.build(ev(s, d))),
+    "violations_same_patient": lambda s, d: relations.assert_same_patient(store.relations(s, d), ev(s, d)).agg(F.count("*").alias("violations")),
+    "a2_relations": lambda s, d: profile.relations(store.relations(s, d)),
     "a3_events": lambda s, d: profile.events(ev(s, d)),
     "a4_entities": lambda s, d: profile.entities(ev(s, d)),
     "a5_records": profile.records,
-    "a10_per_patient": lambda s, d: profile.per_patient(ev(s, d), relations.build(ev(s, d))),
+    "a10_per_patient": lambda s, d: profile.per_patient(ev(s, d), store.relations(s, d)),
     "op_agg_approx_distinct": lambda s, d: profile.entities(ev(s, d), approx=True),
     "op_agg_hll": lambda s, d: profile.entity_sketch(ev(s, d)),
     "op_agg_kll": lambda s, d: profile.result_quantiles(ev(s, d)),
@@ -184,6 +204,13 @@ SQL = {
           UNION ALL SELECT 'Before', 'inside_before', count(*) FROM (SELECT DISTINCT du.i, b.dst FROM du JOIN bef b ON b.patient_id = du.patient_id AND b.src = du.o)
           UNION ALL SELECT 'Before', 'before_inside', count(*) FROM (SELECT DISTINCT b.src, du.i FROM bef b JOIN du ON b.patient_id = du.patient_id AND b.dst = du.o)""",
     ),
+    "rel_fixpoint": sql(
+        CLICKS,
+        "p AS (SELECT CASE WHEN a.end_ts < b.begin_ts THEN 'Before' WHEN a.begin_ts = b.begin_ts AND a.end_ts = b.end_ts THEN (CASE WHEN a.event_id < b.event_id THEN 'Concurrent' END) WHEN b.begin_ts < b.end_ts AND a.begin_ts BETWEEN b.begin_ts AND b.end_ts AND (a.end_ts < b.end_ts OR (a.begin_ts = a.end_ts AND a.begin_ts = b.end_ts)) THEN 'During' WHEN a.begin_ts < a.end_ts AND b.begin_ts < b.end_ts AND a.begin_ts > b.begin_ts AND a.begin_ts <= b.end_ts AND a.end_ts > b.end_ts THEN 'Overlap' END AS relation FROM ev a JOIN ev b ON a.patient_id = b.patient_id AND a.event_id <> b.event_id)",
+        body="SELECT relation, count(*) AS edges FROM p WHERE relation IS NOT NULL GROUP BY 1 UNION ALL SELECT 'After', count(*) FROM p WHERE relation = 'Before'",
+    ),
+    "rel_bruteforce_reduction_commerce": sql(EVENTS, bounds("bef", "ev"), body="SELECT patient_id, src, dst FROM bef"),
+    "violations_planted": "SELECT c AS patient_id, 'T-' || c || '-' || t AS src, 'T-' || (c + 1) || '-' || n AS dst FROM (SELECT conv_id AS c, turn AS t, lead(turn) OVER (PARTITION BY conv_id ORDER BY turn) AS n FROM conversations) WHERE n IS NOT NULL AND c % 7 = 0",
     "rel_clicks_day": sql(
         "ev AS (SELECT 'E-' || event_id AS event_id, user_id AS patient_id, date_trunc('day', ts) AS begin_ts, date_trunc('day', ts) AS end_ts, 'point' AS time_kind FROM events WHERE event_type <> 'purchase')",
         "rep AS (SELECT * FROM ev QUALIFY row_number() OVER (PARTITION BY patient_id, begin_ts ORDER BY event_id) = 1)",

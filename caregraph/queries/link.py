@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from caregraph import store
 from caregraph.functions import similarity as sim
 from caregraph.operators import calibrate, linking, profile, vocab
 from caregraph.queries.base import LINES, sql
@@ -12,7 +13,7 @@ from caregraph.sources import records
 
 
 def pairs(spark: SparkSession, d: str) -> DataFrame:
-    return linking.candidates(records.mentions(spark, d), vocab.terms(spark, d))
+    return linking.candidates(store.mentions(spark, d), vocab.terms(spark, d))
 
 
 def measured(column):
@@ -23,9 +24,11 @@ def measured(column):
 
 
 def links(spark: SparkSession, d: str, scorer: str = "mean") -> DataFrame:
-    """Best term of every mention, with its gold."""
+    """Best term of every mention, with its gold; stored for the mean."""
+    if scorer == "mean":
+        return store.links(spark, d)
     got = linking.best(linking.scored(pairs(spark, d), scorer))
-    return got.join(records.mentions(spark, d), ["kind", "mention"])
+    return got.join(store.mentions(spark, d), ["kind", "mention"])
 
 
 def shown(df: DataFrame) -> DataFrame:
@@ -53,7 +56,7 @@ def roc(spark: SparkSession, d: str) -> DataFrame:
 
 def rate(over: str):
     def run(spark: SparkSession, d: str) -> DataFrame:
-        return profile.link_rate(records.mentions(spark, d), accepted(spark, d), over)
+        return profile.link_rate(store.mentions(spark, d), accepted(spark, d), over)
 
     return run
 
@@ -181,15 +184,15 @@ QUERIES = {
     "sim_lcs": measured(sim.lcs_sim),
     "sim_matchability": measured(lambda a, b: sim.matchability(sim.lev_sim(a, b), sim.jaccard_sim(a, b), sim.lcs_sim(a, b))),
     "link_mentions": records.mentions,
-    "link_best": lambda s, d: shown(links(s, d)),
+    "link_best": lambda s, d: shown(linking.best_pruned(pairs(s, d))),
     "link_topk": lambda s, d: linking.best(linking.scored(pairs(s, d)), 3).select("kind", "mention", "term", F.round("score", 6).alias("score"), F.col("rank").cast("long").alias("rank")),
     "link_lev_only": lambda s, d: shown(links(s, d, "lev")),
     "link_jac_only": lambda s, d: shown(links(s, d, "jaccard")),
     "link_lcs_only": lambda s, d: shown(links(s, d, "lcs")),
     "link_exact": lambda s, d: shown(links(s, d, "exact")).where("score = 1"),
-    "link_pruned": lambda s, d: shown(linking.best(linking.scored(linking.candidates(records.mentions(s, d), vocab.terms(s, d), "length", 0.6), prune=0.6)).where("score > 0.6")),
-    "link_gram_blocking": lambda s, d: linking.candidates(records.mentions(s, d), vocab.terms(s, d), "gram").groupBy("kind").agg(F.count("*").alias("pairs")),
-    "link_minhash": lambda s, d: shown(linking.best(linking.scored(linking.minhash_candidates(records.mentions(s, d), vocab.terms(s, d))))),
+    "link_pruned": lambda s, d: shown(linking.best(linking.scored(linking.candidates(store.mentions(s, d), vocab.terms(s, d), "length", 0.6), prune=0.6)).where("score > 0.6")),
+    "link_gram_blocking": lambda s, d: linking.candidates(store.mentions(s, d), vocab.terms(s, d), "gram").groupBy("kind").agg(F.count("*").alias("pairs")),
+    "link_minhash": lambda s, d: shown(linking.best(linking.scored(linking.minhash_candidates(store.mentions(s, d), vocab.terms(s, d))))),
     "link_score_curve": lambda s, d: calibrate.score_curve(links(s, d)).select("kind", "mention", F.round("score", 6).alias("score"), F.col("pos").cast("long").alias("pos")),
     "cal_sample": lambda s, d: calibrate.sample(links(s, d)).select("kind", "mention", F.col("pos").cast("long").alias("pos")),
     "cal_votes": lambda s, d: marks(s, d).select("kind", "mention", "truth", F.round(calibrate.agreement(F.col("votes")), 6).alias("agreement")),

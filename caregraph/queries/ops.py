@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from caregraph import store
 from caregraph.operators import relations, timeline
 from caregraph.operators import events as ev_mod
 from caregraph.queries.base import EVENTS, STABBED, sql
@@ -17,7 +18,7 @@ def W():
 
 
 def ev(spark: SparkSession, d: str, *kinds: str) -> DataFrame:
-    out = ev_mod.extract(spark, d)
+    out = store.events(spark, d)
     return out.where(F.col("kind").isin(*kinds)) if kinds else out
 
 

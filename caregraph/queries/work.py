@@ -5,18 +5,19 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from caregraph.operators import baseline, clean, events, profile, relations, vocab, workloads
+from caregraph import store
+from caregraph.operators import baseline, clean, events, inference, linking, profile, relations, vocab, workloads
 from caregraph.operators.ontology import Ontology
 from caregraph.plans import mapping, pattern
 from caregraph.queries.base import ENTITIES, EVENTS, LINES, RELATIONS, sql
-from caregraph.queries.link import accepted
+from caregraph.queries.link import ACCEPTED, accepted
 from caregraph.sources import ntriples, records
 
 TRIPLE = ("s", "p", "o", "o_kind", "datatype", "lang")
 
 
 def triples(spark: SparkSession, d: str) -> DataFrame:
-    return mapping.clinical(spark, d, events.extract(spark, d), events.entities(spark, d))
+    return store.triples(spark, d)
 
 
 def wide(p: pattern.Pattern):
@@ -36,28 +37,59 @@ def counted(run):
 
 def stage_counts(spark: SparkSession, d: str) -> DataFrame:
     """Rows after every step of the construction."""
-    ev, ent = events.extract(spark, d), events.entities(spark, d)
     n = lambda df, name: df.agg(F.lit(name).alias("stage"), F.count("*").alias("rows"))
     dirty = records.dirty_lines(spark, d)
     out = n(dirty.where(clean.normalize_qualitative(F.col("prompt_raw")).isNotNull()), "cleaned")
-    out = out.unionByName(n(mapping.clinical(spark, d, ev, ent), "triples")).unionByName(n(relations.build(ev), "relations"))
+    out = out.unionByName(n(store.events(spark, d), "events")).unionByName(n(store.triples(spark, d), "triples")).unionByName(n(store.relations(spark, d), "relations"))
     return out.unionByName(n(accepted(spark, d).where("accepted"), "links"))
 
 
 def statistics(spark: SparkSession, d: str) -> DataFrame:
     """The dataset's description, one figure a row."""
-    ev = events.extract(spark, d)
-    rel = relations.build(ev)
+    ev = store.events(spark, d)
     e = profile.events(ev).select(F.concat(F.lit("events "), "kind").alias("measure"), F.col("events").alias("n"))
     o = profile.entities(ev).select(F.concat(F.lit("entities "), "kind").alias("measure"), F.col("entities").alias("n"))
-    r = profile.relations(rel).select(F.concat(F.lit("relations "), "relation").alias("measure"), F.col("edges").alias("n"))
+    r = profile.relations(store.relations(spark, d)).select(F.concat(F.lit("relations "), "relation").alias("measure"), F.col("edges").alias("n"))
     return e.unionByName(o).unionByName(r)
 
 
 def all_triples(spark: SparkSession, d: str) -> DataFrame:
-    ev = events.extract(spark, d)
-    t = mapping.clinical(spark, d, ev, events.entities(spark, d)).unionByName(mapping.temporal(relations.build(ev)))
-    return profile.triples(t)
+    """Triples of all four classes by predicate."""
+    t = triples(spark, d).unionByName(mapping.temporal(store.relations(spark, d)))
+    link = linking.link_triples(accepted(spark, d)).select("*", F.lit("iri").alias("s_kind"), F.lit("link").alias("class"))
+    return profile.triples(t.unionByName(link))
+
+
+def rebuilt(table: str):
+    """Makes a stored table anew and counts its rows: what a build costs."""
+
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        ev = store.events(spark, d)
+        df = {"event": lambda: events.extract(spark, d), "triple": lambda: mapping.clinical(spark, d, ev, store.entities(spark, d)), "relation": lambda: relations.build(ev)}[table]()
+        return df.agg(F.lit(table).alias("table"), F.count("*").alias("rows"))
+
+    return run
+
+
+def by_edges(p: pattern.Pattern, how: str):
+    """A question with time by relation edges instead of times: stored ones, and for Before and After what they imply.
+
+    all: from the events' times, without iteration. closure: by following the
+    stored edges until no more come, for the patients that have all that the question names.
+    """
+
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        ev = store.events(spark, d)
+        who = pattern.having_all(p, workloads.labelled(spark, d), records.patients(spark, d))
+        held = store.relations(spark, d).join(who, "patient_id", "left_semi").select("patient_id", "src", "dst", "relation")
+        if how == "all":
+            far = relations.full_before(ev.join(who, "patient_id", "left_semi")).select("patient_id", "src", "dst")
+        else:
+            far = inference.closure(held).select("patient_id", "src", "dst")
+        far = relations.with_inverse(far.withColumn("relation", F.lit("Before")))
+        return pattern.exec_triples(p, triples(spark, d), "edges", held.where("relation not in ('Before', 'After')").unionByName(far))
+
+    return run
 
 
 def direct(name: str):
@@ -174,13 +206,16 @@ QUERIES = {
     "w4_cooccurrence": lambda s, d: workloads.cooccurrence(workloads.labelled(s, d)),
     "w5_effectiveness": lambda s, d: workloads.effectiveness(workloads.labelled(s, d)),
     "w6_side_effects": lambda s, d: workloads.side_effects(workloads.labelled(s, d)),
-    "w7_timeline": lambda s, d: workloads.status(events.extract(s, d)),
-    "w8_features": lambda s, d: workloads.features(events.extract(s, d)),
+    "w7_timeline": lambda s, d: workloads.status(store.events(s, d)),
+    "w8_features": lambda s, d: workloads.features(store.events(s, d)),
     "w9_category_type": lambda s, d: workloads.on_drug(workloads.labelled(s, d), "type", "PROMO"),
     "w9_category_brand": lambda s, d: workloads.on_drug(workloads.labelled(s, d), "brand", "Brand#2"),
     "w9_category_expanded": lambda s, d: pattern.exec_wide(pattern.Pattern().event("rx", "drug", names=vocab.expand(vocab.edges(s, d), "Brand#2")), workloads.labelled(s, d), records.patients(s, d)),
     "w9_region": workloads.by_region,
+    "w3_temporal_edges": counted(by_edges(workloads.W3, "all")),
+    "w3_temporal_closure": counted(by_edges(workloads.W3, "closure")),
     "w10_stage_counts": stage_counts,
+    **{f"build_{t}": rebuilt(t) for t in ("event", "triple", "relation")},
     "w12_statistics": statistics,
     "a1_triples": all_triples,
     "triples_clinical": lambda s, d: triples(s, d).select(*TRIPLE),
@@ -253,6 +288,7 @@ def _event_triples() -> str:
 
 
 TRIPLES = (EVENTS, ENTITIES, _event_triples())
+_ACCEPTED_LINKS = f"WITH {ACCEPTED} SELECT count(*) AS n FROM ac WHERE accepted"
 _DIRTY = """dl AS (SELECT *, CASE WHEN l_linestatus = 'F' THEN 'negative' ELSE 'positive' END AS w, CASE WHEN l_linestatus = 'F' THEN '-' ELSE '+' END AS sg FROM lineitem),
 dd AS (SELECT *, CASE l_linenumber % 4 WHEN 0 THEN w WHEN 1 THEN w || ' (' || sg || ')' WHEN 2 THEN '(' || sg || ')' ELSE sg END AS prompt_raw, CASE WHEN l_suppkey % 2 = 0 THEN 'g/dL' ELSE 'g/L' END AS unit_raw FROM dl)"""
 _CELL = "ce AS (SELECT l_orderkey, list(replace(p_name, ' ', '_') ORDER BY replace(p_name, ' ', '_')) AS names FROM li JOIN part ON p_partkey = l_partkey WHERE kind = 'diagnosis' GROUP BY 1)"
@@ -263,6 +299,12 @@ SQL = {
     "w3_temporal": _W3,
     "w3b_temporal_strict": _W3B,
     **{f"{k}_{v}": q for k, q in (("w1_single_event", _W1), ("w2_multi_event", _W2), ("w3_temporal", _W3), ("w3b_temporal_strict", _W3B)) for v in ("triples", "relational")},
+    "w3_temporal_edges": _W3,
+    "w3_temporal_closure": _W3,
+    "build_event": sql(EVENTS, body="SELECT 'event' AS \"table\", count(*) AS rows FROM ev"),
+    "build_triple": sql(*TRIPLES, body="SELECT 'triple' AS \"table\", count(*) AS rows FROM tr"),
+    "build_relation": sql(EVENTS, RELATIONS, body="SELECT 'relation' AS \"table\", count(*) AS rows FROM rel"),
+    "w10_stage_counts": sql(*TRIPLES, RELATIONS, body=f"SELECT 'cleaned' AS stage, count(*) AS rows FROM lineitem UNION ALL SELECT 'events', count(*) FROM ev UNION ALL SELECT 'triples', count(*) FROM tr UNION ALL SELECT 'relations', count(*) FROM rel UNION ALL SELECT 'links', n FROM ({_ACCEPTED_LINKS})"),
     "w4_cooccurrence": sql(
         *GRAPH,
         "f AS (SELECT patient_id, type AS assay_type, min(begin_ts) AS since FROM lb WHERE kind = 'assay' AND prompt = 'O' GROUP BY 1, 2)",
@@ -293,7 +335,7 @@ SQL = {
         RELATIONS,
         body="SELECT 'events ' || kind AS measure, count(*) AS n FROM ev GROUP BY kind UNION ALL SELECT 'entities ' || coalesce(kind, 'all'), count(DISTINCT entity_id) FROM ev WHERE entity_id IS NOT NULL GROUP BY ROLLUP (kind) UNION ALL SELECT 'relations ' || coalesce(relation, 'total'), count(*) FROM rel GROUP BY ROLLUP (relation)",
     ),
-    "a1_triples": sql(*TRIPLES, RELATIONS, body="SELECT class, p, count(*) AS triples FROM tr GROUP BY ALL UNION ALL SELECT 'temporal', 'cg:' || relation, count(*) FROM rel GROUP BY relation"),
+    "a1_triples": sql(*TRIPLES, RELATIONS, body="SELECT class, p, count(*) AS triples FROM tr GROUP BY ALL UNION ALL SELECT 'temporal', 'cg:' || relation, count(*) FROM rel GROUP BY relation UNION ALL SELECT 'link', 'cg:linkedTo', n FROM (" + _ACCEPTED_LINKS + ")"),
     "triples_by_predicate": sql(*TRIPLES, body="SELECT class, p, count(*) AS triples FROM tr GROUP BY ALL"),
     "triples_clinical": sql(*TRIPLES, body="SELECT s, p, o, o_kind, datatype, lang FROM tr"),
     "triples_to_wide": sql(EVENTS, body="SELECT event_id, " + _ISO.format("begin_ts") + " AS begin, situation FROM ev WHERE kind = 'diagnosis'"),
