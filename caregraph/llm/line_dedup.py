@@ -34,8 +34,10 @@ OWN = 1 << 60
 PAIRS = 50_000
 """Lines that share a segment are joined if they make no more pairs than this; else what is left of them is cut again."""
 LEVELS = 6
-CHARS = 1 << 20
+CHARS = 1 << 19
 """Characters that a task hashes at once (or one line, if it is longer)."""
+TOGETHER = 250_000
+"""Pairs that a task compares at once."""
 ROWS = 200_000
 """Most rows of one key that a task holds before it passes them on to the next level."""
 
@@ -249,7 +251,7 @@ def _meet(rows: DataFrame, edits: int, last: bool) -> DataFrame:
         """Each index entry with all rows of its key; ranges of rows by key."""
         own = np.repeat(start, owns) + counted(owns)
         size = np.repeat(end - start, owns)
-        cuts = np.searchsorted(np.cumsum(size), np.arange(1, int(size.sum()) // 2_000_000 + 1) * 2_000_000)
+        cuts = np.searchsorted(np.cumsum(size), np.arange(1, int(size.sum()) // TOGETHER + 1) * TOGETHER)
         for part in np.split(np.arange(len(own)), np.unique(cuts)):
             if not len(part):
                 continue

@@ -9,7 +9,7 @@ import numpy as np
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 _BACK = np.uint64(pow(0x9E3779B97F4A7C15, -1, 2**64))
 #: Powers are held for arrays of up to so many numbers, and made anew for larger ones.
-HELD = 1 << 21
+HELD = 1 << 20
 
 
 def mixed(x: np.ndarray) -> np.ndarray:
