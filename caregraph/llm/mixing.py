@@ -98,16 +98,36 @@ def plan(rows: DataFrame, entropy: float = ENTROPY, repeats: float = REPEATS, bu
     own = w.select("s", "epochs", "rest", "blocks")
     r = rows.join(F.broadcast(own) if small else own, "s")
     r = r.select("s", "n", doc_order(seed), block_order(seed), "rest")
-    blocks = r.groupBy("s", "block_key", "rest").agg(F.sum("n").alias("m"))
-    run = Window.partitionBy("s").orderBy("block_key")
-    blocks = blocks.withColumn("upto", F.sum("m").over(run))
-    edge = blocks.where("upto > rest").groupBy("s").agg(F.min(F.struct("block_key", "upto", "m")).alias("e")).select("s", F.col("e.block_key").alias("cut_block"), (F.col("e.upto") - F.col("e.m")).alias("before"))
+    blocks = saved(r.groupBy("s", "block_key", "rest").agg(F.sum("n").alias("m")))
+    edge = first_over(blocks, "block_key").select("s", F.col("key").alias("cut_block"), F.col("upto").alias("before"))
     in_edge = r.join(F.broadcast(edge) if small else edge, "s").where("block_key = cut_block")
-    each = in_edge.groupBy("s", "doc_key", "rest", "before", "cut_block").agg(F.sum("n").alias("m")).withColumn("upto", F.sum("m").over(Window.partitionBy("s").orderBy("doc_key")) + F.col("before"))
-    cut = each.groupBy("s", "cut_block").agg(F.max(F.when(F.col("upto") <= F.col("rest"), F.col("doc_key"))).alias("cut_doc"))
+    each = saved(in_edge.groupBy("s", "doc_key", (F.col("rest") - F.col("before")).alias("rest"), "cut_block").agg(F.sum("n").alias("m")))
+    # The last document that fits is the one before the first that doesn't; the edge block as a whole doesn't fit.
+    over = first_over(each, "doc_key").select("s", F.col("key").alias("over_doc"))
+    fits = each.join(F.broadcast(over) if small else over, "s").where("doc_key < over_doc")
+    cut = edge.join(fits.groupBy("s").agg(F.max("doc_key").alias("cut_doc")), "s", "left").select("s", "cut_block", "cut_doc")
     return saved(w.join(cut, "s", "left"))
 
 
+SLICES = 1024
+
+
+def first_over(rows: DataFrame, key: str) -> DataFrame:
+    """(s, key, upto): of each source's rows (s, key, m, rest) in the order of their keys, the first with which the sum of m exceeds rest, and the sum before it.
+
+    Keys are hashes, so the source is cut into SLICES ranges of them; their sums
+    are run through first, and only the range where it happens is put in order: no task orders a whole source.
+    """
+    part = F.shiftright(key, 64 - (SLICES - 1).bit_length())
+    sums = rows.groupBy("s", part.alias("part"), "rest").agg(F.sum("m").alias("sum"))
+    run = Window.partitionBy("s").orderBy("part")
+    sums = sums.withColumn("upto", F.sum("sum").over(run)).where("upto > rest")
+    edge = sums.groupBy("s").agg(F.min(F.struct("part", (F.col("upto") - F.col("sum")).alias("before"))).alias("e")).select(F.col("s").alias("of"), "e.part", "e.before")
+    near = rows.join(edge, (F.col("s") == F.col("of")) & (part == F.col("part"))).drop("of", "part")
+    near = near.withColumn("upto", F.sum("m").over(Window.partitionBy("s").orderBy(key)) + F.col("before")).where("upto > rest")
+    return near.groupBy("s").agg(F.min(F.struct(F.col(key).alias("key"), (F.col("upto") - F.col("m")).alias("upto"))).alias("e")).select("s", "e.key", "e.upto")
+
+
 def doc_order(seed: int):
     return F.xxhash64(F.lit(seed), F.col("d")).alias("doc_key")
 
@@ -146,9 +166,11 @@ def mix(docs: DataFrame, source: str = "source", entropy: float = ENTROPY, repea
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(doc_id, source, n_tokens, epoch, mix_key) of the mixture of ``documents``, by ``mix`` with its defaults."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "source", "text")
     return mix(docs).select("doc_id", "source", F.col("__cg_n").alias("n_tokens"), "epoch", "mix_key")
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """``mix`` of all documents: every column stays, epoch and mix_key are added. Null, empty and repeated inputs as there; an empty table gives none."""
     return mix(docs).drop("__cg_n")
