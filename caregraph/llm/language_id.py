@@ -59,11 +59,24 @@ def learn(labelled: DataFrame, rows: int = ROWS) -> dict[str, bytes]:
         texts.setdefault(r["lang"], {})[r["h"]] = r["t"]
     out = {}
     for lang, got in sorted(texts.items()):
-        kept = [folded(got[h]) for h in sorted(got, key=lambda h: (h % BUCKETS, h))][:rows]
-        out[lang] = "\n".join(kept).encode()[-DICT_BYTES:]
+        kept = [folded(got[h]).encode() for h in sorted(got, key=lambda h: (h % BUCKETS, h))][:rows]
+        out[lang] = b"\n".join(shared_out(kept, DICT_BYTES - len(kept)))
     return out
 
 
+def shared_out(texts: list[bytes], most: int) -> list[bytes]:
+    """The texts, the longest ones cut to one length so that all fit into ``most`` bytes: every text has its share."""
+    if sum(map(len, texts)) <= most:
+        return texts
+    left, size = most, 0
+    for k, n in enumerate(sorted(map(len, texts))):
+        size = left // (len(texts) - k)
+        if n >= size:
+            break
+        left -= n
+    return [t[:size] for t in texts]
+
+
 def predict(texts: DataFrame, dicts: dict[str, bytes], text: str = "text", margin: float = 0.0, level: int = 3) -> DataFrame:
     """``texts`` with lang_pred, score and accepted.
 
@@ -102,6 +115,7 @@ def predict(texts: DataFrame, dicts: dict[str, bytes], text: str = "text", margi
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(doc_id, held_out, lang_pred, score, accepted) of every row of ``documents``; learns from the rows that the contract leaves for it. Rows without an id are never held out."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text", "lang")
     rest = crc_rest(F.col("doc_id"), 3)
     dicts = learn(docs.where(rest != 1).select("text", "lang"))
