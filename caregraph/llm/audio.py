@@ -105,16 +105,36 @@ def adpcm_encode(pcm: np.ndarray, align: int = 256) -> bytes:
     return out.tobytes()
 
 
+class Unreadable(ValueError):
+    """A clip that isn't decoded, and why."""
+
+
 def decode(media: bytes) -> tuple[np.ndarray, int]:
-    """(16-bit samples, rate) of a mono clip in any of the four formats."""
-    c = chunks(media)
-    tag, _, rate, _, align, _ = struct.unpack_from("<HHIIHH", c[b"fmt "])
-    if tag == IMA_ADPCM:
-        pcm = adpcm_decode(c[b"data"], align)
-        return pcm[: struct.unpack("<I", c[b"fact"])[0]] if b"fact" in c else pcm, rate
-    if tag == PCM:
-        return np.frombuffer(c[b"data"], "<i2"), rate
-    return TABLES[tag][np.frombuffer(c[b"data"], np.uint8)], rate
+    """(16-bit samples, rate) of a clip in any of the four formats; several channels become their mean (ADPCM: mono only)."""
+    try:
+        c = chunks(media)
+    except (ValueError, struct.error) as e:
+        raise Unreadable("not a RIFF/WAVE file") from e
+    if len(c.get(b"fmt ", b"")) < 16 or b"data" not in c:
+        raise Unreadable("no format or no data")
+    tag, channels, rate, _, align, bits = struct.unpack_from("<HHIIHH", c[b"fmt "])
+    data = bytes(c[b"data"])
+    if not channels or not rate:
+        raise Unreadable("no channels or no rate")
+    if tag == IMA_ADPCM and channels == 1 and align > 4:
+        pcm = adpcm_decode(data, align)
+        return pcm[: struct.unpack("<I", c[b"fact"])[0]] if len(c.get(b"fact", b"")) == 4 else pcm, rate
+    if tag == PCM and bits == 16:
+        x = np.frombuffer(data[: len(data) // 2 * 2], "<i2")
+    elif tag == PCM and bits == 8:
+        x = (np.frombuffer(data, np.uint8).astype(np.int16) - 128) * 256
+    elif tag in TABLES and bits == 8:
+        x = TABLES[tag][np.frombuffer(data, np.uint8)]
+    else:
+        raise Unreadable(f"format {tag} of {bits} bits and {channels} channels")
+    if channels > 1:
+        x = np.rint(x[: len(x) // channels * channels].reshape(-1, channels).mean(axis=1)).astype(np.int16)
+    return x, rate
 
 
 def resample(pcm: np.ndarray, rate: int, to: int) -> np.ndarray:
@@ -144,13 +164,24 @@ def feature(pcm: np.ndarray) -> str:
 
 
 def store_pcm(clips: DataFrame, media: str = "media", rate: int = 16000, out: str = "pcm") -> DataFrame:
-    """``clips`` with column ``out``: each clip of any format as resampled 16-bit PCM; null clips stay null, a column of that name is replaced."""
+    """``clips`` with columns ``out`` and ``out``_status: each clip of any format as resampled 16-bit PCM, and ``ok``.
 
-    @F.pandas_udf("binary")
-    def run(col: pd.Series) -> pd.Series:
-        return col.map(lambda m: to_pcm(m, rate))
+    Null clips, and clips that can't be read, are null, with ``null`` or the reason
+    as status; none fails the job. A clip that is cut off is read as far as it goes. Columns of these names are replaced.
+    """
+
+    @F.pandas_udf("pcm binary, status string")
+    def run(col: pd.Series) -> pd.DataFrame:
+        rows = []
+        for m in col:
+            try:
+                rows.append((to_pcm(m, rate), "null" if m is None else "ok"))
+            except Unreadable as e:
+                rows.append((None, str(e)))
+        return pd.DataFrame(rows, columns=["pcm", "status"])
 
-    return clips.withColumn(out, run(F.col(media)))
+    both = clips.withColumn("__cg_pcm", run(F.col(media)))
+    return both.withColumn(out, F.col("__cg_pcm.pcm")).withColumn(out + "_status", F.col("__cg_pcm.status")).drop("__cg_pcm")
 
 
 def encode_texts(docs: DataFrame, text: str = "text", out: str = "media") -> DataFrame:
@@ -167,23 +198,59 @@ def encode_texts(docs: DataFrame, text: str = "text", out: str = "media") -> Dat
     return docs.withColumn(out, run(F.col(text)))
 
 
+CLIPS = 1000
+"""Clips whose ADPCM blocks are coded together."""
+
+
+def adpcm_features(clips: list[np.ndarray], align: int = 256) -> list[str]:
+    """Features of the clips after a way through ADPCM files; the blocks of all clips are encoded, and decoded, at once."""
+    per = (align - 4) * 2 + 1
+    padded = [np.pad(x, (0, -len(x) % per), mode="edge") for x in clips]
+    coded = adpcm_encode(np.concatenate(padded), align) if clips else b""
+    at, media = 0, []
+    for x in padded:
+        n = len(x) // per * align
+        media.append(coded[at : at + n])
+        at += n
+    # Each clip's file holds its own blocks; they are read back together.
+    files = [wave(IMA_ADPCM, 8000, 4, m, align, struct.pack("<H", per), len(x)) for m, x in zip(media, clips, strict=True)]
+    data = [bytes(chunks(f)[b"data"]) for f in files]
+    back = adpcm_decode(b"".join(data), align) if data else np.empty(0, np.int16)
+    ends = np.cumsum([len(x) for x in padded])
+    return [feature(back[e - len(p) : e - len(p) + len(x)]) for e, p, x in zip(ends, padded, clips, strict=True)]
+
+
 def describe(clips: DataFrame) -> DataFrame:
-    """(doc_id, n_bytes, digests of the samples read back and of the stored form, feature of the resampled audio); columns ``doc_id, n_bytes, media`` are read."""
-    kind = "payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
+    """(doc_id, n_bytes, digests of the samples read back and of the stored form, features); columns ``doc_id, n_bytes, media`` (mu-law clips) are read.
+
+    ``feature``: of the resampled audio, which is stored as PCM (``pcm_sha256``); ``alaw_feature``: of the same bytes read as A-law; ``adpcm_feature``: of the audio after ADPCM.
+    """
+    kind = "payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, pcm_sha256 string, alaw_feature string, adpcm_feature string"
 
     @F.pandas_udf(kind)
     def run(col: pd.Series) -> pd.DataFrame:
-        rows = []
+        rows, first = [], []
         for media in col:
             raw = bytes(chunks(media)[b"data"])
-            pcm, _ = decode(to_pcm(media))
-            rows.append((len(raw), hashlib.sha256(raw).hexdigest(), zlib.crc32(raw[-UNIT:]), len(media), hashlib.sha256(media).hexdigest(), feature(pcm)))
-        return pd.DataFrame(rows, columns=["payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"])
+            stored = to_pcm(media)
+            pcm, _ = decode(stored)
+            alaw, _ = decode(wave(ALAW, 8000, 8, raw))
+            rows.append((len(raw), hashlib.sha256(raw).hexdigest(), zlib.crc32(raw[-UNIT:]), len(media), hashlib.sha256(media).hexdigest(), feature(pcm), hashlib.sha256(stored).hexdigest(), feature(alaw)))
+            first.append(decode(media)[0])
+        adpcm, at, n = [], 0, 0
+        for k, x in enumerate(first):
+            n += len(x)
+            if n >= 1 << 20 or k + 1 - at >= CLIPS or k == len(first) - 1:
+                adpcm += adpcm_features(first[at : k + 1])
+                at, n = k + 1, 0
+        names = [c.split()[0] for c in kind.split(", ")]
+        return pd.DataFrame(rows, columns=names[:-1]).assign(adpcm_feature=adpcm)
 
     return clips.select("doc_id", "n_bytes", run("media").alias("d")).select("doc_id", "n_bytes", "d.*")
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """``describe`` of every text of ``documents`` as mu-law audio; null texts count as empty, repeated rows give equal rows."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
     docs = docs.withColumn("n_bytes", F.octet_length(F.coalesce("text", F.lit(""))).cast("long"))
     return describe(encode_texts(docs))
