@@ -326,11 +326,12 @@ def find_leaks(docs: DataFrame, items: DataFrame, score: float = SCORE) -> DataF
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """``find_leaks`` of ``benchmark`` in ``documents``."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
     return find_leaks(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that leak no test item. Of documents without an id none is taken out."""
+    """Documents that leak no test item. Of documents without an id none is taken out; null and empty texts leak nothing, of rows that share an id all go if one leaks; an empty table gives none."""
     leaks = saved(find_leaks(docs.select("doc_id", "text"), spark.read.parquet(f"{sf_dir}/benchmark.parquet")).select("doc_id"))
     return docs.join(leaks, "doc_id", "left_anti")

@@ -408,6 +408,7 @@ def dedup(docs: DataFrame, edits: int = EDITS) -> DataFrame:
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(doc_id, n_lines, dropped, repeats) of every row of ``documents``: positions of lines that go, and of all that repeat, with their class's first place and number of links. Null and empty texts have one blank line, which never repeats."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
     own = docs.select("doc_id", doc_key(docs).alias("dk"), F.size(F.split(F.coalesce("text", F.lit("")), "\n")).cast("long").alias("n_lines"))
     none = F.expr("array()")
@@ -416,4 +417,5 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """``dedup`` of all documents: none goes, repeated lines do; null texts, rows without an id, repeated rows and empty tables as there."""
     return dedup(docs)

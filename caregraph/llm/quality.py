@@ -189,11 +189,12 @@ def learned(spark: SparkSession, sf_dir: str, docs: DataFrame) -> Ensemble:
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(doc_id, held_out, score, predicted) of every row of ``documents``; null and empty texts are scored by their zero statistics, rows without an id are never held out."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
     out = score(docs, learned(spark, sf_dir, docs))
     return out.select("doc_id", (crc_rest(F.col("doc_id"), 5) == 0).alias("held_out"), "score", (F.col("score") >= CUT).cast("int").alias("predicted"))
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the classifier accepts, with their own columns."""
+    """Documents that the classifier accepts, with their own columns. Null and empty texts are judged by their zero statistics, very long ones whole, repeated rows alike; an empty table gives none."""
     return score(docs, learned(spark, sf_dir, docs), out="__cg_score").where(F.col("__cg_score") >= CUT).drop("__cg_score")

@@ -303,6 +303,7 @@ def similar_components(docs: DataFrame, size: int = 5, similarity: float = 0.8)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(doc_id, fingerprint, component_id) of every row of ``documents``, by ``near_components``."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
     return near_components(docs).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 

@@ -546,3 +546,94 @@ def test_crowded_index_keys(spark, monkeypatch, table):
     want = {(r["doc_id"], r["component_id"]) for r in simhash.near_components(table).collect()}
     monkeypatch.setattr(simhash, "CROWD", 4)
     assert {(r["doc_id"], r["component_id"]) for r in simhash.near_components(table).collect()} == want
+
+
+# 2, 5, 6 against brute force
+
+
+def test_mixing_against_a_replay(spark, monkeypatch):
+    """Blocks and documents taken one after the other in the order of their keys, as long as they fit."""
+    r = random.Random(21)
+    rows = [(k, "w " * r.randint(0, 40), "en", r.choice("aaaaaaab") + r.choice(["", "", "x"]), 0) for k in range(1500)] + [(k, "v " * 5, "en", "a", 0) for k in range(20)] + [(None, "w w w", "en", None, 0)]
+    d = spark.createDataFrame(rows, DOCS)
+    for slices in (1024, 2):
+        monkeypatch.setattr(mixing, "SLICES", slices)
+        keyed = d.select(mixing.source_key().alias("s"), F.col("doc_id").alias("d"), mixing.tokens().alias("n"))
+        plan = mixing.plan(keyed, 0.9, 3.0, None, 300)
+        own = {p["s"]: p for p in plan.collect()}
+        total = sum(len(x[1].split()) for x in rows)
+        size = Counter()
+        for x in rows:
+            size[x[3] or ""] += len(x[1].split())
+        # weights: shares to one exponent
+        a = [np.log(own[s]["weight"] / own["a"]["weight"]) / np.log(size[s] / size["a"]) for s in size if s != "a" and size[s]]
+        assert np.allclose(a, a[0]) and sum(p["weight"] for p in own.values()) == pytest.approx(1)
+        full = keyed.join(plan.select("s", "epochs", "blocks"), "s").select("s", "d", "n", mixing.doc_order(mixing.SEED), mixing.block_order(mixing.SEED)).collect()
+        want = Counter()
+        for s, p in own.items():
+            budget = p["weight"] * total
+            epochs = int(budget / size[s] + 1e-9)
+            rest = max(0.0, budget - epochs * size[s])
+            mine = [x for x in full if x["s"] == s]
+            for x in mine:
+                want[s, x["d"]] += epochs
+            fits, used = True, 0
+            for key in sorted({x["block_key"] for x in mine}):
+                block = [x for x in mine if x["block_key"] == key]
+                if used + sum(x["n"] for x in block) <= rest:
+                    used += sum(x["n"] for x in block)
+                    want.update((s, x["d"]) for x in block)
+                    continue
+                for dk in sorted({x["doc_key"] for x in block}):
+                    docs_ = [x for x in block if x["doc_key"] == dk]
+                    if used + sum(x["n"] for x in docs_) > rest:
+                        break
+                    used += sum(x["n"] for x in docs_)
+                    want.update((s, x["d"]) for x in docs_)
+                break
+        got = Counter((x["source"] or "", x["doc_id"]) for x in mixing.mix(d, entropy=0.9, repeats=3.0, block_tokens=300).collect())
+        assert got == +want
+
+
+def test_clips_that_cannot_be_read(spark):
+    ok = audio.wave(audio.PCM, 8000, 16, np.arange(8, dtype="<i2").tobytes(), 2)
+    stereo = bytearray(audio.wave(audio.PCM, 16000, 16, np.array([2, 4, 6, 8], "<i2").tobytes(), 4))
+    stereo[22] = 2
+    eight = audio.wave(audio.PCM, 16000, 8, bytes([0, 128, 255]))
+    clips = [ok, None, b"", b"RIFF", ok[:30], audio.wave(99, 8000, 8, b"ab"), bytes(stereo), eight, ok[:-3], audio.wave(audio.IMA_ADPCM, 8000, 4, b"", 0)]
+    d = spark.createDataFrame(list(enumerate(clips)), "k int, media binary").withColumn("pcm_status", F.lit("clash"))
+    got = {x["k"]: x for x in audio.store_pcm(d).collect()}
+    assert [k for k in got if got[k]["pcm"] is not None] == [0, 6, 7, 8] and got[1]["pcm_status"] == "null" and got[0]["pcm_status"] == "ok"
+    assert all(got[k]["pcm_status"] not in ("ok", "null") for k in (2, 3, 4, 5, 9))
+    assert audio.decode(bytes(got[6]["pcm"]))[0].tolist() == [3, 7] and audio.decode(bytes(got[7]["pcm"]))[0].tolist() == [-32768, 0, 32512]
+    assert audio.store_pcm(d.limit(0)).count() == 0
+
+
+def test_features_of_clips_coded_together():
+    r = np.random.default_rng(1)
+    clips = [audio.TABLES[audio.MULAW][r.integers(0, 256, n)] for n in (64, 2048, 505, 128)]
+    one = [audio.decode(audio.wave(audio.IMA_ADPCM, 8000, 4, audio.adpcm_encode(x), 256, b"\xf9\x01", len(x)))[0] for x in clips]
+    assert audio.adpcm_features(clips) == [audio.feature(x) for x in one] and audio.adpcm_features([]) == []
+
+
+def test_languages_against_plain_compression(spark, table):
+    import zstandard
+
+    dicts = language_id.learn(table.select("text", "lang"), 50)
+    assert all(len(v) <= language_id.DICT_BYTES for v in dicts.values()) and len(dicts) > 1
+    for r in language_id.predict(table, dicts).collect():
+        t = r["text"]
+        if t is None or not any(c.isalpha() for c in t):
+            assert r["lang_pred"] == "und"
+            continue
+        size = {}
+        for name, raw in dicts.items():
+            d = zstandard.ZstdCompressionDict(raw, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
+            size[name] = len(zstandard.ZstdCompressor(level=3, dict_data=d, write_content_size=False).compress(language_id.folded(t).encode()))
+        assert size[r["lang_pred"]] == min(size.values())
+
+
+def test_dictionaries_hold_a_share_of_every_text():
+    texts = [b"a" * 10, b"b" * 1000, b"c" * 400]
+    assert language_id.shared_out(texts, 2000) == texts
+    assert [len(t) for t in language_id.shared_out(texts, 610)] == [10, 300, 300]
