@@ -369,27 +369,42 @@ def test_rules_and_hosts(spark):
 
 
 def test_url_model_against_bruteforce(spark):
-    good, bad = ["http://good.a/x1", "http://good.a/y2"], ["http://spam.b/zz"]
-    lab = spark.createDataFrame([(u, 1, True) for u in good] + [(u, 2, False) for u in bad], "url string, n long, good boolean").withColumn("line", url_filter.folded(F.col("url")))
-    got = {r["gram"]: r["llr"] for r in url_filter.train(lab).collect()}
+    good, bad = ["http://good.a/x1", "http://good.a/y2", "http://göod.a/"], ["http://spam.b/zz"]
+    lab = spark.createDataFrame([(u, 1, True) for u in good] + [(u, 2, False) for u in bad], "url string, n long, good boolean").withColumn("line", url_filter.marked(F.col("url"))).drop("url")
+    k = url_filter.ORDER
+    other = url_filter.MARK * k + "http://new.a/x2?Ω" + url_filter.MARK
     lines = [(r["line"], r["n"], r["good"]) for r in lab.collect()]
+    need = {x[at : at + k + 1] for x in [other, *(x for x, _, _ in lines)] for at in range(len(x) - k)}
+    got = {r["gram"]: r["llr"] for r in url_filter.train(lab, spark.createDataFrame([(g,) for g in need], "gram string")).collect()}
     count = {True: Counter(), False: Counter()}
     for line, n, side in lines:
-        for k in range(len(line) - 2):
-            count[side][line[k : k + 3]] += n
+        for at in range(len(line) - k):
+            count[side][line[at : at + k + 1]] += n
 
     def p(side, gram):
-        out = 1 / len(url_filter.SYMBOLS)
-        for k in range(3):
-            tail = sum(v for g, v in count[side].items() if g[2 - k :] == gram[2 - k :])
-            head = sum(v for g, v in count[side].items() if g[2 - k : 2] == gram[2 - k : 2])
+        out = 1 / url_filter.CHARACTERS
+        for j in range(k + 1):
+            tail = sum(v for g, v in count[side].items() if g[k - j :] == gram[k - j :])
+            head = sum(v for g, v in count[side].items() if g[k - j : k] == gram[k - j : k])
             out = (tail + url_filter.WEIGHT * out) / (head + url_filter.WEIGHT)
         return out
 
+    assert set(got) == need
     for g in got:
         assert got[g] == pytest.approx(np.log(p(True, g)) - np.log(p(False, g)))
 
 
+def test_urls_repeat_and_tie(spark, monkeypatch):
+    urls = ["http://net/de/a", "http://net/de/a", "http://org/es/b", None, None, "", "http://x.com/é", "http://x.com/é"]
+    d = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")
+    for rows in (0, 10**6):  # joined by shuffle, and broadcast
+        monkeypatch.setattr(url_filter, "BROADCAST_ROWS", rows)
+        got = {r["page_id"]: (r["verdict"], r["llr"]) for r in url_filter.filter_urls(d).collect()}
+        assert len(got) == 8 and got[0] == got[1] and got[3] == got[4] == got[5] and got[6] == got[7] and got[0][0] == "allow" and got[2][0] == "block"
+    one = url_filter.filter_urls(spark.createDataFrame([(1, "http://a.b/"), (2, "http://net/de/")], "page_id long, url string"))
+    assert {r["verdict"] for r in one.collect()} == {"allow"}
+
+
 # 10 chats
 
 
