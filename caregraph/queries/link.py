@@ -67,18 +67,65 @@ def normalized(spark: SparkSession, d: str) -> DataFrame:
 
 
 def contains(spark: SparkSession, d: str) -> DataFrame:
-    """Long strings: items that a document has word for word. Items are the query set, in one broadcast of a checked size."""
-    items = records.table(spark, d, "benchmark").select("item_id", F.col("text").alias("item"))
-    docs = records.table(spark, d, "documents", "doc_id", "text")
-    if items.count() > linking.BROADCAST_TERMS:
-        raise ValueError("too many items for one broadcast; query them in blocks")
-    return docs.join(F.broadcast(items), F.contains("text", "item")).select("doc_id", "item_id")
+    """Long strings: items that a document has word for word. Candidates share a run of words, by an equi-join; then the text decides."""
+    items = records.table(spark, d, "benchmark").select("item_id", F.col("text").alias("item")).where("item is not null")
+    docs = records.table(spark, d, "documents", "doc_id", "text").where("text is not null")
+    key = F.xxhash64("text").alias("key")
+    # An item lies inside a text with its first and last words perhaps cut off there, so runs are of the words between.
+    inner = F.slice(_words(F.col("item")), 2, F.greatest(F.size(_words(F.col("item"))) - 2, F.lit(0)))
+    item = items.withColumn("w", inner).withColumn("n", F.least(F.size("w"), F.lit(GRAM)))
+    own = docs.select(key, "text").dropDuplicates(["key"]).select("key", "text", _words(F.col("text")).alias("w"))
+    met = None
+    for n in [r["n"] for r in item.select("n").distinct().collect()]:  # at most GRAM + 1 values
+        if n < 1:  # items of two words or fewer are tried against every text, by blocks of a broadcast
+            some = own.join(F.broadcast(item.where("n < 1").select("item_id", "item")), F.contains("text", "item")).select("key", "item_id")
+        else:
+            first = item.where(F.col("n") == n).select("item_id", F.element_at(_grams(F.col("w"), n), 1).alias("g"))
+            some = own.select("key", F.explode(_grams(F.col("w"), n)).alias("g")).join(first, "g").select("key", "item_id")
+        met = some if met is None else met.unionByName(some)
+    if met is None:
+        return docs.select("doc_id").crossJoin(items.limit(0).select("item_id"))
+    both = docs.select("doc_id", "text", key).join(met.distinct(), "key").join(items, "item_id")
+    return both.where(F.contains("text", "item")).select("doc_id", "item_id")
 
 
 GRAM = 3
 """A line and an item are scored if they share a run of so many words, or all of an item with fewer."""
 
 
+def raw_or_linked(spark: SparkSession, d: str) -> DataFrame:
+    """Events that a question finds by an object's standard label: in the raw spelling, with the label's synonyms, and through accepted links (rightly or wrongly)."""
+    names = vocab.synset(vocab.edges(spark, d)).where("rel <> 'self'").select(F.col("label").alias("gold"), F.col("name").alias("mention")).distinct().withColumn("other", F.lit(True))
+    a = accepted(spark, d).join(names, ["gold", "mention"], "left")
+    right = F.coalesce(F.col("term") == F.col("gold"), F.lit(False))
+    n = lambda cond, name: F.sum(F.when(cond, F.col("n")).otherwise(0)).cast("long").alias(name)
+    raw = F.coalesce(F.col("mention") == F.col("gold"), F.lit(False))
+    return a.groupBy("kind").agg(F.sum("n").cast("long").alias("events"), n(raw, "raw"), n(raw | F.col("other").isNotNull(), "expanded"), n(F.col("accepted") & right, "linked"), n(F.col("accepted") & ~right, "wrong"))
+
+
+def policies(spark: SparkSession, d: str) -> DataFrame:
+    """Links under three policies: a threshold for each kind, one for all, none; how many are right."""
+    held = links(spark, d)
+    one = one_for_all(spark, d).select("threshold")
+    some = [
+        ("per kind", accepted(spark, d)),
+        ("one", linking.accept(held.join(F.broadcast(one), F.lit(True)).withColumnRenamed("threshold", "__t"), -1.0).withColumn("accepted", F.col("score") > F.col("__t")).drop("__t")),
+        ("none", held.withColumn("threshold", F.lit(None).cast("double")).withColumn("accepted", F.lit(True))),
+    ]
+    out = None
+    for name, df in some:
+        c = calibrate.confusion(df).select(F.lit(name).alias("policy"), "kind", "tp", "fp", "fn", "tn", "accuracy")
+        out = c if out is None else out.unionByName(c)
+    return out
+
+
+def minhash_recall(spark: SparkSession, d: str) -> DataFrame:
+    """Of the accepted links of the exact space, those whose pair the approximate candidates hold."""
+    exact = accepted(spark, d).where("accepted").select("kind", "mention", "term")
+    near = linking.minhash_candidates(store.mentions(spark, d), vocab.terms(spark, d)).select("kind", "mention", F.col("label").alias("term")).withColumn("met", F.lit(1))
+    return exact.join(near, ["kind", "mention", "term"], "left").groupBy("kind").agg(F.count("*").alias("links"), F.count("met").alias("met"), F.round(F.count("met") / F.count("*"), 6).alias("recall"))
+
+
 def _words(c):
     """Lower-cased words; other characters only part them."""
     return F.filter(F.split(F.regexp_replace(F.lower(c), r"(?U)[\W_]+", " "), " "), lambda w: w != "")
@@ -176,6 +223,8 @@ def _sets(unit: str) -> str:
     return f"len(list_intersect({a}, {b})) / (len({a}) + len({b}) - len(list_intersect({a}, {b})))"
 
 
+_DRAW = "CAST('0x' || substr(md5('7|' || kind || '|' || mention), 1, 8) AS BIGINT)"
+_GRAMS = "{n} AS (SELECT *, list_filter(string_split(regexp_replace(lower({t}), '[^\\p{{L}}\\p{{N}}\\p{{M}}]+', ' ', 'g'), ' '), lambda x: x <> '') AS w FROM {src})"
 QUERIES = {
     "sim_lev": measured(sim.lev_sim),
     "sim_jaccard_char": measured(sim.jaccard_sim),
@@ -193,6 +242,12 @@ QUERIES = {
     "link_pruned": lambda s, d: shown(linking.best(linking.scored(linking.candidates(store.mentions(s, d), vocab.terms(s, d), "length", 0.6), prune=0.6)).where("score > 0.6")),
     "link_gram_blocking": lambda s, d: linking.candidates(store.mentions(s, d), vocab.terms(s, d), "gram").groupBy("kind").agg(F.count("*").alias("pairs")),
     "link_minhash": lambda s, d: shown(linking.best(linking.scored(linking.minhash_candidates(store.mentions(s, d), vocab.terms(s, d))))),
+    "link_minhash_recall": minhash_recall,
+    "link_triples": lambda s, d: linking.link_triples(accepted(s, d)).select("s", "p", "o"),
+    "link_raw_or_linked": raw_or_linked,
+    "cal_policies": policies,
+    "cal_sample_random": lambda s, d: calibrate.sample(links(s, d), method="random").select("kind", "mention"),
+    "cal_sample_stratified": lambda s, d: calibrate.sample(links(s, d), method="stratified").select("kind", "mention"),
     "link_score_curve": lambda s, d: calibrate.score_curve(links(s, d)).select("kind", "mention", F.round("score", 6).alias("score"), F.col("pos").cast("long").alias("pos")),
     "cal_sample": lambda s, d: calibrate.sample(links(s, d)).select("kind", "mention", F.col("pos").cast("long").alias("pos")),
     "cal_votes": lambda s, d: marks(s, d).select("kind", "mention", "truth", F.round(calibrate.agreement(F.col("votes")), 6).alias("agreement")),
@@ -209,6 +264,7 @@ QUERIES = {
     "vocab_synset": lambda s, d: vocab.synset(vocab.edges(s, d)),
     "vocab_expand": lambda s, d: vocab.expand(vocab.edges(s, d), "PROMO"),
     "link_text_contains": contains,
+    "link_text_pairs": lambda s, d: text_matches(s, d).drop("sim"),
     "link_text_lcs": text_matches,
 }
 
@@ -229,6 +285,23 @@ SQL = {
     "link_exact": f"WITH {MENTIONS} SELECT DISTINCT kind, mention, mention AS term, 1.0::DOUBLE AS score FROM men WHERE mention IN (SELECT label FROM term)",
     "link_pruned": f"WITH {SCORED}, {_best()} {_SHOW} WHERE score > 0.6",
     "link_gram_blocking": f"WITH {SCORED} SELECT kind, count(*) AS pairs FROM sc WHERE len(list_intersect({_QGRAM.format(x='mention')}, {_QGRAM.format(x='label')})) > 0 GROUP BY 1",
+    "link_triples": f"WITH {ACCEPTED} SELECT 'cg:mention/' || kind || '/' || replace(replace(url_encode(mention), '%20', '+'), '%2B', '%2B') AS s, 'cg:linkedTo' AS p, 'cg:term/' || kind || '/' || replace(url_encode(term), '%20', '+') AS o FROM ac WHERE accepted",
+    "link_raw_or_linked": f"""WITH {ACCEPTED}, {_EDGES}, nm AS (SELECT DISTINCT dst AS gold, src AS mention FROM ed WHERE rel IN ('synonym', 'abbreviation'))
+      SELECT kind, CAST(sum(n) AS BIGINT) AS events, CAST(coalesce(sum(n) FILTER (WHERE mention = gold), 0) AS BIGINT) AS raw,
+        CAST(coalesce(sum(n) FILTER (WHERE mention = gold OR (gold, mention) IN (SELECT (gold, mention) FROM nm)), 0) AS BIGINT) AS expanded,
+        CAST(coalesce(sum(n) FILTER (WHERE accepted AND term = gold), 0) AS BIGINT) AS linked, CAST(coalesce(sum(n) FILTER (WHERE accepted AND term IS DISTINCT FROM gold), 0) AS BIGINT) AS wrong FROM ac GROUP BY 1""",
+    "cal_policies": f"""WITH {ACCEPTED}, mk1 AS (SELECT score, truth FROM mk),
+      one AS (SELECT g * 0.05 AS threshold, (coalesce(count(*) FILTER (WHERE truth AND score > round(g * 0.05, 6)) / nullif(count(*) FILTER (WHERE truth), 0), 0) + coalesce(count(*) FILTER (WHERE NOT truth AND score <= round(g * 0.05, 6)) / nullif(count(*) FILTER (WHERE NOT truth), 0), 0)) / 2 AS auc FROM mk1 CROSS JOIN range(21) AS r(g) GROUP BY 1 QUALIFY row_number() OVER (ORDER BY round(auc, 6) DESC, threshold) = 1),
+      x AS (SELECT 'per kind' AS policy, kind, accepted, coalesce(term = gold, FALSE) AS ok FROM ac UNION ALL SELECT 'one', kind, score > round((SELECT threshold FROM one), 6), coalesce(term = gold, FALSE) FROM ac UNION ALL SELECT 'none', kind, TRUE, coalesce(term = gold, FALSE) FROM ac)
+      SELECT policy, kind, count(*) FILTER (WHERE accepted AND ok) AS tp, count(*) FILTER (WHERE accepted AND NOT ok) AS fp, count(*) FILTER (WHERE NOT accepted AND ok) AS fn, count(*) FILTER (WHERE NOT accepted AND NOT ok) AS tn, round((count(*) FILTER (WHERE accepted = ok)) / count(*), 6) AS accuracy FROM x GROUP BY 1, 2""",
+    "cal_sample_random": f"WITH {SCORED}, {_best()} SELECT kind, mention FROM lk WHERE {_DRAW} % 1000000 < 100000",
+    "cal_sample_stratified": f"WITH {SCORED}, {_best()} SELECT kind, mention FROM lk QUALIFY row_number() OVER (PARTITION BY kind, floor(score * 10) ORDER BY {_DRAW}, mention) <= ceil(count(*) OVER (PARTITION BY kind, floor(score * 10)) * 0.1)",
+    "link_text_pairs": f"""WITH d AS (SELECT DISTINCT unnest(string_split(text, chr(10))) AS a FROM documents), {_GRAMS.format(n="dw", src="d", t="a")},
+      i AS (SELECT item_id, text AS b FROM benchmark), {_GRAMS.format(n="iw", src="i", t="b")},
+      dg AS (SELECT a, k, unnest(list_distinct(list_transform(range(1, greatest(len(w) - k + 2, 1)), lambda p: array_to_string(w[p : p + k - 1], ' ')))) AS g FROM dw CROSS JOIN (SELECT unnest([1, 2, 3]) AS k)),
+      ig AS (SELECT item_id, b, least(len(w), 3) AS k, unnest(list_distinct(list_transform(range(1, greatest(len(w) - least(len(w), 3) + 2, 1)), lambda p: array_to_string(w[p : p + least(len(w), 3) - 1], ' ')))) AS g FROM iw WHERE len(w) > 0),
+      m AS (SELECT DISTINCT a, item_id, b FROM dg JOIN ig USING (k, g))
+      SELECT md5(a) AS line_md5, CAST(length(a) AS INTEGER) AS line_chars, CAST(length(b) AS INTEGER) AS item_chars FROM m""",
     "link_score_curve": f"WITH {SCORED}, {_best()} SELECT kind, mention, round(score, 6) AS score, row_number() OVER (PARTITION BY kind ORDER BY score DESC, mention) AS pos FROM lk",
     "cal_sample": f"WITH {ACCEPTED} SELECT kind, mention, k AS pos FROM smp",
     "cal_votes": f"WITH {ACCEPTED} SELECT kind, mention, len(list_filter(votes, lambda v: v)) > 3 AS truth, round(greatest(len(list_filter(votes, lambda v: v)), 6 - len(list_filter(votes, lambda v: v))) / 6, 6) AS agreement FROM vote",

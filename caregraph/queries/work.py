@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from caregraph import store
-from caregraph.operators import baseline, clean, events, inference, linking, profile, relations, vocab, workloads
+from caregraph.operators import baseline, clean, costs, events, inference, linking, profile, relations, vocab, workloads
 from caregraph.operators.ontology import Ontology
 from caregraph.plans import mapping, pattern
 from caregraph.queries.base import ENTITIES, EVENTS, LINES, RELATIONS, sql
@@ -71,6 +71,19 @@ def rebuilt(table: str):
     return run
 
 
+def costs_compared(spark: SparkSession, d: str) -> DataFrame:
+    """What each question costs by stars over stored events, by stored triples, and by joins of the source tables. Numbers of operators are those of the plans that ran."""
+    r = baseline.Relational(spark, d)
+    ways = {
+        "W1": (workloads.W1, r.w1()),
+        "W2": (workloads.W2, r.w2()),
+        "W3": (workloads.W3, r.w3()),
+        "W3b": (workloads.W3B, r.w3(strict=True)),
+    }
+    each = {q: {"stars": wide(p)(spark, d), "triples": by_triples(p)(spark, d), "relational": rel} for q, (p, rel) in ways.items()}
+    return spark.createDataFrame(costs.compared(each), "question string, executor string, joins int, scans int, exchanges int, shuffled_bytes long, rows_read long, seconds double")
+
+
 def by_edges(p: pattern.Pattern, how: str):
     """A question with time by relation edges instead of times: stored ones, and for Before and After what they imply.
 
@@ -214,6 +227,7 @@ QUERIES = {
     "w9_region": workloads.by_region,
     "w3_temporal_edges": counted(by_edges(workloads.W3, "all")),
     "w3_temporal_closure": counted(by_edges(workloads.W3, "closure")),
+    "a11_costs": costs_compared,
     "w10_stage_counts": stage_counts,
     **{f"build_{t}": rebuilt(t) for t in ("event", "triple", "relation")},
     "w12_statistics": statistics,
