@@ -41,6 +41,24 @@ def result_quantiles(ev: DataFrame) -> DataFrame:
     return s.select(*(F.expr(f"kll_sketch_get_quantile_double(s, {q})").alias(f"q{int(q * 100)}") for q in (0.25, 0.5, 0.75)))
 
 
+def sketches(ev: DataFrame, most: float = 0.15) -> DataFrame:
+    """(kind, entities, approx_close, sketch_close): exact counts, and whether both approximations lie within ``most`` of them, three standard errors of the coarser one."""
+    exact = entities(ev)
+    a = entities(ev, approx=True).select("kind", F.col("entities").alias("a"))
+    s = entity_sketch(ev).select("kind", F.col("entities").alias("s"))
+    near = lambda c: F.abs(F.col(c) - F.col("entities")) <= F.greatest(F.col("entities") * most, F.lit(1.0))
+    return exact.join(a, "kind").join(s, "kind").select("kind", "entities", near("a").alias("approx_close"), near("s").alias("sketch_close"))
+
+
+def quantiles_close(ev: DataFrame, most: float = 0.02) -> DataFrame:
+    """(q, below, close): for each quartile, how many results lie at or below its sketched value, as a share of all, and whether that is within ``most`` of it."""
+    q = result_quantiles(ev)
+    each = q.select(F.explode(F.array(*(F.struct(F.lit(int(c[1:])).alias("q"), F.col(c).alias("v")) for c in q.columns))).alias("x")).select("x.*")
+    some = ev.where("kind = 'assay'").select("result").join(F.broadcast(each), F.lit(True))
+    got = some.groupBy("q").agg((F.count_if(F.col("result") <= F.col("v")) / F.count("result")).alias("share"), F.count("result").alias("results"))
+    return got.select("q", "results", (F.abs(F.col("share") - F.col("q") / 100) <= most).alias("close"))
+
+
 def records(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Source records by kind."""
     ev = ev_mod.extract(spark, sf_dir).groupBy(F.col("kind").alias("record")).agg(F.count("*").alias("n"))

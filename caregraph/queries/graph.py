@@ -140,6 +140,8 @@ QUERIES = {
     "op_agg_approx_distinct": lambda s, d: profile.entities(ev(s, d), approx=True),
     "op_agg_hll": lambda s, d: profile.entity_sketch(ev(s, d)),
     "op_agg_kll": lambda s, d: profile.result_quantiles(ev(s, d)),
+    "op_agg_sketches_close": lambda s, d: profile.sketches(ev(s, d)),
+    "op_agg_kll_close": lambda s, d: profile.quantiles_close(ev(s, d)),
 }
 
 _STEP = "SELECT * FROM rel WHERE step = {}"
@@ -225,6 +227,8 @@ SQL = {
     "a2_relations": sql(EVENTS, RELATIONS, body="SELECT coalesce(relation, 'total') AS relation, count(*) AS edges FROM rel GROUP BY ROLLUP (relation)"),
     "a3_events": sql(EVENTS, body=_BY_KIND),
     "a4_entities": sql(EVENTS, body="SELECT coalesce(kind, 'all') AS kind, count(DISTINCT entity_id) AS entities FROM ev WHERE entity_id IS NOT NULL GROUP BY ROLLUP (kind)"),
+    "op_agg_sketches_close": sql(EVENTS, body="SELECT coalesce(kind, 'all') AS kind, count(DISTINCT entity_id) AS entities, TRUE AS approx_close, TRUE AS sketch_close FROM ev WHERE entity_id IS NOT NULL GROUP BY ROLLUP (kind)"),
+    "op_agg_kll_close": sql(EVENTS, body="SELECT CAST(q AS INTEGER) AS q, count(result) AS results, TRUE AS close FROM ev CROSS JOIN (SELECT unnest([25, 50, 75]) AS q) WHERE kind = 'assay' GROUP BY 1"),
     "a5_records": sql(EVENTS, body="SELECT 'patient' AS record, count(*) AS n FROM customer UNION ALL SELECT kind, count(*) FROM ev GROUP BY kind"),
     "a10_per_patient": sql(
         EVENTS,

@@ -2,22 +2,26 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from caregraph import store
 from caregraph.functions import udf
 from caregraph.operators import events
 from caregraph.plans.sparql import Executor
-from caregraph.queries.base import sql
-from caregraph.queries.work import TRIPLES, triples
-from caregraph.sources import io, records
+from caregraph.queries.base import RELATIONS, sql
+from caregraph.queries.link import _LCS, ACCEPTED, marks
+from caregraph.queries.work import TRIPLES, referenced, triples
+from caregraph.sources import io, ntriples, records
 from caregraph.streaming import streams
 
 TEXTS = {
     "sparql_select_distinct": 'SELECT DISTINCT ?p WHERE { ?e a cg:DiagnosisEvent ; cg:hasActor ?p , ?d . ?d cg:label "red plate" . ?p a cg:Patient }',
     "sparql_count": 'SELECT (COUNT(DISTINCT ?p) AS ?n) WHERE { ?p a cg:Patient ; cg:category "BUILDING" . ?e cg:hasActor ?p ; a cg:SurgeryEvent }',
     "sparql_filter": "SELECT ?e ?r WHERE { ?e cg:assayResult ?r . FILTER (?r > 90000 && ?r <= 95000) }",
-    "sparql_optional": "SELECT ?e ?s WHERE { ?e a cg:SurgeryEvent . OPTIONAL { ?e cg:situation ?s } }",
+    "sparql_optional": "SELECT ?e ?r WHERE { ?e cg:hasActor cg:patient/1 . OPTIONAL { ?e cg:assayResult ?r } }",
     "sparql_union": 'SELECT ?d WHERE { { ?d cg:broaderType "PROMO" } UNION { ?d cg:broaderBrand "Brand#2" } }',
     "sparql_group_having": "SELECT ?c (COUNT(?p) AS ?n) WHERE { ?p cg:category ?c } GROUP BY ?c HAVING (COUNT(?p) > 290)",
     "sparql_order_limit": "SELECT ?e ?b WHERE { ?e a cg:SurgeryEvent ; cg:hasBegin ?b } ORDER BY DESC(?b) ?e LIMIT 10 OFFSET 5",
@@ -31,7 +35,7 @@ TEXT_SQL = {
     "sparql_select_distinct": "SELECT DISTINCT 'cg:patient/' || patient_id AS p FROM ev JOIN ent USING (entity_id) WHERE ev.kind = 'diagnosis' AND label = 'red plate'",
     "sparql_count": "SELECT count(DISTINCT patient_id) AS n FROM ev JOIN customer ON c_custkey = patient_id WHERE kind = 'surgery' AND c_mktsegment = 'BUILDING'",
     "sparql_filter": "SELECT 'cg:event/' || event_id AS e, CAST(result AS VARCHAR) AS r FROM ev WHERE result > 90000 AND result <= 95000",
-    "sparql_optional": "SELECT 'cg:event/' || event_id AS e, CAST(NULL AS VARCHAR) AS s FROM ev WHERE kind = 'surgery'",
+    "sparql_optional": "SELECT 'cg:event/' || event_id AS e, CAST(result AS VARCHAR) AS r FROM ev WHERE patient_id = 1",
     "sparql_union": "SELECT 'cg:entity/' || entity_id AS d FROM ent WHERE type = 'PROMO' UNION ALL SELECT 'cg:entity/' || entity_id FROM ent WHERE brand = 'Brand#2'",
     "sparql_group_having": "SELECT c_mktsegment AS c, count(*) AS n FROM customer GROUP BY 1 HAVING count(*) > 290",
     "sparql_order_limit": "SELECT 'cg:event/' || event_id AS e, strftime(begin_ts, '%Y-%m-%dT%H:%M:%S') AS b FROM ev WHERE kind = 'surgery' ORDER BY b DESC, e LIMIT 10 OFFSET 5",
@@ -102,12 +106,48 @@ def udaf(spark: SparkSession, d: str) -> DataFrame:
 def sql_functions(spark: SparkSession, d: str) -> DataFrame:
     udf.register(spark)
     records.table(spark, d, "part", "p_partkey", "p_name").createOrReplaceTempView("__cg_part")
-    return spark.sql("SELECT p_partkey, round(lev_sim(p_name, 'red plate'), 6) AS lev, round(jaccard_sim(p_name, 'red plate'), 6) AS jac FROM __cg_part")
+    return spark.sql("SELECT p_partkey, round(lev_sim(p_name, 'red plate'), 6) AS lev, round(jaccard_sim(p_name, 'red plate'), 6) AS jac, round(lcs_sim(p_name, 'red plate'), 6) AS lcs, round(matchability(p_name, 'red plate'), 6) AS mean FROM __cg_part")
+
+
+def marked_votes(spark: SparkSession, d: str) -> DataFrame:
+    """The other functions for SQL users, on the stored graph's views: Allen's relation of diagnoses to their stays, raw prompts, votes, and one patient's triples."""
+    udf.register(spark)
+    udf.register_graph(spark, {"event": store.events(spark, d), "triple": store.triples(spark, d), "relation": store.relations(spark, d), "dirty": records.dirty_lines(spark, d), "marked": marks(spark, d)})
+    return spark.sql("""
+        SELECT 'allen ' || allen_relation(a.begin_ts, a.end_ts, b.begin_ts, b.end_ts) AS what, count(*) AS n FROM event a JOIN event b ON a.stay_id = b.event_id WHERE a.kind = 'diagnosis' GROUP BY 1
+        UNION ALL SELECT 'prompt ' || normalize_qualitative(prompt_raw), count(*) FROM dirty GROUP BY 1
+        UNION ALL SELECT 'majority ' || vote_majority(votes), count(*) FROM marked GROUP BY 1
+        UNION ALL SELECT 'ego ' || p, count(*) FROM ego_triples('cg:patient/1') GROUP BY 1
+        UNION ALL SELECT 'relation ' || relation, count(*) FROM relation GROUP BY 1""")
+
+
+def written_triples(spark: SparkSession, d: str) -> str:
+    """A folder of N-Triples files of the reference map."""
+    path = f"{store.shared_folder(spark)}/graph-nt-{uuid.uuid4().hex}"
+    t = referenced(spark, d).select("*", F.lit("iri").alias("o_kind"), F.lit(None).cast("string").alias("datatype"), F.lit(None).cast("string").alias("lang"))
+    ntriples.write(t, path)
+    spark.dataSource.register(io.TripleSource)
+    return path
+
 
+def triple_source(spark: SparkSession, d: str) -> DataFrame:
+    """Triples through N-Triples files and the data source, in ranges of 500 bytes."""
+    return spark.read.format("cg_triples").option("path", written_triples(spark, d)).option("bytes", "500").load().select("s", "p", "o")
 
-def chain_source(spark: SparkSession, d: str) -> DataFrame:
-    spark.dataSource.register(io.ChainSource)
-    return spark.read.format("cg_chain").option("rows", "500").load().select("s", "p", "o")
+
+def triple_stream(spark: SparkSession, d: str) -> DataFrame:
+    path = written_triples(spark, d)
+    return streams.run(spark.readStream.format("cg_triples").option("path", path).load(), "cg_stream_triple_files").select("s", "p", "o")
+
+
+def round_trip(fmt: str):
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        df = records.table(spark, d, "supplier")
+        path = f"{store.shared_folder(spark)}/graph-{fmt}-{uuid.uuid4().hex}"
+        io.write(df, path, fmt, ("s_nationkey",))
+        return io.read(spark, path, fmt, df.schema).select(df.columns)
+
+    return run
 
 
 QUERIES = {
@@ -125,7 +165,10 @@ QUERIES = {
     "udtf_timeline_edges": udtf_edges,
     "udaf_auc": udaf,
     "fn_sql_similarities": sql_functions,
-    "io_chain_source": chain_source,
+    "fn_sql_graph": marked_votes,
+    "io_triple_source": triple_source,
+    "io_triple_stream": triple_stream,
+    **{f"io_round_trip_{f}": round_trip(f) for f in ("parquet", "orc", "json", "csv")},
 }
 _PATH = "e AS (SELECT n_name AS s, r_name AS o FROM nation JOIN region ON n_regionkey = r_regionkey UNION ALL SELECT r_name, 'WORLD' FROM region)"
 SQL = {
@@ -141,5 +184,18 @@ SQL = {
     "stream_annotate": "SELECT p_name AS term, count(*) AS n FROM events JOIN part ON 'drug-' || p_partkey = (CASE WHEN event_type = 'purchase' THEN 'drug-' || json_extract_string(props, '$.k') END) AND p_partkey < 100 GROUP BY 1",
     "udtf_split_cell": "WITH li AS (SELECT l_orderkey, replace(p_name, ' ', '_') AS n FROM lineitem JOIN part ON p_partkey = l_partkey WHERE l_returnflag = 'R' AND l_quantity < 50), c AS (SELECT l_orderkey, list(n ORDER BY n) AS ns FROM li GROUP BY 1) SELECT l_orderkey, unnest(range(len(ns))) AS pos, unnest(ns) AS item FROM c",
     "udtf_timeline_edges": "SELECT patient_id, src, dst FROM (SELECT conv_id AS patient_id, lag(concat_ws('-', 'T', conv_id, turn)) OVER (PARTITION BY conv_id ORDER BY turn) AS src, concat_ws('-', 'T', conv_id, turn) AS dst FROM conversations) WHERE src IS NOT NULL",
-    "fn_sql_similarities": "SELECT p_partkey, round(1 - levenshtein(p_name, 'red plate') / greatest(length(p_name), 9), 6) AS lev, round(jaccard(p_name, 'red plate'), 6) AS jac FROM part",
+    "udaf_auc": "WITH d AS (SELECT n_chars AS s, sum(quality) AS p, sum(1 - quality) AS q FROM documents JOIN labels USING (doc_id) GROUP BY 1), w AS (SELECT p, q, p * (coalesce(sum(q) OVER (ORDER BY s ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) + q / 2) AS w FROM d) SELECT round(sum(w) / (sum(p) * sum(q)), 6) AS auc FROM w",
+    "fn_sql_graph": sql(
+        *TRIPLES,
+        RELATIONS,
+        body=f"""SELECT 'allen ' || CASE WHEN a.begin_ts < b.begin_ts THEN 'before' WHEN a.begin_ts > b.end_ts THEN 'after' WHEN b.begin_ts = b.end_ts THEN 'equal' WHEN a.begin_ts = b.begin_ts THEN 'starts' WHEN a.begin_ts = b.end_ts THEN 'finishes' ELSE 'during' END AS what, count(*) AS n
+          FROM ev a JOIN ev b ON a.stay_id = b.event_id WHERE a.kind = 'diagnosis' GROUP BY 1
+        UNION ALL SELECT 'prompt ' || CASE WHEN l_linestatus = 'F' THEN 'negative' ELSE 'positive' END, count(*) FROM lineitem GROUP BY 1
+        UNION ALL SELECT 'majority ' || v, n FROM (WITH {ACCEPTED} SELECT len(list_filter(votes, lambda v: v)) > 3 AS v, count(*) AS n FROM vote GROUP BY 1)
+        UNION ALL SELECT 'ego ' || p, count(*) FROM tr WHERE s = 'cg:patient/1' OR o = 'cg:patient/1' GROUP BY p
+        UNION ALL SELECT 'relation ' || relation, count(*) FROM rel GROUP BY 1""",
+    ),
+    **{k: "SELECT 'cg:nation/' || n_nationkey AS s, 'cg:within' AS p, 'cg:region/' || replace(r_name, ' ', '%20') AS o FROM nation JOIN region ON n_regionkey = r_regionkey" for k in ("io_triple_source", "io_triple_stream")},
+    **{f"io_round_trip_{f}": "SELECT * FROM supplier" for f in ("parquet", "orc", "json", "csv")},
+    "fn_sql_similarities": "SELECT p_partkey, round(1 - levenshtein(p_name, 'red plate') / greatest(length(p_name), 9), 6) AS lev, round(jaccard(p_name, 'red plate'), 6) AS jac, round(lcs, 6) AS lcs, round((1 - levenshtein(p_name, 'red plate') / greatest(length(p_name), 9) + jaccard(p_name, 'red plate') + lcs) / 3, 6) AS mean FROM (SELECT *, " + _LCS.replace("mention", "p_name").replace("label", "'red plate'") + " / greatest(length(p_name), 9) AS lcs FROM part)",
 }

@@ -10,7 +10,7 @@ from caregraph.operators import baseline, clean, costs, events, inference, linki
 from caregraph.operators.ontology import Ontology
 from caregraph.plans import mapping, pattern
 from caregraph.queries.base import ENTITIES, EVENTS, LINES, RELATIONS, sql
-from caregraph.queries.link import ACCEPTED, accepted
+from caregraph.queries.link import ACCEPTED, MENTIONS, accepted
 from caregraph.sources import ntriples, records
 
 TRIPLE = ("s", "p", "o", "o_kind", "datatype", "lang")
@@ -162,6 +162,15 @@ def violations(spark: SparkSession, d: str) -> DataFrame:
     return Ontology().validate(spark, triples(spark, d)).agg(F.count("*").alias("violations"))
 
 
+def planted_violations(spark: SparkSession, d: str) -> DataFrame:
+    """Triples whose ends are turned round for every fifth patient, and begins that are nodes for every seventh order: each must be found, and nothing else."""
+    t = triples(spark, d)
+    actor = t.where("p = 'cg:hasActor' and o like 'cg:patient/%'").where("cast(substring(o, 12) as bigint) % 5 = 0").select("o", "p", "s").toDF("s", "p", "o").withColumn("o_kind", F.lit("iri"))
+    begin = t.where("p = 'cg:hasBegin' and s like 'cg:event/O-%'").where("cast(substring(s, 12) as bigint) % 7 = 0").select("s", "p", "o", F.lit("iri").alias("o_kind"))
+    own = t.select("s", "p", "o", "o_kind")
+    return Ontology().validate(spark, own.unionByName(actor).unionByName(begin)).groupBy("p", "fault").agg(F.countDistinct("s", "o").alias("n"))
+
+
 def qualitative(spark: SparkSession, d: str) -> DataFrame:
     df = records.dirty_lines(spark, d)
     return df.groupBy("prompt_raw", clean.normalize_qualitative(F.col("prompt_raw")).alias("prompt"), "l_linestatus").agg(F.count("*").alias("n"))
@@ -241,6 +250,7 @@ QUERIES = {
     "ego_triples_one_event": ego,
     "ont_superclasses": lambda s, d: Ontology().superclasses(s),
     "violations_domain_range": violations,
+    "violations_domain_range_planted": planted_violations,
     "clean_missing": missing,
     "clean_qualitative": qualitative,
     "clean_units": units,
@@ -359,6 +369,9 @@ SQL = {
     "ego_triples_one_event": sql(*TRIPLES, body="SELECT s, p, o, o_kind, datatype, lang FROM tr WHERE s = 'cg:event/O-1' OR o = 'cg:event/O-1'"),
     "violations_domain_range": "SELECT CAST(0 AS BIGINT) AS violations",
     "ont_superclasses": "WITH RECURSIVE c(cls, parent) AS (VALUES ('Actor', 'Thing'), ('Object', 'Actor'), ('Event', 'Thing'), ('Patient', 'Actor'), ('Disease', 'Object'), ('Drug', 'Object'), ('Assay', 'Object'), ('Surgery', 'Object'), ('StayEvent', 'Event'), ('DiagnosisEvent', 'Event'), ('DrugEvent', 'Event'), ('AssayEvent', 'Event'), ('SurgeryEvent', 'Event')), up AS (SELECT cls, parent AS super, 1 AS steps FROM c UNION ALL SELECT up.cls, c.parent, steps + 1 FROM up JOIN c ON c.cls = up.super) SELECT * FROM up",
+    "violations_domain_range_planted": sql(EVENTS, body="SELECT 'cg:hasActor' AS p, fault, count(*) AS n FROM ev CROSS JOIN (SELECT unnest(['domain', 'range']) AS fault) WHERE patient_id % 5 = 0 GROUP BY 2 UNION ALL SELECT 'cg:hasBegin', 'range', count(*) FROM orders WHERE o_orderkey % 7 = 0"),
+    "clean_spelling_clusters": f"""WITH {MENTIONS}, f AS (SELECT mention, array_to_string(list_sort(list_distinct(list_filter(regexp_split_to_array(regexp_replace(lower(mention), '[^a-z0-9 ]', '', 'g'), ' +'), lambda w: w <> ''))), ' ') AS key FROM men),
+      g AS (SELECT key, mention AS v, count(*) AS n FROM f GROUP BY 1, 2) SELECT key, arg_min(v, (-n, v)) AS canonical, count(*) AS spellings, CAST(sum(n) AS BIGINT) AS n FROM g GROUP BY 1""",
     "clean_missing": "SELECT CASE WHEN l_orderkey % 50 > 3 THEN CAST(l_quantity AS INTEGER) END AS quantity, count(*) AS n FROM lineitem GROUP BY 1",
     "clean_qualitative": f"WITH {_DIRTY} SELECT prompt_raw, w AS prompt, l_linestatus, count(*) AS n FROM dd GROUP BY ALL",
     "clean_units": f"WITH {_DIRTY} SELECT unit_raw, 'g/L' AS unit_std, TRUE AS unit_known, count(*) AS n, round(sum(l_extendedprice * 10), 2) AS total FROM dd GROUP BY unit_raw",

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -43,9 +45,33 @@ def lines(t: DataFrame) -> DataFrame:
     return t.select(F.concat(node(F.col("s")), F.lit(" "), node(F.col("p")), F.lit(" "), obj, F.lit(" .")).alias("value"))
 
 
+LINE = r'^(<[^>]*>|_:\S+) <([^>]*)> (?:(<[^>]*>|_:\S+)|"(.*)"(?:@([\w-]+)|\^\^<([^>]*)>)?) \.$'
+
+
+def parse_line(line: str) -> tuple | None:
+    """``parse`` of one line, for readers outside the JVM."""
+    m = re.match(LINE, line)
+    if not m:
+        return None
+
+    def short(x: str) -> str:
+        return next((k + ":" + x[len(v) :] for k, v in PREFIXES.items() if x.startswith(v)), x)
+
+    def node(x: str) -> str:
+        return short(x[1:-1]) if x.startswith("<") else x
+
+    s, p, ref, literal, lang, kind = m.groups()
+    if ref is None:
+        plain = {"n": "\n", "r": "\r", "t": "\t"}
+        o = re.sub(r"\\(.)", lambda x: plain.get(x[1], x[1]), literal)
+    else:
+        o = node(ref)
+    return node(s), short(p), o, "literal" if ref is None else "bnode" if ref.startswith("_:") else "iri", short(kind) if kind else None, lang
+
+
 def parse(text: DataFrame) -> DataFrame:
     """TRIPLE rows of lines (value); lines that aren't triples are left out."""
-    pattern = r'^(<[^>]*>|_:\S+) <([^>]*)> (?:(<[^>]*>|_:\S+)|"(.*)"(?:@([\w-]+)|\^\^<([^>]*)>)?) \.$'
+    pattern = LINE
     g = lambda k: F.regexp_extract("value", pattern, k)
     node = lambda c: _shrink(F.when(F.startswith(c, F.lit("<")), F.substring(c, F.lit(2), F.length(c) - 2)).otherwise(c))
     some = lambda c: F.when(c != "", c)

@@ -5,6 +5,7 @@ Times are cast to TIMESTAMP (in a UTC session) because watermarks need it.
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 from typing import Any
 
@@ -14,6 +15,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from caregraph.operators.events import click_events
+from caregraph.store import shared_folder
 
 EDGE_ROW = "patient_id long, src string, dst string, op int"
 
@@ -56,14 +58,19 @@ def dedup(stream: DataFrame, delay: str = "1 day") -> DataFrame:
     return with_watermark(stream, delay=delay).dropDuplicatesWithinWatermark(["event_id"])
 
 
-def relations(stream: DataFrame) -> DataFrame:
+def relations(stream: DataFrame, delay: str | None = None) -> DataFrame:
     """(patient_id, src, dst, op): changes of the Before chain of point events, op 1 adds and -1 retracts.
 
     A patient's state is its timeline. An event that arrives late splits an edge:
     the edge between its neighbours is retracted, two are added. Net of
     retractions the edges are those of a batch, whatever the order of arrival.
+    With ``delay``, events later than that are dropped (see ``late_rows``), and of what lies
+    before the watermark only the last group stays in the state: no later event can part earlier ones. A timer trims patients who send nothing more.
     """
-    points = stream.where("event_type <> 'purchase'").select(F.col("user_id").alias("patient_id"), F.concat(F.lit("E-"), "event_id").alias("id"), F.unix_micros(F.col("ts").cast("timestamp")).alias("t"))
+    points = stream.where("event_type <> 'purchase'").select(F.col("user_id").alias("patient_id"), F.concat(F.lit("E-"), "event_id").alias("id"), F.col("ts").cast("timestamp").alias("ts"))
+    if delay:
+        points = points.withWatermark("ts", delay)
+    points = points.withColumn("t", F.unix_micros("ts"))
 
     def step(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         times, ids = (list(x) for x in state.get) if state.exists else ([], [])
@@ -77,11 +84,19 @@ def relations(stream: DataFrame) -> DataFrame:
                 if i not in held:
                     held.append(i)
         now = _edges(groups)
+        if delay:
+            past = sorted(t for t in groups if t < state.getCurrentWatermarkMs() * 1000)
+            for t in past[:-1]:
+                del groups[t]
         state.update(([t for t, g in groups.items() for _ in g], [i for g in groups.values() for i in g]))
+        if delay and len(groups) > 1:
+            # When the watermark has passed the last group, the state is trimmed to it.
+            state.setTimeoutTimestamp(max(max(groups) // 1000, state.getCurrentWatermarkMs()) + 1)
         rows = [(key[0], a, b, 1) for a, b in sorted(now - was)] + [(key[0], a, b, -1) for a, b in sorted(was - now)]
         yield pd.DataFrame(rows, columns=["patient_id", "src", "dst", "op"])
 
-    return points.groupBy("patient_id").applyInPandasWithState(step, EDGE_ROW, "times array<long>, ids array<string>", "append", GroupStateTimeout.NoTimeout)
+    timeout = GroupStateTimeout.EventTimeTimeout if delay else GroupStateTimeout.NoTimeout
+    return points.groupBy("patient_id").applyInPandasWithState(step, EDGE_ROW, "times array<long>, ids array<string>", "append", timeout)
 
 
 def _edges(groups: dict[int, list[str]]) -> set[tuple[str, str]]:
@@ -89,11 +104,16 @@ def _edges(groups: dict[int, list[str]]) -> set[tuple[str, str]]:
     return {(a, b) for s, t in zip(order, order[1:], strict=False) for a in groups[s] for b in groups[t]}
 
 
-def during(points: DataFrame, periods: DataFrame, delay: str = "1 day", longest: str = "60 days") -> DataFrame:
-    """Views inside purchase periods of one user: a stream-stream join with time bounds."""
+def during(points: DataFrame, periods: DataFrame, delay: str = "1 day", piece: str = "60 days") -> DataFrame:
+    """Views inside purchase periods of one user: a stream-stream join with time bounds.
+
+    Bounds let the state expire. Periods of any length are cut into pieces of at
+    most ``piece``, each with its own time, so that no view is out of bounds.
+    """
     a = with_watermark(points.where("event_type = 'view'"), delay=delay).select("user_id", F.col("event_id").alias("src"), "ts")
-    b = click_events(periods.where("event_type = 'purchase'")).select(F.col("patient_id").alias("b_user"), F.col("event_id").alias("dst"), F.col("begin_ts").cast("timestamp").alias("b_ts"), F.col("end_ts").cast("timestamp").alias("e_ts")).withWatermark("b_ts", delay)
-    inside = F.expr(f"user_id = b_user AND ts >= b_ts AND ts <= b_ts + INTERVAL {longest} AND ts <= e_ts")
+    e = click_events(periods.where("event_type = 'purchase'")).select(F.col("patient_id").alias("b_user"), F.col("event_id").alias("dst"), F.col("begin_ts").cast("timestamp").alias("b_ts"), F.col("end_ts").cast("timestamp").alias("e_ts"))
+    b = e.withColumn("p_ts", F.explode(F.expr(f"sequence(b_ts, e_ts, INTERVAL {piece})"))).withWatermark("p_ts", delay)
+    inside = F.expr(f"user_id = b_user AND ts >= p_ts AND ts < p_ts + INTERVAL {piece} AND ts <= e_ts")
     return a.join(b, inside).select("user_id", F.concat(F.lit("E-"), "src").alias("src"), "dst")
 
 
@@ -112,7 +132,24 @@ def upsert(path: str) -> Any:
 
 
 def run(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Runs a stream over what is there into a memory table, and returns the table."""
-    q = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
+    """Runs a stream over what is there into Parquet files below the shared folder, and returns their rows: of mode complete those of the last batch, else of all."""
+    spark = stream.sparkSession
+    path = f"{shared_folder(spark)}/graph-stream-{name}-{uuid.uuid4().hex}"
+    q = stream.writeStream.queryName(name).outputMode(mode).foreachBatch(upsert(path)).option("checkpointLocation", path + "-state").trigger(availableNow=True).start()
     q.awaitTermination()
-    return stream.sparkSession.table(name)
+    LATE[name] = late_rows(q)
+    done = {p["batchId"] for p in q.recentProgress}
+    if not done:
+        return spark.createDataFrame([], stream.schema)
+    if mode == "complete":
+        return spark.read.parquet(f"{path}/epoch={max(done)}")
+    return spark.read.parquet(path).drop("epoch").select(stream.columns)
+
+
+LATE: dict[str, int] = {}
+"""Rows that the last run of a stream by ``run`` dropped as too late."""
+
+
+def late_rows(query: Any) -> int:
+    """Rows that came after the watermark had passed them, over a query's recent batches."""
+    return sum(s["numRowsDroppedByWatermark"] for p in query.recentProgress for s in p["stateOperators"])
