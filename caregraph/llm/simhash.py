@@ -162,22 +162,47 @@ def _neighbours(post: DataFrame) -> DataFrame:
     return met.select("node", "sig", F.array("o1", "o2").alias("o")).unionByName(again)
 
 
-def linked(nodes: DataFrame, near: Callable[[Column, Column], Column], whole: DataFrame | None = None, close: Callable[[Column, Column], Column] | None = None, verify: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
+def linked(nodes: DataFrame, near: Callable[[Column, Column], Column], whole: DataFrame | None = None, close: Callable[[Column, Column], Column] | None = None, apart: Callable[[Column, Column], Column] | None = None, verify: Callable[[DataFrame], DataFrame] | None = None, sure: int = 0) -> DataFrame:
     """(node, root) of all nodes with a link, from ``nodes`` (node, sig, keys).
 
     ``keys``: the array of a node's index keys. ``near`` judges two ``sig``
     inside the joins; where it only sifts, ``close`` judges two ``fp`` of
-    ``whole`` (node, fp), and ``verify`` keeps those of pairs (a, b) that hold.
+    ``whole`` (node, fp), and ``verify`` keeps those of pairs (a, b) that hold; pairs that are at most ``sure`` ``apart`` need it not.
     Then groups of near copies of one text, which link to it but not to each
     other, are likely: a second round of links goes to each key's node with most links so far.
+    These first links need not be all: of pairs that aren't sure, each node's nearest is verified. What they leave
+    apart, the last step looks at: there, too, the nearest pairs come first, and of the others only those are verified that still join two components.
     """
 
-    def verified(pairs: DataFrame) -> DataFrame:
+    def nearest(pairs: DataFrame) -> DataFrame:
+        """Of (a, b, apart), each node's pair with the least apart."""
+        ends = pairs.select("a", "b", "apart", F.explode(F.array("a", "b")).alias("n"))
+        return ends.groupBy("n").agg(F.min(F.struct("apart", "a", "b")).alias("m")).select("m.a", "m.b").distinct()
+
+    def verified(pairs: DataFrame, all_: bool = False) -> DataFrame:
         pairs = pairs.distinct()
         if whole is None:
             return pairs
-        fa, fb = (whole.select(F.col("node").alias(k), F.col("fp").alias("f" + k)) for k in "ab")
-        return verify(pairs.join(fa, "a").join(fb, "b").where(close(F.col("fa"), F.col("fb"))))
+        if "apart" not in pairs.columns:
+            fa, fb = (whole.select(F.col("node").alias(k), F.col("fp").alias("f" + k)) for k in "ab")
+            pairs = pairs.join(fa, "a").join(fb, "b").where(close(F.col("fa"), F.col("fb"))).select("a", "b", apart(F.col("fa"), F.col("fb")).alias("apart"))
+        pairs = saved(pairs)
+        held, rest = pairs.where(F.col("apart") <= sure).select("a", "b"), pairs.where(F.col("apart") > sure)
+        if not all_:
+            return held.unionByName(verify(nearest(rest)))
+
+        def joining(edges: DataFrame, open_: DataFrame) -> DataFrame:
+            """Pairs whose ends the edges found so far leave in different components."""
+            comp = components(star.unionByName(edges))
+            for k in "ab":
+                open_ = open_.join(comp.select(F.col("node").alias(k), F.col("root").alias("c" + k)), k, "left").withColumn("c" + k, F.coalesce("c" + k, k))
+            return saved(open_.where("ca <> cb").select("a", "b", "apart"))
+
+        rest = joining(held, rest)
+        first = nearest(rest)
+        held = saved(held.unionByName(verify(first)))
+        rest = joining(held, rest.join(first, ["a", "b"], "left_anti"))
+        return held.unionByName(verify(rest.select("a", "b")))
 
     post = nodes.select(F.explode("keys").alias("key"), "node", "sig")
     by = _neighbours(post).select("node", "sig", F.explode("o").alias("o"))
@@ -207,8 +232,11 @@ def linked(nodes: DataFrame, near: Callable[[Column, Column], Column], whole: Da
     left = some.where("comp <> main").select("key", F.col("node").alias("a"), F.col("sig").alias("s"), F.col("comp").alias("ca"))
     right = some.select("key", F.col("node").alias("b"), F.col("sig").alias("t"), F.col("comp").alias("cb"))
     pairs = left.join(right, "key").where((F.col("ca") != F.col("cb")) & judge(F.col("s"), F.col("t")))
-    rest = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    return components(star.unionByName(rest if verify is None else saved(verified(rest))))
+    ends = [F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")]
+    if whole is None:
+        return components(star.unionByName(pairs.select(*ends).distinct()))
+    rest = pairs.select(*ends, apart(F.col("s.fp"), F.col("t.fp")).alias("apart"))
+    return components(star.unionByName(saved(verified(rest, all_=True))))
 
 
 def near_components(docs: DataFrame, size: int = 4, apart: int = BITS_APART) -> DataFrame:
@@ -278,20 +306,18 @@ def similar_groups(docs: DataFrame, size: int = 5, similarity: float = 0.8) -> D
         return pd.Series([jaccard(x, y, size) >= similarity for x, y in zip(a, b, strict=True)], dtype=bool)
 
     def verify(pairs: DataFrame) -> DataFrame:
-        """Of (a, b, fa, fb), the (a, b) that are sure or whose texts are similar; only texts of the others are fetched, one for each node."""
-        pairs = saved(pairs.select("a", "b", (apart(F.col("fa"), F.col("fb")) <= sure).alias("sure")))
-        open_ = pairs.where("not sure").select("a", "b")
-        ends = open_.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(nodes.select("node", "text_hash"), "node")
-        ends = saved(ends)
+        """Of (a, b), those whose texts are similar; only their texts are fetched, one for each node."""
+        pairs = saved(pairs)
+        ends = saved(pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct().join(nodes.select("node", "text_hash"), "node"))
         texts = docs.where(maybe_in(ends.select("text_hash"), F.col("text_hash"))).groupBy("text_hash", "text").agg(F.lit(1).alias("one"))
         held = saved(ends.join(texts, "text_hash").select("node", "text"))
         ta, tb = (held.select(F.col("node").alias(k), F.col("text").alias("t" + k)) for k in "ab")
-        return pairs.where("sure").select("a", "b").unionByName(open_.join(ta, "a").join(tb, "b").where(alike("ta", "tb")).select("a", "b"))
+        return pairs.join(ta, "a").join(tb, "b").where(alike("ta", "tb")).select("a", "b")
 
     # The first lane alone rules out most chance meetings: 64 bits, allowed four standard deviations past the mean.
     loose = int(64 * share + 4 * math.sqrt(64 * share * (1 - share)))
     index = nodes.select("node", F.element_at("fp", 1).alias("sig"), "keys")
-    roots = linked(index, lambda a, b: F.bit_count(a.bitwiseXOR(b)) <= loose, nodes.select("node", "fp"), close, verify)
+    roots = linked(index, lambda a, b: F.bit_count(a.bitwiseXOR(b)) <= loose, nodes.select("node", "fp"), close, apart, verify, sure)
     return rows.select("doc_id", "text_hash", "node").join(roots, "node", "left").select("doc_id", "text_hash", F.coalesce("root", "node").alias("component"))
 
 
