@@ -18,6 +18,7 @@ from __future__ import annotations
 
 import math
 import re
+import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -255,13 +256,25 @@ def _blocks(items: DataFrame, words: int) -> Iterator[list[tuple[int, str]]]:
         yield block
 
 
+_PREPARED: dict[tuple[str, float], Items] = {}
+
+
+def _prepared(name: str, block: list[tuple[int, str]], score: float) -> Items:
+    """A block's items, prepared once in each worker process and kept until it gets another block."""
+    if (name, score) not in _PREPARED:
+        _PREPARED.clear()
+        _PREPARED[name, score] = Items([t for _, t in block], score)
+    return _PREPARED[name, score]
+
+
 def _scan(docs: DataFrame, block: list[tuple[int, str]], score: float) -> DataFrame:
     """(doc_id, item_id, score, n_seeds, passage_words, aligned) of the passages that reach ``score`` for an item of the block."""
-    shared = docs.sparkSession.sparkContext.broadcast(block)
+    shared = docs.sparkSession.sparkContext.broadcast((uuid.uuid4().hex, block))
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        names = [i for i, _ in shared.value]
-        items = Items([t for _, t in shared.value], score)
+        name, held_block = shared.value
+        names = [i for i, _ in held_block]
+        items = _prepared(name, held_block, score)
         memo: dict[tuple[int, str], tuple[int, int, str]] = {}
 
         def found(k: int, has: list[str]) -> tuple[int, int, str]:
