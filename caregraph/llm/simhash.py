@@ -29,6 +29,8 @@ from caregraph.llm.common import components, maybe_in, saved
 
 SEED = 42
 BITS_APART = 4
+MANY = 1 << 29
+"""From so many documents on, keys of three bytes would meet by chance too often, and 70 keys of four bytes take the place of 20."""
 LANES = 12
 """64-bit lanes of a wide fingerprint."""
 CROWD = 100_000
@@ -37,15 +39,16 @@ KEYS = 2 * LANES
 """Index keys of a wide fingerprint: as many as its min-wise hashes."""
 
 
-def position_groups(positions: int, shared: int) -> list[tuple[int, ...]]:
-    """Triples of positions such that any ``shared`` of them hold a whole triple.
+def position_groups(positions: int, shared: int, size: int = 3) -> list[tuple[int, ...]]:
+    """Groups of ``size`` positions such that any ``shared`` of them hold a whole group.
 
     For four shared positions the triples of the known optimal design: three
     classes in a ring; all triples inside a class, and those with two positions
     in a class and one in the next. More shared positions need no more triples.
+    Larger groups are all there are of that size.
     """
-    if shared < 4:
-        return list(combinations(range(positions), max(shared, 1)))
+    if shared < 4 or size > 3:
+        return list(combinations(range(positions), max(min(shared, size), 1)))
     of = [p % 3 for p in range(positions)]
     held = []
     for t in combinations(range(positions), 3):
@@ -251,8 +254,8 @@ def near_components(docs: DataFrame, size: int = 4, apart: int = BITS_APART) ->
     if not 0 <= apart <= 4:
         raise ValueError("the index guarantees pairs of up to 4 differing bits")
     rows = saved(docs.select("doc_id", fingerprints(docs, size).alias("fp")))
-    groups = position_groups(8, 8 - apart)
-    keys = F.array(*(sum((byte_of(F.col("sig"), p) * F.lit(256**k) for k, p in enumerate(g)), F.lit(i * 256**3)) for i, g in enumerate(groups)))
+    groups = position_groups(8, 8 - apart, 3 if rows.count() <= MANY else 4)
+    keys = F.array(*(sum((byte_of(F.col("sig"), p) * F.lit(256**k) for k, p in enumerate(g)), F.lit(i * 256**4)) for i, g in enumerate(groups)))
 
     def near(a: Column, b: Column) -> Column:
         return (equal_bytes(a, b) >= 8 - apart) & (F.bit_count(a.bitwiseXOR(b)) <= apart)
