@@ -40,18 +40,19 @@ def work_dir(spark: SparkSession) -> str:
 def saved(df: DataFrame) -> DataFrame:
     """``df`` written once and read back: cuts lineage, survives lost executors."""
     spark = df.sparkSession
-    path = f"{work_dir(spark)}/caregraph-{uuid.uuid4().hex}"
+    path = f"{_own(spark)}/{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def _own(spark: SparkSession) -> str:
+    return f"{work_dir(spark)}/caregraph-{spark.sparkContext.applicationId}"
+
+
 def forget(spark: SparkSession) -> None:
-    """Deletes what ``saved`` has written; results that still read it end."""
-    jvm = spark.sparkContext._jvm
-    top = jvm.org.apache.hadoop.fs.Path(work_dir(spark))
-    fs = top.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
-    for status in fs.globStatus(jvm.org.apache.hadoop.fs.Path(top, "caregraph-*")) or []:
-        fs.delete(status.getPath(), True)
+    """Deletes what ``saved`` has written in this session; results that still read it end."""
+    top = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(_own(spark))
+    top.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(top, True)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

@@ -18,7 +18,7 @@ STAGES = [
     ("benchmark_decontamination", decontaminate.stage),
     ("temperature_mixing", mixing.stage),
 ]
-#: Rules fitted by boosting, edit joins, components and alignments have no SQL form; tests/llm holds each stage against a brute-force version.
+#: Rules fitted by boosting, edit joins, components and alignments have no SQL form; tests/llm/test_pipeline.py and test_text_operators.py hold the stages against brute force.
 ORACLE_SQL = None
 
 

@@ -559,7 +559,9 @@ def test_near_stage_judges_texts_not_ids(spark, sf):
 
 def test_crowded_index_keys(spark, monkeypatch, table):
     want = {(r["doc_id"], r["component_id"]) for r in simhash.near_components(table).collect()}
+    assert all(any(set(t) <= set(c) for t in simhash.position_groups(8, 4, 4)) for c in combinations(range(8), 4))
     monkeypatch.setattr(simhash, "CROWD", 4)
+    monkeypatch.setattr(simhash, "MANY", 10)
     assert {(r["doc_id"], r["component_id"]) for r in simhash.near_components(table).collect()} == want
 
 
