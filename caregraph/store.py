@@ -27,10 +27,10 @@ _TMP: list[tempfile.TemporaryDirectory] = []
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """``spark.checkpoint.dir``. Only a session that runs in one process may go without; it gets a folder of its own that ends with it."""
+    """The session's own folder below ``spark.checkpoint.dir``. Only a session that runs in one process may go without; it gets a folder that ends with it."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
-        return named.rstrip("/")
+        return f"{named.rstrip('/')}/graph-{spark.sparkContext.applicationId}"
     if not spark.sparkContext.master.startswith("local") or spark.sparkContext.master.startswith("local-cluster"):
         raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
     if not _TMP:
@@ -74,16 +74,13 @@ def stored(spark: SparkSession, sf_dir: str, name: str, make: Callable[[], DataF
 
 
 def forget(spark: SparkSession) -> None:
-    """Drops all stored tables of the session."""
-    jvm = spark.sparkContext._jvm
+    """Drops all that this session has written below the shared folder: stored tables, rounds of inference, results of streams."""
     for key in [k for k in _HELD if k[0] == spark.sparkContext.applicationId]:
-        stamp, at = _HELD.pop(key)
+        _, at = _HELD.pop(key)
         if at.startswith("table:"):
-            tag = at.rpartition("_")[2]
             spark.sql(f"DROP TABLE IF EXISTS {at[6:]}")
-            at = f"{shared_folder(spark)}/graph-{tag}-{key[2]}"
-        p = jvm.org.apache.hadoop.fs.Path(at)
-        p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+    p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(shared_folder(spark))
+    p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
 
 
 # The tables of the commerce profile

@@ -187,3 +187,9 @@ def test_long_periods_keep_their_views(spark, sf):
     path = f"{sf}/events.parquet"
     a, b = ({tuple(r) for r in streams.run(streams.during(streams.source(spark, path), streams.source(spark, path), piece=p), "cg_pieces").collect()} for p in ("60 days", "6 hours"))
     assert a == b and a
+
+
+def test_forgotten_tables_are_made_again(spark, sf):
+    n = store.events(spark, sf).count()
+    store.forget(spark)
+    assert store.events(spark, sf).count() == n
