@@ -201,11 +201,12 @@ def linked(nodes: DataFrame, near: Callable[[Column, Column], Column], whole: Da
                 open_ = open_.join(comp.select(F.col("node").alias(k), F.col("root").alias("c" + k)), k, "left").withColumn("c" + k, F.coalesce("c" + k, k))
             return saved(open_.where("ca <> cb").select("a", "b", "apart"))
 
-        rest = joining(held, rest)
+        if rest.isEmpty():
+            return held
         first = nearest(rest)
         held = saved(held.unionByName(verify(first)))
         rest = joining(held, rest.join(first, ["a", "b"], "left_anti"))
-        return held.unionByName(verify(rest.select("a", "b")))
+        return held if rest.isEmpty() else held.unionByName(verify(rest.select("a", "b")))
 
     post = nodes.select(F.explode("keys").alias("key"), "node", "sig")
     by = _neighbours(post).select("node", "sig", F.explode("o").alias("o"))
