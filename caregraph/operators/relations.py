@@ -18,6 +18,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from caregraph.operators.timeline import relation_of
+from caregraph.store import saved
 
 CORE = ("patient_id", "event_id", "begin_ts", "end_ts", "time_kind")
 CHUNK = 256
@@ -207,6 +208,13 @@ def redundancy(ev: DataFrame) -> DataFrame:
 
 def assert_same_patient(rel: DataFrame, ev: DataFrame) -> DataFrame:
     """Edges whose ends aren't both events of the edge's patient; must be empty."""
-    own = ev.select(F.col("patient_id").alias("p"), F.col("event_id").alias("e"))
-    ends = rel.select("patient_id", "src", "dst", F.explode(F.array("src", "dst")).alias("e"))
-    return ends.join(own, (ends["e"] == own["e"]) & (ends["patient_id"] == own["p"]), "left_anti").select("patient_id", "src", "dst").distinct()
+    # Different ends first: each event is an end of many edges. Edges are looked up again only for ends that aren't events.
+    own = ev.where("patient_id is not null and event_id is not null").select("patient_id", F.col("event_id").alias("e"), F.lit(0).alias("unknown"))
+    ends = rel.select("patient_id", F.explode(F.array("src", "dst")).alias("e"), F.lit(1).alias("unknown"))
+    bad = ends.unionByName(own).groupBy("patient_id", "e").agg(F.min("unknown").alias("unknown")).where("unknown = 1").select(F.col("patient_id").alias("p"), "e")
+    bad = saved(bad)
+    if bad.isEmpty():
+        return rel.select("patient_id", "src", "dst").limit(0)
+    edges = rel.select("patient_id", "src", "dst")
+    held = [edges.join(bad, edges["patient_id"].eqNullSafe(bad["p"]) & edges[end].eqNullSafe(bad["e"]), "left_semi") for end in ("src", "dst")]
+    return held[0].unionByName(held[1]).distinct()

@@ -1,7 +1,7 @@
 """The stored graph: EVENT, ENTITY, TRIPLE, RELATION, LINK, made once from the source tables and read by all questions.
 
-EVENT is bucketed by patient, so joins and windows on the patient need no
-shuffle; TRIPLE is partitioned by predicate and RELATION by relation, so a
+EVENT and RELATION are bucketed by patient, so joins and windows on the patient need no
+shuffle, and RELATION is made of EVENT without one; TRIPLE is partitioned by predicate and RELATION by relation, so a
 pattern reads only what it names. Tables lie in the shared folder that the
 session names in ``spark.checkpoint.dir``. They belong to one session and one
 state of the source files: when a source's size or time of change differs, a
@@ -14,14 +14,16 @@ import atexit
 import hashlib
 import math
 import tempfile
-from collections.abc import Callable
+import uuid
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 SOURCES = ("region", "nation", "customer", "part", "orders", "lineitem")
-BUCKET_BYTES = 64 << 20
-"""Source bytes that one bucket of EVENT stands for."""
+BUCKET_BYTES = 8 << 20
+"""Source bytes that one bucket of EVENT or RELATION stands for. A task makes the relations of one bucket, some ten times as large."""
 _HELD: dict[tuple[str, str, str], tuple[str, str]] = {}
 _TMP: list[tempfile.TemporaryDirectory] = []
 
@@ -52,8 +54,28 @@ def _stamp(spark: SparkSession, sf_dir: str) -> tuple[str, int]:
     return repr(found), sum(size for _, size, _ in found)
 
 
-def stored(spark: SparkSession, sf_dir: str, name: str, make: Callable[[], DataFrame], by: str | None = None, bucket: str | None = None) -> DataFrame:
-    """The table ``name`` of the graph of ``sf_dir``, made and written at first use. ``by``: partition column; ``bucket``: bucket column."""
+@contextmanager
+def dealt_by_patient(spark: SparkSession) -> Iterator[None]:
+    """Plans of joins on the patient and more columns leave rows that are dealt by patient where they are."""
+    name = "spark.sql.requireAllClusterKeysForCoPartition"
+    was = spark.conf.get(name, None)
+    spark.conf.set(name, "false")
+    try:
+        yield
+    finally:
+        spark.conf.set(name, was) if was is not None else spark.conf.unset(name)
+
+
+def saved(df: DataFrame) -> DataFrame:
+    """``df`` written to the shared folder once and read back; joins on a patient and more stay where the patient's rows are."""
+    path = f"{shared_folder(df.sparkSession)}/graph-round-{uuid.uuid4().hex}"
+    with dealt_by_patient(df.sparkSession):
+        df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def stored(spark: SparkSession, sf_dir: str, name: str, make: Callable[[], DataFrame], by: str | None = None, bucket: str | None = None, dealt: bool = False) -> DataFrame:
+    """The table ``name`` of the graph of ``sf_dir``, made and written at first use. ``by``: partition column; ``bucket``: bucket column; ``dealt``: rows come dealt by ``bucket`` already, from a table with the same buckets."""
     key = (spark.sparkContext.applicationId, sf_dir, name)
     stamp, size = _stamp(spark, sf_dir)
     if _HELD.get(key, ("", ""))[0] != stamp:
@@ -63,11 +85,13 @@ def stored(spark: SparkSession, sf_dir: str, name: str, make: Callable[[], DataF
         if bucket:
             n = max(spark.sparkContext.defaultParallelism, math.ceil(size / BUCKET_BYTES))
             table = f"caregraph_{name}_{tag}"
-            df.repartition(n, bucket).write.mode("overwrite").bucketBy(n, bucket).sortBy(bucket).option("path", path).format("parquet").saveAsTable(table)
+            w = (df if dealt else df.repartition(n, bucket)).write.mode("overwrite").bucketBy(n, bucket).option("path", path).format("parquet")
+            with dealt_by_patient(spark):
+                (w.partitionBy(by) if by else w.sortBy(bucket)).saveAsTable(table)
             _HELD[key] = (stamp, "table:" + table)
         else:
-            # Rebalancing splits large partitions and joins small ones, so files are of one size whatever the predicates' shares.
-            (df.hint("rebalance", by).write.partitionBy(by) if by else df.hint("rebalance").write).mode("overwrite").parquet(path)
+            # A large table is written where its rows are made, as a shuffle would hold all of it once more.
+            (df.write.partitionBy(by) if by else df.hint("rebalance").write).mode("overwrite").parquet(path)
             _HELD[key] = (stamp, path)
     at = _HELD[key][1]
     return spark.table(at[6:]) if at.startswith("table:") else spark.read.parquet(at)
@@ -117,7 +141,7 @@ def relations(spark: SparkSession, sf_dir: str) -> DataFrame:
     """RELATION of default options."""
     from caregraph.operators import relations as r
 
-    t = stored(spark, sf_dir, "relation", lambda: r.build(events(spark, sf_dir)), by="relation")
+    t = stored(spark, sf_dir, "relation", lambda: r.build(events(spark, sf_dir)), by="relation", bucket="patient_id", dealt=True)
     return t.select("patient_id", "src", "dst", "relation", "step", "origin")
 
 

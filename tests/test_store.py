@@ -200,3 +200,23 @@ def test_ego_graph_grows_by_steps(spark):
     t = spark.createDataFrame(rows, "s string, p string, o string, o_kind string")
     for hops, want in ((1, "ab xa"), (2, "ab xa bc b1"), (3, "ab xa bc b1 cd")):
         assert {r["s"] + r["o"] for r in mapping.ego(t, "a", hops).collect()} == set(want.split())
+
+
+def test_stored_relations_are_made_and_read_where_a_patient_is(spark, sf):
+    was = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        with store.dealt_by_patient(spark):
+            plan = relations.build(store.events(spark, sf))._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", was)
+    assert "SortMergeJoin" in plan and "Exchange" not in plan
+    plan = store.relations(spark, sf).groupBy("patient_id").count()._jdf.queryExecution().executedPlan().toString()
+    assert "HashAggregate" in plan and "Exchange" not in plan
+
+
+def test_edges_are_not_shuffled_to_find_ends_of_other_patients(spark, sf):
+    rel, e = store.relations(spark, sf), store.events(spark, sf)
+    assert costs.measure(relations.assert_same_patient(rel, e))["shuffled_bytes"] < 10_000
+    moved = rel.withColumn("patient_id", F.when(F.col("src") == rel.first()["src"], -1).otherwise(F.col("patient_id")))
+    assert relations.assert_same_patient(moved, e).count() == moved.where("patient_id = -1").count() > 0
