@@ -220,3 +220,36 @@ def test_edges_are_not_shuffled_to_find_ends_of_other_patients(spark, sf):
     assert costs.measure(relations.assert_same_patient(rel, e))["shuffled_bytes"] < 10_000
     moved = rel.withColumn("patient_id", F.when(F.col("src") == rel.first()["src"], -1).otherwise(F.col("patient_id")))
     assert relations.assert_same_patient(moved, e).count() == moved.where("patient_id = -1").count() > 0
+
+
+def test_reach_of_any_graph_in_blocks():
+    r = random.Random(3)
+    for n, m in ((1, 1), (12, 14), (30, 25), (40, 90)):
+        edges = {(r.randrange(n), r.randrange(n)) for _ in range(m)}
+        want, more = set(edges), True
+        while more:
+            new = want | {(a, d) for a, b in want for c, d in edges if b == c}
+            want, more = new, new != want
+        for block in (3, 8, 64):
+            got = [(x, int(y)) for x, found in inference.reach(n, edges, None, block) for y in found]
+            assert len(got) == len(set(got)) and set(got) == want
+        some = list(range(0, n, 3))
+        assert {(x, int(y)) for x, found in inference.reach(n, edges, some, 2) for y in found} == {p for p in want if p[1] in some}
+
+
+def test_closure_writes_no_rounds_and_keeps_to_chosen_events(spark):
+    import os
+
+    e = random_events(spark, 5)
+    rel = relations.build(e)
+    folder = store.shared_folder(spark).removeprefix("file:")
+    n = len(os.listdir(folder)) if os.path.isdir(folder) else 0
+    got = inference.closure(rel)
+    want = {(r["src"], r["dst"]) for r in relations.full_before(e).collect()}
+    assert {(r["src"], r["dst"]) for r in got.collect()} == want and got.count() == len(want)
+    assert pairs(got.withColumnRenamed("origin", "relation"), "asserted") == pairs(rel, "Before")
+    some = {r["event_id"] for r in e.collect()[::3]}
+    few = inference.closure(rel, e.where(F.col("event_id").isin(*some)).select("patient_id", "event_id"))
+    assert {(r["src"], r["dst"]) for r in few.collect()} == {(a, b) for a, b in want if a in some and b in some}
+    inference.fixpoint(rel).count()
+    assert (len(os.listdir(folder)) if os.path.isdir(folder) else 0) == n
