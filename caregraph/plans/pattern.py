@@ -10,6 +10,7 @@ that match.
 from __future__ import annotations
 
 from dataclasses import dataclass, field, replace
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -70,11 +71,22 @@ def holds(rel: str, a: str, b: str) -> Column:
     }[rel]
 
 
-def _scan(star: Star, ev: DataFrame, keep: set[str]) -> DataFrame:
-    df = ev.where(F.col("kind") == star.kind)
+def _has(star: Star) -> Column:
+    """What an event of this variable has in its own columns."""
+    held = F.col("kind") == star.kind
     for c in ("label", "type", "brand", "prompt"):
         if (v := getattr(star, c)) is not None:
-            df = df.where(F.col(c) == v)
+            held &= F.col(c) == v
+    return held
+
+
+def any_of(stars: list[Star], ev: DataFrame) -> DataFrame:
+    """Events that some of the variables could be; allowed names aren't looked at."""
+    return ev.where(reduce(Column.__or__, map(_has, stars), F.lit(False)))
+
+
+def _scan(star: Star, ev: DataFrame, keep: set[str]) -> DataFrame:
+    df = ev.where(_has(star))
     if star.names is not None:
         df = df.join(star.names.select(F.col("name").alias("label")), "label", "left_semi")
     n = star.name
