@@ -28,7 +28,7 @@ def _metric(node, name: str) -> int:
 
 
 def measure(df: DataFrame) -> dict[str, float]:
-    """Runs ``df`` and gives {seconds, joins, scans, exchanges, windows, shuffled_bytes, rows_read}; results are thrown away.
+    """Runs ``df`` and gives {seconds, joins, scans, exchanges, windows, shuffled_bytes, rows_read}; results are thrown away, and so is what it shuffled.
 
     A reused exchange counts once. The plan is the one that ran, after adaptive changes.
     """
@@ -43,6 +43,12 @@ def measure(df: DataFrame) -> dict[str, float]:
     out["shuffled_bytes"] = sum(_metric(n, "shuffleBytesWritten") for n, name in zip(nodes, names, strict=True) if "Exchange" in name and "Reused" not in name)
     out["rows_read"] = sum(_metric(n, "numOutputRows") for n, name in zip(nodes, names, strict=True) if "Scan" in name)
     out["seconds"] = round(seconds, 3)
+    # Else shuffles stay on disk until the driver's next garbage collection, and all questions' add up.
+    cleaner = df.sparkSession.sparkContext._jsc.sc().cleaner()
+    if cleaner.isDefined():
+        for n, name in zip(nodes, names, strict=True):
+            if name == "Exchange":
+                cleaner.get().doCleanupShuffle(n.shuffleId(), True)
     return out
 
 

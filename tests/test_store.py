@@ -222,6 +222,13 @@ def test_edges_are_not_shuffled_to_find_ends_of_other_patients(spark, sf):
     assert relations.assert_same_patient(moved, e).count() == moved.where("patient_id = -1").count() > 0
 
 
+def test_measured_plans_leave_no_shuffles(spark):
+    held = lambda: spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().mapOutputTracker().shuffleStatuses().size()
+    df = spark.range(1000).groupBy((F.col("id") % 7).alias("k")).count()
+    n = held()
+    assert costs.measure(df)["exchanges"] == 1 and held() <= n
+
+
 def test_reach_of_any_graph_in_blocks():
     r = random.Random(3)
     for n, m in ((1, 1), (12, 14), (30, 25), (40, 90)):
