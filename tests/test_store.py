@@ -260,3 +260,11 @@ def test_closure_writes_no_rounds_and_keeps_to_chosen_events(spark):
     assert {(r["src"], r["dst"]) for r in few.collect()} == {(a, b) for a, b in want if a in some and b in some}
     inference.fixpoint(rel).count()
     assert (len(os.listdir(folder)) if os.path.isdir(folder) else 0) == n
+
+
+def test_superclasses_reach_from_a_table_s_labels_to_thing(spark, sf):
+    part = {(r["p_name"], r["p_type"]) for r in records.table(spark, sf, "part").collect()}
+    got = {tuple(r) for r in work.QUERIES["ont_superclasses"](spark, sf).collect()}
+    name, kind = min(part)
+    assert {(name, kind, 1), (name, "Object", 2), (name, "Actor", 3), (name, "Thing", 4), (kind, "Thing", 3), ("Drug", "Object", 1)} <= got
+    assert {(a, b) for a, b, n in got if n == 1 and (a, b) in part} == part
