@@ -10,13 +10,16 @@ bit-parallel edit distance. Equal lines are one; the join is over different line
 A segment that very many lines share isn't joined as it is: what is left of two
 lines without the segment they share is again within t edits, so it is cut and
 looked up in the same way, until few enough lines meet or LEVELS is reached.
+
+No row is made for a pair. Lines that meet under a key are verified there with
+their texts, as far as links don't join them yet, and links that join them are
+passed on; then the links of each class are counted where its lines are.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
 from functools import cache
-from os.path import commonprefix
 
 import numpy as np
 import pandas as pd
@@ -40,6 +43,8 @@ TOGETHER = 250_000
 """Pairs that a task compares at once."""
 ROWS = 200_000
 """Most rows of one key that a task holds before it passes them on to the next level."""
+SMALL = 256
+"""Links of a class of up to so many lines are counted in one task; those of a larger one by the segments that they share."""
 
 
 def normal(line: Column) -> Column:
@@ -85,11 +90,23 @@ def probes(n: int, edits: int = EDITS) -> Iterator[tuple[int, int, int, int]]:
             yield n - w[0], w[1], int(at), int(size)
 
 
+def _common(a: str, b: str) -> int:
+    """Length of the common start, by bisection."""
+    lo, hi = 0, min(len(a), len(b))
+    while lo < hi:
+        mid = (lo + hi + 1) // 2
+        if a[lo:mid] == b[lo:mid]:
+            lo = mid
+        else:
+            hi = mid - 1
+    return lo
+
+
 def within(a: str, b: str, edits: int = EDITS) -> bool:
     """Whether the edit distance is at most ``edits``: common ends are cut, then a diagonal band of 2 * edits + 1 cells is held in the bits of an integer for each number of edits."""
-    k = len(commonprefix((a, b)))
+    k = _common(a, b)
     a, b = a[k:], b[k:]
-    k = len(commonprefix((a[::-1], b[::-1])))
+    k = _common(a[::-1], b[::-1])
     a, b = a[: len(a) - k], b[: len(b) - k]
     if abs(len(a) - len(b)) > edits:
         return False
@@ -240,31 +257,32 @@ def _deeper(hot: DataFrame, lines: DataFrame, edits: int) -> DataFrame:
     return by.join(texts, "id").select("id", "line", "held").mapInPandas(run, "key long, id long, sig long, path long")
 
 
+def _pairs(start: np.ndarray, end: np.ndarray, owns: np.ndarray, ids: np.ndarray, sig: np.ndarray, edits: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Each index entry with all rows of its key that pass the sift; ranges of rows by key, whose index entries go first."""
+    own = np.repeat(start, owns) + counted(owns)
+    size = np.repeat(end - start, owns)
+    cuts = np.searchsorted(np.cumsum(size), np.arange(1, int(size.sum()) // TOGETHER + 1) * TOGETHER)
+    for part in np.split(np.arange(len(own)), np.unique(cuts)):
+        if not len(part):
+            continue
+        a = np.repeat(own[part], size[part])
+        b = np.repeat(np.repeat(start, owns)[part], size[part]) + counted(size[part])
+        i, j, s, t = ids[a], ids[b], sig[a], sig[b]
+        # A probe of an equal length meets each pair from both sides, one of a lesser length only from the longer line's.
+        ok = (i != j) & ((t >> 48 & 3 > 0) | (i < j)) & (np.bitwise_count((s ^ t) & PARITY) <= 2 * edits)
+        if ok.any():
+            yield a[ok], b[ok]
+
+
 def _meet(rows: DataFrame, edits: int, last: bool) -> DataFrame:
-    """(i, j) of lines that meet under a key and pass the sift, and (key, i, sig, path) of rows under keys that more than PAIRS pairs would meet in (none if ``last``).
+    """(key, id, sig, path, met): rows that meet another under their key and pass the sift (``met``), and all rows under keys that more than PAIRS pairs would meet in (none if ``last``).
 
     Rows arrive sorted by key, so a task streams them and holds one key at a time; of a crowded key it holds ROWS rows at most before it passes them on.
     """
     deep = "path" in rows.columns
 
-    def pairs(start: np.ndarray, end: np.ndarray, owns: np.ndarray, ids: np.ndarray, sig: np.ndarray) -> Iterator[pd.DataFrame]:
-        """Each index entry with all rows of its key; ranges of rows by key."""
-        own = np.repeat(start, owns) + counted(owns)
-        size = np.repeat(end - start, owns)
-        cuts = np.searchsorted(np.cumsum(size), np.arange(1, int(size.sum()) // TOGETHER + 1) * TOGETHER)
-        for part in np.split(np.arange(len(own)), np.unique(cuts)):
-            if not len(part):
-                continue
-            a = np.repeat(own[part], size[part])
-            b = np.repeat(np.repeat(start, owns)[part], size[part]) + counted(size[part])
-            i, j, s, t = ids[a], ids[b], sig[a], sig[b]
-            # A probe of an equal length meets each pair from both sides, one of a lesser length only from the longer line's.
-            ok = (i != j) & ((t >> 48 & 3 > 0) | (i < j)) & (np.bitwise_count((s ^ t) & PARITY) <= 2 * edits)
-            if ok.any():
-                yield pd.DataFrame({"i": i[ok], "j": j[ok]}).drop_duplicates().assign(key=None, sig=0, path=0)
-
-    def passed(key: np.ndarray, ids: np.ndarray, sig: np.ndarray, path: np.ndarray) -> pd.DataFrame:
-        return pd.DataFrame({"i": ids, "j": 0, "key": key, "sig": sig, "path": path})
+    def told(rows: np.ndarray | slice, met: bool, key: np.ndarray, ids: np.ndarray, sig: np.ndarray, path: np.ndarray) -> pd.DataFrame:
+        return pd.DataFrame({"key": key[rows], "id": ids[rows], "sig": sig[rows], "path": path[rows], "met": met})
 
     def whole(*cols: np.ndarray) -> Iterator[pd.DataFrame]:
         """Rows of whole keys; most keys have one row and go first."""
@@ -283,9 +301,12 @@ def _meet(rows: DataFrame, edits: int, last: bool) -> DataFrame:
         some = (owns > 0) & (end - start > 1)
         start, end, owns = start[some], end[some], owns[some]
         crowded = (owns * (end - start) > PAIRS) & (not last)
-        yield from pairs(start[~crowded], end[~crowded], owns[~crowded], ids, sig)
+        met = np.zeros(len(key), bool)
+        for a, b in _pairs(start[~crowded], end[~crowded], owns[~crowded], ids, sig, edits):
+            met[a] = met[b] = True
+        yield told(met, True, key, ids, sig, path)
         for lo, hi in zip(start[crowded], end[crowded], strict=True):
-            yield passed(key[lo:hi], ids[lo:hi], sig[lo:hi], path[lo:hi])
+            yield told(slice(lo, hi), False, key, ids, sig, path)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         held: list[np.ndarray] | None = None
@@ -295,7 +316,7 @@ def _meet(rows: DataFrame, edits: int, last: bool) -> DataFrame:
             cols.append(batch["path"].to_numpy(np.int64) if deep else np.zeros(len(batch), np.int64))
             if streaming is not None and len(batch):
                 n = int(np.searchsorted(cols[0] != streaming, True))
-                yield passed(*(c[:n] for c in cols))
+                yield told(slice(n), False, *cols)
                 cols = [c[n:] for c in cols]
                 streaming = None if len(cols[0]) else streaming
             if held is not None:
@@ -306,20 +327,59 @@ def _meet(rows: DataFrame, edits: int, last: bool) -> DataFrame:
             yield from whole(*(c[:at] for c in cols))
             held = [c[at:] for c in cols]
             if len(held[0]) > ROWS and not last:
-                yield passed(*held)
+                yield told(slice(None), False, *held)
                 streaming, held = int(held[0][0]), None
         if held is not None:
             yield from whole(*held)
 
     sorted_rows = rows.repartition("key").sortWithinPartitions("key")
-    return sorted_rows.mapInPandas(run, "i long, j long, key long, sig long, path long")
+    return sorted_rows.mapInPandas(run, "key long, id long, sig long, path long, met boolean")
+
+
+def _by_key(batches: Iterator[pd.DataFrame]) -> Iterator[tuple[np.ndarray, pd.DataFrame]]:
+    """(starts, rows) of whole keys, from rows sorted by key; a task holds one key and a batch."""
+    held = None
+    for batch in batches:
+        rows = batch if held is None else pd.concat([held, batch], ignore_index=True)
+        if not len(rows):
+            continue
+        key = rows["key"].to_numpy()
+        at = int(np.searchsorted(key == key[-1], True)) if key[0] != key[-1] else 0
+        if at:
+            yield np.flatnonzero(np.r_[True, key[1:at] != key[: at - 1]]), rows[:at]
+        held = rows[at:]
+    if held is not None:
+        yield np.zeros(1, np.int64), held
+
+
+def _tied(met: DataFrame, texts: DataFrame, edits: int) -> DataFrame:
+    """(a, b): links of lines that meet under a key, as many as join them; a pair that others join already isn't verified."""
+
+    def joined(ids: np.ndarray, sig: np.ndarray, texts: list[str]) -> Iterator[tuple[int, int]]:
+        _, of = np.unique(ids, return_inverse=True)
+        root = of.copy()
+        for o in np.flatnonzero(sig >= OWN):
+            ok = ((sig >> 48 & 3 > 0) | (ids[o] < ids)) & (np.bitwise_count((sig ^ sig[o]) & PARITY) <= 2 * edits)
+            for k in np.flatnonzero(ok & (root != root[o])):
+                if root[k] != root[o] and within(texts[o], texts[k], edits):
+                    root[root == root[k]] = root[o]
+                    yield int(ids[o]), int(ids[k])
 
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for starts, rows in _by_key(batches):
+            ids, sig, texts = rows["id"].to_numpy(np.int64), rows["sig"].to_numpy(np.int64), rows["line"].tolist()
+            found = [x for lo, hi in zip(starts, [*starts[1:], len(ids)], strict=True) for x in joined(ids[lo:hi], sig[lo:hi], texts[lo:hi])]
+            yield pd.DataFrame(found, columns=["a", "b"], dtype=np.int64)
 
-def edit_links(lines: DataFrame, edits: int = EDITS) -> DataFrame:
-    """(a, b): keys of different lines within ``edits`` edits (3 at most), each pair once, from ``lines`` (key, line), which may repeat.
+    rows = met.join(texts.select("id", "line"), "id").select("key", "id", "sig", "line")
+    return rows.repartition("key").sortWithinPartitions("key").mapInPandas(run, "a long, b long")
+
+
+def _members(lines: DataFrame, edits: int) -> DataFrame:
+    """(id, key, line, root, n) of all lines with a link: of ``lines`` (key, line), which may repeat; ``n``: how many its class has.
 
-    Texts aren't shuffled for the join: its rows are hashes, and only lines that
-    met another are fetched to be verified.
+    Texts aren't shuffled to find what meets: its rows are hashes, and only lines
+    that met another are fetched, once.
     """
     if not 0 <= edits <= 3:
         raise ValueError("up to 3 edits")
@@ -327,23 +387,85 @@ def edit_links(lines: DataFrame, edits: int = EDITS) -> DataFrame:
     rows, met = _postings(lines, edits), None
     for level in range(LEVELS):
         out = saved(_meet(rows, edits, level == LEVELS - 1))
-        found = out.where("key is null").select("i", "j")
+        found = out.where("met").select("key", "id", "sig")
         met = found if met is None else met.unionByName(found)
-        hot = out.where("key is not null").select(F.col("i").alias("id"), "key", "sig", "path")
+        hot = out.where("not met").select("id", "key", "sig", "path")
         if hot.isEmpty():
             break
         # Rows that were passed on unseen may have no index entry among them.
         rows = _deeper(hot.join(hot.where(F.col("sig") >= OWN).select("key").distinct(), "key", "left_semi"), lines, edits)
+    texts = saved(lines.where(maybe_in(met.select("id").distinct(), F.col("id"))).groupBy("id", "key", "line").agg(F.lit(1).alias("one")).drop("one"))
+    own = saved(components(saved(_tied(met, texts, edits))))
+    sized = own.join(own.groupBy("root").agg(F.count("*").alias("n")), "root").select(F.col("node").alias("id"), "root", "n")
+    return saved(texts.join(sized, "id"))
+
+
+def _links(members: DataFrame, edits: int, listed: bool) -> DataFrame:
+    """(i, j) of all links of ``members`` if they are ``listed``, else (id, links) of lines that have some, in several rows.
+
+    A small class is compared as a whole. Of a large one, lines meet by their
+    segments, none of which is cut again; a pair counts under the first that it shares.
+    """
+    plan = windows(edits)
+
+    def cut(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            for lo, hi in _groups(batch["line"].tolist()):
+                part = batch[lo:hi]
+                held, ids, root = Lines(part["line"].tolist()), part["id"].to_numpy(np.int64), part["root"].to_numpy(np.int64)
+                sign, large = held.signs(), part["n"].to_numpy() > SMALL
+                few = np.flatnonzero(~large)
+                # A class as one key: each line is an index entry, with no window.
+                yield pd.DataFrame({"key": root[few], "id": ids[few], "sig": sign[few] | OWN, "line": part["line"].to_numpy()[few]})
+                which, window, keys = held.keys(mixed(root.view(np.uint64)), np.full(len(ids), -1), edits)
+                some = large[which]
+                which, window, keys = which[some], window[some], keys[some]
+                sig = sign[which] | _gap(window, edits) << 48 | (window + 1) << 50 | np.where(_own(window, edits), OWN, 0)
+                yield pd.DataFrame({"key": keys, "id": ids[which], "sig": sig, "line": part["line"].to_numpy()[which]})
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for starts, rows in _by_key(batches):
+            order = np.lexsort((rows["sig"].to_numpy() < OWN, rows["key"].to_numpy()))
+            ids, sig, texts = rows["id"].to_numpy(np.int64)[order], rows["sig"].to_numpy(np.int64)[order], rows["line"].to_numpy()[order].tolist()
+            ends = np.r_[starts[1:], len(ids)]
+            held, window = Lines(texts), (sig >> 50 & 255) - 1
+            n = np.zeros(len(ids), np.int64)
+            for a, b in _pairs(starts, ends, np.add.reduceat((sig >= OWN).astype(np.int64), starts), ids, sig, edits):
+                far = np.abs(held.size[a] - held.size[b]) > edits
+                for p, w in enumerate(plan):
+                    later = np.flatnonzero(~far & (window[b] > p) & (sig[b] >> 48 & 3 == w[0]))
+                    x, y = a[later], b[later]
+                    at, size = place(held.size[y], w, edits)
+                    own, _ = _segment(held.size[x], w[1], edits)
+                    there = (at >= 0) & (at + size <= held.size[y])
+                    x, y, at, size, own = x[there], y[there], at[there], size[there], own[there]
+                    far[later[there]] = held.runs.of(held.start[x] + own, size) == held.runs.of(held.start[y] + at, size)
+                a, b = a[~far], b[~far]
+                near = np.fromiter((within(texts[x], texts[y], edits) for x, y in zip(a.tolist(), b.tolist(), strict=True)), bool, len(a))
+                if listed:
+                    yield pd.DataFrame({"i": ids[a[near]], "j": ids[b[near]]})
+                else:
+                    n += np.bincount(a[near], minlength=len(n)) + np.bincount(b[near], minlength=len(n))
+            if not listed:
+                yield pd.DataFrame({"id": ids[n > 0], "links": n[n > 0]})
+
+    rows = members.select("id", "root", "n", "line").mapInPandas(cut, "key long, id long, sig long, line string")
+    return rows.repartition("key").sortWithinPartitions("key").mapInPandas(run, "i long, j long" if listed else "id long, links long")
+
+
+def edit_links(lines: DataFrame, edits: int = EDITS) -> DataFrame:
+    """(a, b): keys of different lines within ``edits`` edits (3 at most), each pair once, from ``lines`` (key, line), which may repeat; a line has one key. As many rows as there are links: ``edit_classes`` makes none for a pair."""
+    members = _members(lines, edits)
+    links = _links(members, edits, True)
+    return links.join(members.select(F.col("id").alias("i"), F.col("key").alias("a")), "i").join(members.select(F.col("id").alias("j"), F.col("key").alias("b")), "j").select("a", "b")
 
-    @F.pandas_udf("boolean")
-    def close(a: pd.Series, b: pd.Series) -> pd.Series:
-        return pd.Series([within(x, y, edits) for x, y in zip(a, b, strict=True)], dtype=bool)
 
-    met = saved(met.distinct())
-    ends = met.select(F.explode(F.array("i", "j")).alias("id")).distinct()
-    some = saved(lines.where(maybe_in(ends, F.col("id"))).groupBy("id", "key", "line").agg(F.lit(1).alias("one")).drop("one"))
-    pairs = met.join(some.select(F.col("id").alias("i"), F.col("key").alias("a"), F.col("line").alias("x")), "i").join(some.select(F.col("id").alias("j"), F.col("key").alias("b"), F.col("line").alias("y")), "j")
-    return pairs.where(close("x", "y")).select("a", "b")
+def edit_classes(lines: DataFrame, edits: int = EDITS) -> DataFrame:
+    """(key, root, links) of every line that has one within ``edits`` edits (3 at most), from ``lines`` (key, line), which may repeat; lines that links join, through others too, share ``root``, and ``links`` is how many different lines this one links to."""
+    members = _members(lines, edits)
+    # Of two lines each has one link.
+    more = _links(members.where("n > 2"), edits, False).groupBy("id").agg(F.sum("links").alias("links"))
+    return members.join(more, "id", "left").select("key", "root", F.coalesce("links", F.lit(1)).alias("links"))
 
 
 def doc_key(docs: DataFrame) -> Column:
@@ -368,11 +490,8 @@ def classes(docs: DataFrame, places: DataFrame, edits: int = EDITS) -> DataFrame
     """
     lines = places.groupBy("key").agg(F.count("*").alias("n"), F.min("place").alias("place"))
     texts = occurrences(docs).where(F.length("norm") >= FUZZY_CHARS).select("key", F.col("norm").alias("line"))
-    links = saved(edit_links(texts, edits))
-    roots = components(links)
-    degree = links.select(F.explode(F.array("a", "b")).alias("key")).groupBy("key").agg(F.count("*").alias("links"))
-    tied = roots.select(F.col("node").alias("key"), "root").join(degree, "key")
-    held = saved(lines.select("key", "n", "place").join(tied, "key", "left").where("n > 1 or root is not null").select("key", "place", F.coalesce("root", "key").alias("root"), F.coalesce("links", F.lit(0)).alias("links")))
+    tied = edit_classes(texts, edits).withColumn("root", F.struct(F.col("root").alias("h1"), F.lit(0).cast("long").alias("h2")))
+    held = saved(lines.join(tied, "key", "left").where("n > 1 or root is not null").select("key", "place", F.coalesce("root", "key").alias("root"), F.coalesce("links", F.lit(0)).alias("links")))
     least = held.groupBy("root").agg(F.min("place").alias("first"))
     return held.join(least, "root").select("key", F.col("first").alias("place"), "links")
 
