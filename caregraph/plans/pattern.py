@@ -135,22 +135,22 @@ def exec_triples(p: Pattern, triples: DataFrame, mode: str = "timestamps", closu
     def of(pred: str, s: str, o: str) -> DataFrame:
         return triples.where(F.col("p") == pred).select(F.col("s").alias(s), F.col("o").alias(o))
 
-    out = None
+    # Patterns with a value come first, so that what is joined with them is small from then on.
+    out = of("cg:category", "patient", "cat").where(F.col("cat") == p.category) if p.category else None
     for s in p.stars:
         n = s.name
-        star = triples.where((F.col("p") == "rdf:type") & (F.col("o") == "cg:" + EVENT_CLASS[s.kind])).select(F.col("s").alias(f"{n}_id"))
-        star = star.join(of("cg:hasActor", f"{n}_id", "patient").where(F.startswith("patient", F.lit("cg:patient/"))), f"{n}_id")
-        for c, pred in (("b", "cg:hasBegin"), ("e", "cg:hasEnd")):
-            star = star.join(of(pred, f"{n}_id", f"{n}_{c}"), f"{n}_id")
         shared = {c for a, c, b in p.same if n in (a, b)}
-        if s.label or s.type or s.brand or shared:
-            star = star.join(of("cg:hasActor", f"{n}_id", f"{n}_ent").where(F.startswith(f"{n}_ent", F.lit("cg:entity/"))), f"{n}_id")
-        for v, c, pred in ((s.label, "label", "cg:label"), (s.type, "type", "cg:broaderType"), (s.brand, "brand", "cg:broaderBrand")):
-            if v or c in shared:
-                at = of(pred, f"{n}_ent", f"{n}_{c}")
-                star = star.join(at.where(F.col(f"{n}_{c}") == v) if v else at, f"{n}_ent")
+        own = [(v, c, of(pred, f"{n}_ent", f"{n}_{c}")) for v, c, pred in ((s.label, "label", "cg:label"), (s.type, "type", "cg:broaderType"), (s.brand, "brand", "cg:broaderBrand")) if v or c in shared]
+        steps = [(f"{n}_ent", at.where(F.col(f"{n}_{c}") == v)) for v, c, at in own if v]
+        if own:
+            steps.append((f"{n}_ent", of("cg:hasActor", f"{n}_id", f"{n}_ent").where(F.startswith(f"{n}_ent", F.lit("cg:entity/")))))
+            steps += [(f"{n}_ent", at) for v, _, at in own if not v]
         if s.prompt:
-            star = star.join(of("cg:assayPrompt", f"{n}_id", f"{n}_p").where(F.col(f"{n}_p") == s.prompt), f"{n}_id")
+            steps.append((f"{n}_id", of("cg:assayPrompt", f"{n}_id", f"{n}_p").where(F.col(f"{n}_p") == s.prompt)))
+        steps.append((f"{n}_id", triples.where((F.col("p") == "rdf:type") & (F.col("o") == "cg:" + EVENT_CLASS[s.kind])).select(F.col("s").alias(f"{n}_id"))))
+        steps.append((f"{n}_id", of("cg:hasActor", f"{n}_id", "patient").where(F.startswith("patient", F.lit("cg:patient/")))))
+        steps += [(f"{n}_id", of(pred, f"{n}_id", f"{n}_{c}")) for c, pred in (("b", "cg:hasBegin"), ("e", "cg:hasEnd"))]
+        star = reduce(lambda x, step: x.join(step[1], step[0]), steps[1:], steps[0][1])
         out = star if out is None else out.join(star, "patient")
         for a, r, b in p.temporal:
             names = {x.name for x in p.stars[: p.stars.index(s) + 1]}
@@ -164,6 +164,4 @@ def exec_triples(p: Pattern, triples: DataFrame, mode: str = "timestamps", closu
             names = {x.name for x in p.stars[: p.stars.index(s) + 1]}
             if {a, b} <= names and n in (a, b):
                 out = out.where(F.col(f"{a}_{c}") == F.col(f"{b}_{c}"))
-    if p.category:
-        out = out.join(of("cg:category", "patient", "cat").where(F.col("cat") == p.category), "patient")
     return out.select(F.substring("patient", len("cg:patient/") + 1, 32).cast("long").alias("patient_id")).distinct()
